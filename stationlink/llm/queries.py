@@ -7,7 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stationlink.llm import chat, decontaminate, fingerprint, mixing, near_dedup, sharding
+from stationlink.llm import chat, decontaminate, fingerprint, lm_score, mixing, near_dedup, sharding, toxicity
+from stationlink.llm.labelled import held_out
 from stationlink.plans.workspace import materialize
 
 
@@ -28,6 +29,23 @@ def op2_winnowing_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
     )
 
 
+def op3_segment_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    found = toxicity.score(docs, toxicity.fit(docs, _table(spark, sf_dir, "labels")))
+    return found.select(
+        "doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"),
+        F.size("passages").alias("n_passages"),
+    )
+
+
+def op4_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    good = _table(spark, sf_dir, "labels").where("quality = 1 and toxic = 0").select("doc_id").distinct().withColumn("good", F.lit(True))
+    marked = docs.join(good, "doc_id", "left").select("text", F.coalesce("good", F.lit(False)).alias("target"))
+    found = lm_score.score(docs, lm_score.fit(marked))
+    return found.select("doc_id", "n_words", *[F.round(c, 6).alias(c) for c in ("target_loss", "background_loss", "difference")])
+
+
 def op5_sampled_splitters(spark: SparkSession, sf_dir: str) -> DataFrame:
     placed = sharding.shard_by_bytes(_table(spark, sf_dir, "documents"), 16)
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
@@ -66,7 +84,7 @@ def op8_multiset_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_hyperminhash_dedup, op2_winnowing_decontamination, op5_sampled_splitters, op6_flow_mixing, op7_prefix_target_chat, op8_multiset_fingerprint)
+    f.__name__: f for f in (op1_hyperminhash_dedup, op2_winnowing_decontamination, op3_segment_toxicity, op4_cross_entropy_difference, op5_sampled_splitters, op6_flow_mixing, op7_prefix_target_chat, op8_multiset_fingerprint)
 }
 
 ORACLES: dict[str, str] = {
@@ -126,5 +144,27 @@ c as (select *, sum(size) over (partition by source order by u, doc_id range unb
 select c.doc_id, c.size, p.source_size::bigint as source_size, round(p.target, 6) as target,
        (c.size * least(3, p.whole + case when p.whole < 3 and p.rest > 0 and (run <= p.rest or (run - p.rest) * 2 <= c.size) then 1 else 0 end))::bigint as taken
 from c join p on c.source is not distinct from p.source
+""",
+    "op4_cross_entropy_difference": r"""
+with w as (
+  select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') as ws from documents),
+t as (select doc_id, unnest(ws) as word, unnest(range(len(ws))) as pos from w),
+v as (select word from (select word, count(*) as n from t group by 1) order by n desc, word limit 1000),
+z as (select (select count(*) from v) + 1 as number),
+i as (select t.doc_id, t.pos, coalesce(v.word, '<other>') as word from t left join v using (word)),
+b as (select doc_id, word, coalesce(lag(word) over (partition by doc_id order by pos), '<start>') as before from i),
+g as (select distinct doc_id from labels where quality = 1 and toxic = 0),
+m as (select b.before, b.word, count(*) as n, count(g.doc_id) as k from b left join g using (doc_id) group by 1, 2),
+u as (select word, sum(n) as n, sum(k) as k from m group by 1),
+c as (select before, sum(n) as n, sum(k) as k from m group by 1),
+a as (select sum(n) as n, sum(k) as k from m),
+l as (
+  select m.before, m.word,
+    -log2(case when c.n > 0 then 0.6 * m.n / c.n else 0 end + (0.35 * u.n / greatest(a.n, 1) + 0.05 / z.number)) as lb,
+    -log2(case when c.k > 0 then 0.6 * m.k / c.k else 0 end + (0.35 * u.k / greatest(a.k, 1) + 0.05 / z.number)) as lt
+  from m join u on u.word = m.word join c on c.before = m.before, a, z),
+s as (select doc_id, avg(lt) as lt, avg(lb) as lb from b join l using (before, word) group by 1)
+select w.doc_id, len(w.ws)::bigint as n_words, round(lt, 6) as target_loss, round(lb, 6) as background_loss, round(lt - lb, 6) as difference
+from w left join s using (doc_id)
 """,
 }
