@@ -181,8 +181,11 @@ class NearDuplicates:
     def _links(self, texts: DataFrame) -> DataFrame:
         """Roots of all linked classes: (node, root)."""
         banded = self.classes.select("node", "registers").mapInArrow(_banded, "band long, node long")
-        shared = banded.groupBy("band").agg(F.count("*").alias("size")).where("size > 1").select("band")
+        shared = banded.groupBy("band").agg(F.count("*").alias("size")).where("size > 1")
         members = materialize(banded.join(shared, "band"), "bands")
+        # Texts that meet many others in their bands are the middles of groups: the first hubs.
+        central = members.groupBy("node").agg(F.sum("size").alias("central"))
+        members = materialize(members.select("band", "node").join(central, "node"), "members")
         wanted = members.select("node").distinct().join(self.classes.select("node", "set_key", "least_id"), "node")
         # One row carries the text of a class: its least id; rows that repeat this id are told apart by their set.
         carrier = self.signed.where("set_key is not null").select("doc_id", "set_key").distinct()
@@ -202,12 +205,12 @@ class NearDuplicates:
                 mixed = labelled.groupBy("band").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("band")
                 open_members = labelled.join(mixed, "band")
             if turn < HUB_ROUNDS:  # each member against one hub of its band, another one in each round
-                order = F.xxhash64("node", F.lit(turn)) if turn else F.col("node")
-                hubs = open_members.groupBy("band").agg(F.min(F.struct(order.alias("o"), F.col("node").alias("hub"), F.col("root").alias("hub_root"))).alias("h"))
+                order = F.xxhash64("node", F.lit(turn)) if turn else F.col("central")
+                hubs = open_members.groupBy("band").agg(F.max(F.struct(order.alias("o"), F.col("node").alias("hub"), F.col("root").alias("hub_root"))).alias("h"))
                 pairs = open_members.join(hubs.select("band", "h.*"), "band").where("node != hub and root != hub_root")
                 pairs = pairs.select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b"))
             else:  # what is left: members of one band that no chain of links joins yet
-                open_members = materialize(open_members, "open")
+                open_members = self._possible(materialize(open_members.select("band", "node", "root"), "open"), sets)
                 other = open_members.select("band", F.col("node").alias("b"), F.col("root").alias("other"))
                 pairs = open_members.join(other, "band").where("node < b and root != other").select(F.col("node").alias("a"), "b")
             found = materialize(self._confirmed(pairs.distinct(), registers, sets), "links")
@@ -217,6 +220,25 @@ class NearDuplicates:
             roots = components(edges.select(F.col("a").alias("src"), F.col("b").alias("dst")))
         return roots
 
+    def _possible(self, members: DataFrame, sets: DataFrame) -> DataFrame:
+        """``members`` (band, node, root) that can have a link to a text of another root.
+
+        A link of sets of n and m shingles takes at least p / (100 + p) * (n + m) in common, and m is p / 100 * n or more.
+        A text with fewer shingles that occur under another root, against the smallest set it meets, is out, without a
+        look at any pair.
+        """
+        p = self.percent
+        nodes = members.select("node", "root").distinct().join(self.classes.select("node", "n"), "node")
+        sized = members.join(nodes.select("node", "n"), "node")
+        least = sized.groupBy("band").agg(F.min("n").alias("least"))
+        meets = sized.join(least, "band").groupBy("node").agg(F.min("least").alias("least"))
+        shingles = materialize(nodes.select("node", "root").join(sets, "node").select("node", "root", F.explode("shingles").alias("shingle")), "shingles")
+        spread = shingles.groupBy("shingle").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("shingle")
+        common = shingles.join(spread, "shingle").groupBy("node").agg(F.count("*").alias("common"))
+        smallest = F.greatest(F.col("least") * 100, F.col("n") * p)  # times 100
+        fit = nodes.join(meets, "node").join(common, "node").where(F.col("common") * 100 * (100 + p) >= (F.col("n") * 100 + smallest) * p)
+        return materialize(members.join(fit.select("node"), "node", "left_semi").select("band", "node", "root"), "possible")
+
     def _confirmed(self, pairs: DataFrame, registers: DataFrame, sets: DataFrame) -> DataFrame:
         """Pairs that pass the estimate and whose full sets reach the threshold."""
 
