@@ -62,6 +62,13 @@ class Words:
     hash: np.ndarray
     data: np.ndarray
     offset: np.ndarray
+    total: np.ndarray
+    inverse: np.ndarray
+
+    def beginnings(self, which: np.ndarray, n: int) -> np.ndarray:
+        """Hashes of the first n bytes of the words ``which``, each longer than that."""
+        at = self.start[which]
+        return mix(((self.total[at + n] - self.total[at]) * self.inverse[at]) ^ U(n))
 
     @property
     def doc(self) -> np.ndarray:
@@ -107,7 +114,7 @@ def words(data: np.ndarray, offset: np.ndarray, kind: np.ndarray = SPACED, lower
     total = np.zeros(n + 1, U)
     np.cumsum(_BYTE[small] * power[:n], out=total[1:])
     value = mix((total[end] - total[start]) * inverse[start])
-    return Words(start, end, np.searchsorted(start, offset), value, small, offset)
+    return Words(start, end, np.searchsorted(start, offset), value, small, offset, total, inverse)
 
 
 def ngrams(value: np.ndarray, k: int) -> np.ndarray:

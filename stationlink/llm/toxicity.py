@@ -1,6 +1,7 @@
 """Toxic passages as maximum-scoring segments of token log-odds.
 
-Tokens are hashed to a fixed number of buckets. A bucket's score is its log-odds between toxic and other labelled texts
+Tokens are words and their beginnings (so stems that take many endings count as well), hashed to a fixed number of
+buckets; a word scores as the best of its tokens. A bucket's score is its log-odds between toxic and other labelled texts
 under a Dirichlet prior that follows its frequency in all documents, shrunk by its standard error, less a drift that
 makes the expected score of ordinary text negative. One pass over a text's running sums gives its best segment; texts
 whose best segment matters are scanned once more for all maximal segments. Best scores of non-toxic labelled texts fix
@@ -25,24 +26,45 @@ from stationlink.plans.workspace import materialize
 BUCKET_BITS = 18
 PRIOR_TOKENS = 500.0
 DRIFT = 0.5
+#: Standard errors that log-odds lose.
+SHRINK = 2.5
 #: Segments with a p-value above this are not passages.
 SIGNIFICANT = 0.05
+#: Lower ends of the classes in which word scores are counted for the extreme-value law.
+GRID = np.arange(-8, 9, 0.25)
+#: Bytes of the beginnings that are tokens of a longer word.
+BEGINNINGS = (4, 5, 6, 7, 8, 9, 10)
 
 
 def buckets(w: Words) -> np.ndarray:
-    return (w.hash >> U(64 - BUCKET_BITS)).astype(np.int64)
+    """(1 + beginnings, words) buckets; a beginning that isn't shorter than its word is -1."""
+    size = w.end - w.start
+    out = np.full((1 + len(BEGINNINGS), len(size)), -1, np.int64)
+    out[0] = w.hash >> U(64 - BUCKET_BITS)
+    for k, n in enumerate(BEGINNINGS):
+        longer = np.flatnonzero(size > n)
+        out[k + 1, longer] = w.beginnings(longer, n) >> U(64 - BUCKET_BITS)
+    return out
+
+
+def word_scores(w: Words, scores: np.ndarray) -> np.ndarray:
+    b = buckets(w)
+    return np.r_[scores, -np.inf][b].max(axis=0)
 
 
 def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Token counts of a task by bucket and label (-1: none)."""
+    """Counts of a task by bucket and label (-1: none): tokens of texts without label, texts that have the token of others."""
     total = np.zeros((3, 1 << BUCKET_BITS), np.int64)
     for batch in batches:
         label = batch.column("y").to_numpy(zero_copy_only=False)
         for lo, hi, data, offset in blocks(batch.column("text")):
             w = words(data, offset, ALNUM)
-            b, of = buckets(w), np.repeat(label[lo:hi], np.diff(w.first))
+            b, of = buckets(w) + 1, np.repeat(label[lo:hi], np.diff(w.first))
             for k in np.unique(label[lo:hi]):
-                total[k + 1] += np.bincount(b[of == k], minlength=1 << BUCKET_BITS)
+                own = b[:, of == k]
+                if k >= 0:  # a token that one text repeats says no more than once
+                    own = np.unique(w.doc[of == k] * (2 << BUCKET_BITS) + own) & ((2 << BUCKET_BITS) - 1)
+                total[k + 1] += np.bincount(own.ravel(), minlength=(1 << BUCKET_BITS) + 1)[1:]
     used = np.flatnonzero(total.any(axis=0))
     for lo in range(0, len(used), 1 << 15):
         part = used[lo : lo + (1 << 15)]
@@ -69,7 +91,7 @@ def token_scores(background: np.ndarray, clean: np.ndarray, toxic: np.ndarray) -
 
     error = np.sqrt(1 / (toxic + prior) + 1 / (clean + prior))
     raw = log_odds(toxic) - log_odds(clean)
-    shrunk = np.sign(raw) * np.maximum(np.abs(raw) - 2 * error, 0)
+    shrunk = np.sign(raw) * np.maximum(np.abs(raw) - SHRINK * error, 0)
     return np.clip(shrunk, -4, 8) - DRIFT
 
 
@@ -137,7 +159,7 @@ class Model:
 
     def evidence(self, w: Words) -> tuple[np.ndarray, dict[int, list[tuple[int, int, float, float]]]]:
         """(features of each text, its significant passages (start, end, score, p)) in words."""
-        score, n = self.scores[buckets(w)], np.diff(w.first)
+        score, n = word_scores(w, self.scores), np.diff(w.first)
         best = best_segments(score, w.first)
         p = np.where(n > 0, self.p_value(best, n), 1.0)
         passages, total, number = {}, np.zeros(len(n)), np.zeros(len(n))
@@ -174,19 +196,24 @@ def fit(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Model:
     background = bucket_counts(docs.select("text", F.lit(-1).alias("y")))[0]
     counts = bucket_counts(sample.select("text", "y"))
     scores = token_scores(background, counts[1], counts[2])
-    model = Model(scores, decay(scores, background + 1e-9), 0.0, np.zeros(6))
+    model = Model(scores, 1.0, 0.0, np.zeros(6))
     bare = spark.sparkContext.broadcast(model)
 
     def run(batches):
         for batch in batches:
             for lo, hi, data, offset in blocks(batch.column("text")):
                 w = words(data, offset, ALNUM)
-                best = best_segments(bare.value.scores[buckets(w)], w.first)
-                yield pa.RecordBatch.from_arrays([batch.column("y")[lo:hi], pa.array(best), pa.array(np.diff(w.first))], ["y", "best", "n"])
+                score = word_scores(w, bare.value.scores)
+                place = w.doc * len(GRID) + np.searchsorted(GRID, score, "right").clip(1) - 1
+                level = np.bincount(place, minlength=(hi - lo) * len(GRID)).reshape(hi - lo, len(GRID))
+                yield pa.RecordBatch.from_arrays([batch.column("y")[lo:hi], pa.array(best_segments(score, w.first)), pa.array(np.diff(w.first)), pa.array(list(level))], ["y", "best", "n", "level"])
 
-    got = sample.select("text", "y").mapInArrow(run, "y int, best double, n long").toArrow()  # at most max_rows
+    got = sample.select("text", "y").mapInArrow(run, "y int, best double, n long, level array<long>").toArrow()  # at most max_rows
     y, best, n = (got[c].to_numpy() for c in ("y", "best", "n"))
     ordinary = (y == 0) & (n > 0)
+    if ordinary.any():
+        level = np.array(got["level"].to_pylist())[ordinary].sum(axis=0).astype(float)
+        model.root = decay(GRID + 0.125, level)
     # Mean of a Gumbel variable is its place plus Euler's constant; zeros stand for "no positive token".
     moved = model.root * best[ordinary] - np.log(np.maximum(n[ordinary], 1))
     model.place = float(moved.mean() - 0.5772156649) if ordinary.any() else 0.0
