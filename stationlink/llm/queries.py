@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stationlink.llm import chat, decontaminate, fingerprint, lm_score, mixing, near_dedup, sharding, toxicity
+from stationlink.llm import chat, decontaminate, fingerprint, lm_score, mixing, near_dedup, quality, sharding, toxicity
 from stationlink.llm.labelled import held_out
 from stationlink.plans.workspace import materialize
 
@@ -83,8 +83,13 @@ def op8_multiset_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op10_ordinal_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    return quality.score(docs, quality.fit(docs, _table(spark, sf_dir, "labels")))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_hyperminhash_dedup, op2_winnowing_decontamination, op3_segment_toxicity, op4_cross_entropy_difference, op5_sampled_splitters, op6_flow_mixing, op7_prefix_target_chat, op8_multiset_fingerprint)
+    f.__name__: f for f in (op1_hyperminhash_dedup, op2_winnowing_decontamination, op3_segment_toxicity, op4_cross_entropy_difference, op5_sampled_splitters, op6_flow_mixing, op7_prefix_target_chat, op8_multiset_fingerprint, op10_ordinal_quality)
 }
 
 ORACLES: dict[str, str] = {
