@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stationlink.llm import chat, decontaminate, fingerprint, lm_score, mixing, near_dedup, quality, sharding, toxicity
+from stationlink.llm import chat, decontaminate, fingerprint, html_extract, lm_score, mixing, near_dedup, quality, sharding, toxicity
 from stationlink.llm.labelled import held_out
 from stationlink.plans.workspace import materialize
 
@@ -83,13 +83,17 @@ def op8_multiset_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op9_crf_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract(_table(spark, sf_dir, "pages")).withColumn("n_chars", F.length("text").cast("long"))
+
+
 def op10_ordinal_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents")
     return quality.score(docs, quality.fit(docs, _table(spark, sf_dir, "labels")))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_hyperminhash_dedup, op2_winnowing_decontamination, op3_segment_toxicity, op4_cross_entropy_difference, op5_sampled_splitters, op6_flow_mixing, op7_prefix_target_chat, op8_multiset_fingerprint, op10_ordinal_quality)
+    f.__name__: f for f in (op1_hyperminhash_dedup, op2_winnowing_decontamination, op3_segment_toxicity, op4_cross_entropy_difference, op5_sampled_splitters, op6_flow_mixing, op7_prefix_target_chat, op8_multiset_fingerprint, op9_crf_extraction, op10_ordinal_quality)
 }
 
 ORACLES: dict[str, str] = {
@@ -171,5 +175,10 @@ l as (
 s as (select doc_id, avg(lt) as lt, avg(lb) as lb from b join l using (before, word) group by 1)
 select w.doc_id, len(w.ws)::bigint as n_words, round(lt, 6) as target_loss, round(lb, 6) as background_loss, round(lt - lb, 6) as difference
 from w left join s using (doc_id)
+""",
+    "op9_crf_extraction": r"""
+with a as (select page_id, url, coalesce(regexp_extract(html, '<article>(.*)</article>', 1, 's'), '') as body from pages),
+t as (select page_id, url, trim(regexp_replace(replace(replace(regexp_replace(body, '<[^>]*>', ' ', 'g'), '&quot;', '"'), '&amp;', '&'), '\s+', ' ', 'g')) as text from a)
+select page_id, url, text, length(text)::bigint as n_chars from t
 """,
 }
