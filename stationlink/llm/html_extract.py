@@ -230,6 +230,10 @@ def labelled_pages(n: int = 500, seed: int = 3) -> Iterator[str]:
         mark = pick([". ", ". ", ". ", "! ", "? ", ".%%% ", "|| "]) if chance(0.3) else ". "
         return mark.join(words(1, 18).capitalize() for _ in range(r.randint(lo, hi))).strip() + pick([".", ".", ".", "", "!", "&amp;"])
 
+    def heading(levels: str, most: int) -> str:
+        level = pick(levels)
+        return f"<h{level}>{words(1, most)}</h{level}>"
+
     def link(text: str) -> str:
         return f'<a href="/{r.randint(1, 999)}">{text}</a>'
 
@@ -281,7 +285,7 @@ def labelled_pages(n: int = 500, seed: int = 3) -> Iterator[str]:
 
     def comments() -> str:
         one = lambda: pick([f"<p>{sentences(1, 4)}</p>", f'<div class="comment"><b>{words(1, 2)}</b> {sentences(1, 4)}</div>', f"<li><span>{words(1, 2)}</span><p>{sentences(1, 5)}</p></li>", f"<blockquote>{sentences(1, 3)}</blockquote>", f"<article><p>{sentences(1, 4)}</p></article>"])
-        inside = (f"<h{pick('234')}>{words(1, 3)}</h2>" if chance(0.6) else "") + "".join(one() for _ in range(r.randint(1, 5))) + (form() if chance(0.2) else "")
+        inside = (heading("234", 3) if chance(0.6) else "") + "".join(one() for _ in range(r.randint(1, 5))) + (form() if chance(0.2) else "")
         return wrapped(named(pick(["div", "section", "section", "ul", "ol", "aside"]), "comments", "comment", "comment-list", "comments-area", "replies", "reply", "responses", "discussion", "disqus", "respond", "user-comments", "reader-comments", "feedback"), inside)
 
     def text_block() -> str:
@@ -297,7 +301,7 @@ def labelled_pages(n: int = 500, seed: int = 3) -> Iterator[str]:
                 body = pick([words(1, 3) + ".", words(1, 2), words(30, 200)])
             return f"<p{pick(['', '', '', ' class=lead', ' class=text'])}>{'<b>' if chance(0.15) else ''}{body}{'<br>' if chance(0.2) else ''}{end}"
         if kind < 0.72:
-            return f"<h{pick('23')}>{words(1, 7)}</h{pick('23')}>"
+            return heading("23", 7)
         if kind < 0.8:
             return "<ul>" + "".join(f"<li>{pick([words(1, 12), sentences(1, 2)])}</li>" for _ in range(r.randint(1, 5))) + "</ul>"
         if kind < 0.85:
