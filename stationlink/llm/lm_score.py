@@ -22,6 +22,8 @@ from stationlink.plans.workspace import materialize
 VOCABULARY = 1000
 #: Weights of bigram, unigram and uniform estimates; they sum to 1.
 BIGRAM, UNIGRAM, UNIFORM = 0.6, 0.35, 0.05
+#: Most ids of target documents that are broadcast; more are joined by a shuffle of the texts.
+BROADCAST_IDS = 4_000_000
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -83,6 +85,13 @@ def losses(count: np.ndarray) -> np.ndarray:
     return -np.log2(two + one)
 
 
+def marked(docs: DataFrame, target_ids: DataFrame, broadcast_ids: int = BROADCAST_IDS) -> DataFrame:
+    """(text, target) of every row; target is whether the row's doc_id is among ``target_ids`` (doc_id)."""
+    ids = materialize(target_ids.where("doc_id is not null").select("doc_id").distinct().withColumn("__in", F.lit(True)), "target-ids")
+    small = F.broadcast(ids) if ids.count() <= broadcast_ids else ids.hint("merge")
+    return docs.select("doc_id", "text").join(small, "doc_id", "left").select("text", F.coalesce("__in", F.lit(False)).alias("target"))
+
+
 def fit(docs: DataFrame, size: int = VOCABULARY) -> tuple[Ids, np.ndarray, np.ndarray]:
     """(ids, target losses, background losses) of rows (text, target boolean)."""
     ids = Ids(vocabulary(docs, size))
