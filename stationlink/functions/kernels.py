@@ -110,3 +110,64 @@ def best_token_subsequence(a: str, b: str, max_tokens: int | None = 6) -> float:
     if not x or not y or (max_tokens is not None and max(len(x), len(y)) > max_tokens):
         return token_jaccard(a, b)
     return max(best_orderings(x, b), best_orderings(y, a))
+
+
+def _codes(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(code points padded with 0, lengths)."""
+    size = np.array([len(t) for t in texts])
+    out = np.zeros((len(texts), max(int(size.max(initial=0)), 1)), np.uint32)
+    for k, t in enumerate(texts):
+        out[k, : len(t)] = np.frombuffer(t.encode("utf-32-le"), np.uint32)
+    return out, size
+
+
+def best_orderings_many(own: list[list[str]], whole: list[str]) -> np.ndarray:
+    """``best_orderings`` of many (tokens, label) with the same number of tokens, row by row over all of them at once."""
+    label, length = _codes(whole)
+    n, m, at = len(own), len(own[0]), np.arange(label.shape[1] + 1, dtype=np.int32)
+    tokens = [_codes([x[k] for x in own]) for k in range(m)]
+    space = (np.full((n, 1), ord(" "), np.uint32), np.ones(n, int))
+
+    def append(row: np.ndarray, what: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+        codes, size = what
+        for j in range(codes.shape[1]):
+            new = np.empty_like(row)
+            new[:, 0] = row[:, 0] + 1
+            new[:, 1:] = np.minimum(row[:, 1:] + 1, row[:, :-1] + (label != codes[:, j, None]))
+            new = np.minimum.accumulate(new - at, axis=1) + at
+            row = new if (j < size).all() else np.where((j < size)[:, None], new, row)
+        return row
+
+    rows: dict[int, np.ndarray] = {}
+    best = np.zeros(n)
+    for subset in range(1, 1 << m):
+        row, total = None, np.full(n, -1)
+        for k in range(m):
+            if subset >> k & 1:
+                total = total + 1 + tokens[k][1]
+                rest = subset ^ (1 << k)
+                new = append(append(rows[rest], space) if rest else np.broadcast_to(at, (n, len(at))).astype(np.int32), tokens[k])
+                row = new if row is None else np.minimum(row, new)
+        rows[subset] = row
+        best = np.maximum(best, 1 - row[np.arange(n), length] / np.maximum(np.maximum(total, length), 1))
+    return best
+
+
+def best_token_subsequences(a: list[str], b: list[str], max_tokens: int | None = 6, batch: int = 512) -> np.ndarray:
+    """``best_token_subsequence`` of many pairs."""
+    out = np.zeros(len(a))
+    work: dict[int, list[tuple[int, list[str], str]]] = {}
+    for k, (p, q) in enumerate(zip(a, b)):
+        x, y = tokens(p), tokens(q)
+        if p == q:
+            out[k] = 1.0
+        elif not x or not y or (max_tokens is not None and max(len(x), len(y)) > max_tokens):
+            out[k] = token_jaccard(p, q)
+        else:
+            work.setdefault(len(x), []).append((k, x, q))
+            work.setdefault(len(y), []).append((k, y, p))
+    for jobs in work.values():
+        for lo in range(0, len(jobs), batch):
+            part = jobs[lo : lo + batch]
+            np.maximum.at(out, [k for k, _, _ in part], best_orderings_many([x for _, x, _ in part], [w for _, _, w in part]))
+    return out

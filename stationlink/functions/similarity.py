@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from stationlink.functions import kernels, text
 
+DOUBLE = T.DoubleType()
+
 
 def edit(a, b) -> Column:
     """(longer length - edit distance) / longer length; 1 for two empty labels."""
@@ -55,20 +59,23 @@ def bts_literal(a, b) -> Column:
     return F.when(a == b, F.lit(1.0)).when(small, bts_small(a, b)).otherwise(jaccard(a, b))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DOUBLE)
 def jaro(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([None if x is None or y is None else kernels.jaro(x, y) for x, y in zip(a, b)], dtype="float64")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DOUBLE)
 def jaro_winkler(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([None if x is None or y is None else kernels.jaro_winkler(x, y) for x, y in zip(a, b)], dtype="float64")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DOUBLE)
 def bts_tokens(a: pd.Series, b: pd.Series) -> pd.Series:
     """Best token subsequence of labels of up to six tokens, Jaccard beyond."""
-    return pd.Series([None if x is None or y is None else kernels.best_token_subsequence(x, y) for x, y in zip(a, b)], dtype="float64")
+    known = (a.notna() & b.notna()).to_numpy()
+    out = np.full(len(a), np.nan)
+    out[known] = kernels.best_token_subsequences(list(a[known]), list(b[known]))
+    return pd.Series(out).where(known, None).astype("float64")
 
 
 MEASURES = {"ED": edit, "PED": prefix_edit, "JAC": jaccard, "BTS": bts_literal, "J": jaro, "JW": jaro_winkler, "BTS6": bts_tokens}
