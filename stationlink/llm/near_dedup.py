@@ -28,6 +28,8 @@ MANTISSA = 10
 #: Candidates whose estimate is this far (in standard deviations of the estimate) below the threshold are not confirmed.
 SLACK = 6.0
 HUB_ROUNDS = 2
+#: About how many shingles and texts a block has that is compared with another one as a whole.
+BLOCK_SHINGLES, BLOCK_ROWS = 1 << 15, 256
 
 _ORDER = np.argsort(mix(np.arange(REGISTERS * REGISTERS, dtype=U) + U(77)).reshape(REGISTERS, REGISTERS), axis=1)
 _RANK = np.argsort(_ORDER, axis=1)
@@ -160,6 +162,46 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([batch.column("node")[lo:hi], sets], ["node", "shingles"])
 
 
+def _compared(percent: int):
+    """Links between texts of two blocks (or of one) with different roots: enough of them to join what they join."""
+
+    def run(key, table):
+        table = table.combine_chunks()
+        node, root = (table[c].to_numpy() for c in ("node", "root"))
+        lists = table["shingles"].combine_chunks()
+        lists = lists.chunk(0) if isinstance(lists, pa.ChunkedArray) else lists
+        offset = np.asarray(lists.offsets, np.int64)
+        _, code, times = np.unique(np.asarray(lists.values)[offset[0] : offset[-1]], return_inverse=True, return_counts=True)
+        size = np.diff(offset)
+        row = np.repeat(np.arange(len(size)), size)
+        shared = times[code] > 1
+        row, code = row[shared], np.unique(code[shared], return_inverse=True)[1]
+        common = np.zeros((len(size), len(size)), np.float32)
+        for lo in range(0, int(code.max(initial=-1)) + 1, 4096):
+            part = (code >= lo) & (code < lo + 4096)
+            dense = np.zeros((len(size), 4096), np.float32)
+            dense[row[part], code[part] - lo] = 1
+            common += dense @ dense.T
+        linked = common * (100 + percent) >= percent * (size[:, None] + size[None, :])
+        linked &= (root[:, None] != root[None, :]) & (node[:, None] < node[None, :])
+        parent = {r: r for r in root.tolist()}
+
+        def top(r: int) -> int:
+            while parent[r] != r:
+                parent[r] = r = parent[parent[r]]
+            return r
+
+        found = []
+        for i, j in zip(*(x.tolist() for x in np.nonzero(linked))):
+            p, q = top(int(root[i])), top(int(root[j]))
+            if p != q:
+                parent[p] = q
+                found.append((int(node[i]), int(node[j])))
+        return pa.table({"a": pa.array([f[0] for f in found], pa.int64()), "b": pa.array([f[1] for f in found], pa.int64())})
+
+    return run
+
+
 class NearDuplicates:
     """Classes, links and groups of ``docs`` (doc_id, text).
 
@@ -209,17 +251,36 @@ class NearDuplicates:
                 hubs = open_members.groupBy("band").agg(F.max(F.struct(order.alias("o"), F.col("node").alias("hub"), F.col("root").alias("hub_root"))).alias("h"))
                 pairs = open_members.join(hubs.select("band", "h.*"), "band").where("node != hub and root != hub_root")
                 pairs = pairs.select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b"))
+                found = materialize(self._confirmed(pairs.distinct(), registers, sets), "links")
             else:  # what is left: members of one band that no chain of links joins yet
-                open_members = self._possible(materialize(open_members.select("band", "node", "root"), "open"), sets)
-                other = open_members.select("band", F.col("node").alias("b"), F.col("root").alias("other"))
-                pairs = open_members.join(other, "band").where("node < b and root != other").select(F.col("node").alias("a"), "b")
-            found = materialize(self._confirmed(pairs.distinct(), registers, sets), "links")
+                found = materialize(self._left(materialize(open_members, "open"), sets), "links")
             if turn and not found.limit(1).count():
                 continue
             edges = found if edges is None else edges.unionByName(found)
             roots = components(edges.select(F.col("a").alias("src"), F.col("b").alias("dst")))
         return roots
 
+    def _left(self, members: DataFrame, sets: DataFrame) -> DataFrame:
+        """Links between members (band, node, central, root) of one band with different roots, enough of them to join all.
+
+        Members that can have a link are put into blocks of bounded size, those with the same most central neighbour
+        together; blocks that meet in a band are compared set by set, whole blocks at a time, so that a group of m members
+        takes about (m / BLOCK_ROWS)^2 rows and not m^2.
+        """
+        members = self._possible(members, sets)
+        hubs = members.groupBy("band").agg(F.max(F.struct("central", "node")).alias("h"))
+        placed = members.join(hubs, "band").groupBy("node").agg(F.first("root").alias("root"), F.max("h").alias("h"))
+        placed = placed.select("node", "root", F.col("h.node").alias("cluster")).join(self.classes.select("node", "n"), "node")
+        parts = placed.groupBy("cluster").agg(F.ceil(F.greatest(F.sum("n") / BLOCK_SHINGLES, F.count("*") / BLOCK_ROWS)).alias("parts"))
+        block = F.xxhash64("cluster", F.pmod(F.xxhash64("node"), F.col("parts")))
+        placed = materialize(placed.join(parts, "cluster").select("node", "root", block.alias("block")), "blocks")
+        met = members.select("band", "node", "root").join(placed.select("node", "block"), "node").groupBy("band", "block").agg(F.min("root").alias("lo"), F.max("root").alias("hi"))
+        other = met.select("band", F.col("block").alias("block_b"), F.col("lo").alias("lo_b"), F.col("hi").alias("hi_b"))
+        pairs = met.join(other, "band").where("block <= block_b and least(lo, lo_b) < greatest(hi, hi_b)").select(F.col("block").alias("block_a"), "block_b").distinct()
+        sides = pairs.withColumn("block", F.explode(F.array_distinct(F.array("block_a", "block_b"))))
+        rows = sides.join(placed.join(sets, "node").select("node", "root", "shingles", "block"), "block")
+        return rows.groupBy("block_a", "block_b").applyInArrow(_compared(self.percent), "a long, b long")
+
     def _possible(self, members: DataFrame, sets: DataFrame) -> DataFrame:
         """``members`` (band, node, root) that can have a link to a text of another root.
 
@@ -237,7 +298,7 @@ class NearDuplicates:
         common = shingles.join(spread, "shingle").groupBy("node").agg(F.count("*").alias("common"))
         smallest = F.greatest(F.col("least") * 100, F.col("n") * p)  # times 100
         fit = nodes.join(meets, "node").join(common, "node").where(F.col("common") * 100 * (100 + p) >= (F.col("n") * 100 + smallest) * p)
-        return materialize(members.join(fit.select("node"), "node", "left_semi").select("band", "node", "root"), "possible")
+        return materialize(members.join(fit.select("node"), "node", "left_semi"), "possible")
 
     def _confirmed(self, pairs: DataFrame, registers: DataFrame, sets: DataFrame) -> DataFrame:
         """Pairs that pass the estimate and whose full sets reach the threshold."""
