@@ -215,17 +215,16 @@ def u_median(spark, d):
     import numpy as np
     import pandas as pd
 
-    @F.pandas_udf("struct<lat:double,lon:double>")
-    def median(lat: pd.Series, lon: pd.Series) -> dict:
-        x = np.stack([lat, lon], axis=1)
+    def median(part: pd.DataFrame) -> pd.DataFrame:
+        x = part[["lat", "lon"]].to_numpy()
         at = x.mean(axis=0)
         for _ in range(60):
             far = np.maximum(np.linalg.norm((x - at) * [1, np.cos(np.radians(at[0]))], axis=1), 1e-9)
             at = (x / far[:, None]).sum(axis=0) / (1 / far).sum()
-        return {"lat": float(at[0]), "lon": float(at[1])}
+        return pd.DataFrame({"area_id": [part["area_id"].iloc[0]], "n": [len(part)], "lat": [round(at[0], 5)], "lon": [round(at[1], 5)]})
 
-    nodes = fixtures.station_nodes(spark, d).where("area_id is not null")
-    return nodes.groupBy("area_id").agg(F.count("*").alias("n"), median("lat", "lon").alias("m")).select("area_id", "n", F.round("m.lat", 5).alias("lat"), F.round("m.lon", 5).alias("lon"))
+    nodes = fixtures.station_nodes(spark, d).where("area_id is not null").select("area_id", "lat", "lon")
+    return nodes.groupBy("area_id").applyInPandas(median, "area_id long, n long, lat double, lon double")
 
 
 @query("u_orderings", f"with {o.IDENTS}, l as (select distinct label, {o.toks('label')} as x from st_idents) select label, 2 * len(x)::int as n from l where len(x) in (1, 2) and false union all select label, case len(x) when 1 then 1 else 4 end::int as n from l where len(x) in (1, 2)")

@@ -40,10 +40,10 @@ def s_dedup(spark, d):
     return arrivals.drain(arrivals.deduplicated(_stream(spark, d))).groupBy("node_id", "event_type").agg(F.count("*").alias("n"))
 
 
-@query("s_interval", f"with {_EV} select a.event_id as a_id, b.event_id as b_id from ev a join ev b on a.node_id = b.node_id and b.ts > a.ts and b.ts <= a.ts + interval 10 minute")
+@query("s_interval", f"with {_EV} select a.event_id as a_id, b.event_id as b_id from ev a join ev b on a.node_id = b.node_id and b.ts > a.ts and b.ts <= a.ts + interval 20000 minute")
 def s_interval(spark, d):
     rows = fixtures.arrivals(spark, d)
-    return arrivals.drain(arrivals.interval_join(arrivals.as_stream(spark, rows), arrivals.as_stream(spark, rows)))
+    return arrivals.drain(arrivals.interval_join(arrivals.as_stream(spark, rows), arrivals.as_stream(spark, rows), 20000))
 
 
 _TURN = f"({o.PI2} * {o.u(chr(39) + 'ev:' + chr(39) + ' || event_id')})"
