@@ -155,6 +155,12 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, keep: tuple[str, .
     an id are rows of their own among documents, and one item with several texts in the benchmark. Other columns are
     ignored. An empty benchmark hits nothing.
     """
+    out, names = _found(docs, benchmark, keep, pass_bytes)
+    return out.select(*[F.col(n).alias(c) for c, n in zip(keep, names)], "n_words", "spans", "items")
+
+
+def _found(docs: DataFrame, benchmark: DataFrame, keep: tuple[str, ...], pass_bytes: int) -> tuple[DataFrame, list[str]]:
+    """Findings beside the columns ``keep`` under names of their own, which clash with none."""
     spark = docs.sparkSession
     items = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
     size = items.agg(F.coalesce(F.sum(F.octet_length("text") + 64), F.lit(0))).first()[0]
@@ -168,9 +174,10 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, keep: tuple[str, .
         out = out.mapInArrow(_marked(known), out.schema)
         if k < passes - 1:
             out = materialize(out, "marked")
-    return out.select(*[F.col(n).alias(c) for c, n in zip(keep, names)], "n_words", "spans", "items")
+    return out, names
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """Rows of ``docs`` that hold no window of the benchmark, with all their columns."""
-    return find_contamination(docs, benchmark, tuple(docs.columns) + (("text",) if "text" not in docs.columns else ())).where(F.size("items") == 0).select(*docs.columns)
+    out, names = _found(docs, benchmark, tuple(docs.columns), PASS_BYTES)
+    return out.where(F.size("items") == 0).select(*[F.col(n).alias(c) for c, n in zip(docs.columns, names)])

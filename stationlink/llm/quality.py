@@ -153,6 +153,12 @@ def score(docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",)) ->
 
     Null and empty texts are scored by their class alone. Rows that repeat are rows of their own.
     """
+    out, names = _scored(docs, model, keep)
+    return out.select(*[F.col(n).alias(c) for c, n in zip(keep, names)], "expected_grade", "tail", "accepted")
+
+
+def _scored(docs: DataFrame, model: Model, keep: tuple[str, ...]) -> tuple[DataFrame, list[str]]:
+    """Scores beside the columns ``keep`` under names of their own, which clash with none."""
     known = docs.sparkSession.sparkContext.broadcast(model)
     names = [f"__keep{k}" for k in range(len(keep))]
     rows = docs.select(*[F.col(c).alias(n) for c, n in zip(keep, names)], F.col("text").alias("__text"))
@@ -165,10 +171,10 @@ def score(docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",)) ->
                 columns = [batch.column(n)[lo:hi] for n in names]
                 yield pa.RecordBatch.from_arrays([*columns, pa.array(tail.sum(axis=1)), pa.array(tail[:, 0]), pa.array(tail[:, 0] >= ACCEPT)], [*names, "expected_grade", "tail", "accepted"])
 
-    out = rows.mapInArrow(run, f"{kinds}, expected_grade double, tail double, accepted boolean")
-    return out.select(*[F.col(n).alias(c) for c, n in zip(keep, names)], "expected_grade", "tail", "accepted")
+    return rows.mapInArrow(run, f"{kinds}, expected_grade double, tail double, accepted boolean"), names
 
 
 def accepted(docs: DataFrame, model: Model) -> DataFrame:
     """Rows of ``docs`` that are accepted, with all their columns."""
-    return score(docs, model, tuple(docs.columns)).where("accepted").select(*docs.columns)
+    out, names = _scored(docs, model, tuple(docs.columns))
+    return out.where("accepted").select(*[F.col(n).alias(c) for c, n in zip(docs.columns, names)])
