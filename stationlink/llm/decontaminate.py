@@ -13,7 +13,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from stationlink.llm.textblocks import ALNUM, U, blocks, ngram_counts, ngrams, words
@@ -25,7 +25,6 @@ WINDOW = SPAN - K + 1
 #: Most bytes of benchmark text sent to executors at once; a larger benchmark takes several passes over the documents.
 PASS_BYTES = 32 << 20
 
-_SCHEMA = "n_words long, spans array<struct<start:int,end:int>>, items array<string>"
 
 
 def winnow(grams: np.ndarray, first: np.ndarray) -> np.ndarray:
@@ -123,29 +122,36 @@ def _merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return out
 
 
-def _marked(fingerprints):
-    """mapInArrow function that adds spans and items to those that a row has."""
+_SPANS = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))
+_FOUND = "struct<n_words:bigint,spans:array<struct<start:int,end:int>>,items:array<string>>"
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+
+def _marked(fingerprints, before: Column | None) -> Column:
+    """Findings of one pass as a struct, joined with those of the passes ``before``; only texts and findings go through Arrow."""
+
+    def found(texts: pa.Array, old: pa.Array | None) -> pa.Array:
         known = fingerprints.value
-        kind = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))
-        for batch in batches:
-            for lo, hi, data, offset in blocks(batch.column("text")):
-                part = batch.slice(lo, hi - lo)
-                counts, spans, items = known.hits(data, offset)
-                old_spans, old_items = part.column("spans"), part.column("items")
-                new_spans, new_items = [], []
-                for d in range(hi - lo):
-                    a, b = old_spans[d].as_py() or [], old_items[d].as_py() or []
-                    if d in spans:
-                        a = [{"start": s, "end": e} for s, e in _merged([(x["start"], x["end"]) for x in a] + spans[d])]
-                        b = sorted({*b, *items[d]})
-                    new_spans.append(a)
-                    new_items.append(b)
-                columns = {"n_words": pa.array(counts, pa.int64()), "spans": pa.array(new_spans, kind), "items": pa.array(new_items, pa.list_(pa.string()))}
-                yield pa.RecordBatch.from_arrays([columns.get(c, part.column(k)) for k, c in enumerate(part.schema.names)], part.schema.names)
-
-    return run
+        n_words, all_spans, all_items = [], [], []
+        for lo, hi, data, offset in blocks(texts):
+            counts, spans, items = known.hits(data, offset)
+            n_words.append(counts)
+            for d in range(hi - lo):
+                was = old[lo + d].as_py() if old is not None else None
+                a, b = ([(x["start"], x["end"]) for x in was["spans"]], was["items"]) if was else ([], [])
+                if d in spans:
+                    a, b = _merged(a + spans[d]), sorted({*b, *items[d]})
+                all_spans.append([{"start": s, "end": e} for s, e in a])
+                all_items.append(b)
+        n = pa.array(np.concatenate(n_words) if n_words else [], pa.int64())
+        return pa.StructArray.from_arrays([n, pa.array(all_spans, _SPANS), pa.array(all_items, pa.list_(pa.string()))], ["n_words", "spans", "items"])
+
+    def first(texts: pa.Array) -> pa.Array:
+        return found(texts, None)
+
+    def further(texts: pa.Array, old: pa.Array) -> pa.Array:
+        return found(texts, old)
+
+    return F.arrow_udf(first, _FOUND)("text") if before is None else F.arrow_udf(further, _FOUND)("text", before)
 
 
 def find_contamination(docs: DataFrame, benchmark: DataFrame, keep: tuple[str, ...] = ("doc_id",), pass_bytes: int = PASS_BYTES) -> DataFrame:
@@ -155,29 +161,25 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, keep: tuple[str, .
     an id are rows of their own among documents, and one item with several texts in the benchmark. Other columns are
     ignored. An empty benchmark hits nothing.
     """
-    out, names = _found(docs, benchmark, keep, pass_bytes)
-    return out.select(*[F.col(n).alias(c) for c, n in zip(keep, names)], "n_words", "spans", "items")
+    return _found(docs, benchmark, pass_bytes).select(*keep, "__f.*")
 
 
-def _found(docs: DataFrame, benchmark: DataFrame, keep: tuple[str, ...], pass_bytes: int) -> tuple[DataFrame, list[str]]:
-    """Findings beside the columns ``keep`` under names of their own, which clash with none."""
+def _found(docs: DataFrame, benchmark: DataFrame, pass_bytes: int) -> DataFrame:
+    """``docs`` with a struct __f of the findings."""
     spark = docs.sparkSession
     items = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
     size = items.agg(F.coalesce(F.sum(F.octet_length("text") + 64), F.lit(0))).first()[0]
     passes = max(1, -(-int(size) // pass_bytes))
-    names = [f"__keep{k}" for k in range(len(keep))]
-    out = docs.select(*[F.col(c).alias(n) for c, n in zip(keep, names)], F.col("text").alias("text"))
-    out = out.selectExpr("*", "0L n_words", "cast(array() as array<struct<start:int,end:int>>) spans", "cast(array() as array<string>) items")
+    out = docs
     for k in range(passes):
         part = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(passes)) == k) if passes > 1 else items
         known = spark.sparkContext.broadcast(Fingerprints([(r.item_id, r.text) for r in part.collect()]))
-        out = out.mapInArrow(_marked(known), out.schema)
+        out = out.withColumn("__f", _marked(known, F.col("__f") if k else None))
         if k < passes - 1:
             out = materialize(out, "marked")
-    return out, names
+    return out
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """Rows of ``docs`` that hold no window of the benchmark, with all their columns."""
-    out, names = _found(docs, benchmark, tuple(docs.columns), PASS_BYTES)
-    return out.where(F.size("items") == 0).select(*[F.col(n).alias(c) for c, n in zip(docs.columns, names)])
+    return _found(docs, benchmark, PASS_BYTES).where(F.size("__f.items") == 0).drop("__f")

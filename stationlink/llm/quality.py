@@ -153,28 +153,22 @@ def score(docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",)) ->
 
     Null and empty texts are scored by their class alone. Rows that repeat are rows of their own.
     """
-    out, names = _scored(docs, model, keep)
-    return out.select(*[F.col(n).alias(c) for c, n in zip(keep, names)], "expected_grade", "tail", "accepted")
+    out = _scored(docs, model)
+    return out.select(*keep, "__s.*")
 
 
-def _scored(docs: DataFrame, model: Model, keep: tuple[str, ...]) -> tuple[DataFrame, list[str]]:
-    """Scores beside the columns ``keep`` under names of their own, which clash with none."""
+def _scored(docs: DataFrame, model: Model) -> DataFrame:
+    """``docs`` with a struct __s of the scores; only texts go through Arrow."""
     known = docs.sparkSession.sparkContext.broadcast(model)
-    names = [f"__keep{k}" for k in range(len(keep))]
-    rows = docs.select(*[F.col(c).alias(n) for c, n in zip(keep, names)], F.col("text").alias("__text"))
-    kinds = ", ".join(f"{n} {rows.schema[n].dataType.simpleString()}" for n in names)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for lo, hi, data, offset in blocks(batch.column("__text")):
-                tail = known.value.tails(sums(data, offset, known.value.weights))
-                columns = [batch.column(n)[lo:hi] for n in names]
-                yield pa.RecordBatch.from_arrays([*columns, pa.array(tail.sum(axis=1)), pa.array(tail[:, 0]), pa.array(tail[:, 0] >= ACCEPT)], [*names, "expected_grade", "tail", "accepted"])
+    def run(texts: pa.Array) -> pa.Array:
+        tails = [known.value.tails(sums(data, offset, known.value.weights)) for _, _, data, offset in blocks(texts)]
+        tail = np.concatenate(tails) if tails else np.zeros((0, GRADES - 1))
+        return pa.StructArray.from_arrays([pa.array(tail.sum(axis=1)), pa.array(tail[:, 0]), pa.array(tail[:, 0] >= ACCEPT)], ["expected_grade", "tail", "accepted"])
 
-    return rows.mapInArrow(run, f"{kinds}, expected_grade double, tail double, accepted boolean"), names
+    return docs.withColumn("__s", F.arrow_udf(run, "struct<expected_grade:double,tail:double,accepted:boolean>")("text"))
 
 
 def accepted(docs: DataFrame, model: Model) -> DataFrame:
     """Rows of ``docs`` that are accepted, with all their columns."""
-    out, names = _scored(docs, model, tuple(docs.columns))
-    return out.where("accepted").select(*[F.col(n).alias(c) for c, n in zip(docs.columns, names)])
+    return _scored(docs, model).where("__s.accepted").drop("__s")
