@@ -517,3 +517,40 @@ def u_best_match(spark, d):
     p = pairs(spark, d, 0).select("a_ident_id", "b_ident_id", F.round("dist_m", 3).alias("dist_m"))
     both = p.toDF("ident_id", "match_id", "dist_m").unionByName(p.select("b_ident_id", "a_ident_id", "dist_m").toDF("ident_id", "match_id", "dist_m"))
     return both.withColumn("r", F.row_number().over(Window.partitionBy("ident_id").orderBy("dist_m", "match_id"))).where("r = 1").drop("r")
+
+
+@query("e_cut_stability", f"with {o.SPICED}, n as (select distinct a_nation as nation from spiced), c as (select nation, t, {o.COUNTS} from (select a_nation as nation, t, " + "coalesce(sum((truth = 1 and dist_m < t)::int), 0)::bigint as tp, coalesce(sum((truth = 0 and dist_m < t)::int), 0)::bigint as fp, coalesce(sum((truth = 1 and dist_m >= t)::int), 0)::bigint as fn, coalesce(sum((truth = 0 and dist_m >= t)::int), 0)::bigint as tn " + f"from spiced, (select unnest({o.DISTANCE_GRID}) as t) where truth is not null group by 1, 2)) select nation, t, f1 from (select *, row_number() over (partition by nation order by f1 desc, t) as r from c) where r = 1")
+def e_cut_stability(spark, d):
+    """Best distance cut of each nation: how far the best threshold moves between areas."""
+    counts = pairs(spark, d).where("truth is not null").select(F.col("a_nation").alias("nation"), "truth", "dist_m", F.explode(F.array(*[F.lit(float(t)) for t in evaluate.DISTANCE_GRID])).alias("t"))
+    curve = evaluate.confusion(counts.withColumn("predicted", (F.col("dist_m") < F.col("t")).cast("int")), by=("nation", "t"))
+    return evaluate.best_threshold(curve, ("nation",)).select("nation", "t", "f1")
+
+
+@query("rf_embeddings")
+def rf_embeddings(spark, d):
+    """A forest on dense vectors of ten classes: rows of each class in the test part and how many are right."""
+    from pyspark.ml.classification import RandomForestClassifier
+    from pyspark.ml.functions import array_to_vector
+
+    from stationlink.functions.numbering import uniform
+    from stationlink.sources.tables import load
+
+    rows = load(spark, d, "embeddings").select("vec_id", array_to_vector(F.col("embedding").cast("array<double>")).alias("features"), F.col("label").cast("double").alias("label"))
+    train = uniform("emb", F.col("vec_id")) < 0.8
+    got = RandomForestClassifier(numTrees=20, maxDepth=8, seed=1).fit(rows.where(train)).transform(rows.where(~train))
+    return got.groupBy(F.col("label").cast("int").alias("class")).agg(F.count("*").alias("n"), F.sum((F.col("label") == F.col("prediction")).cast("long")).alias("right"))
+
+
+@query("rf_methods")
+def rf_methods(spark, d):
+    """All kinds of classifier through one surface, fitted on the train part and scored on the test part."""
+    from stationlink.operators.matcher import StationMatcher
+    from stationlink.plans.workspace import materialize
+
+    rows = materialize(pairs(spark, d).where("truth is not null").withColumn("train", spicing.in_train(F.col("pair_id"))), "methods")
+    out = None
+    for m in ("PEQ", "LEQ", "P", "ED", "TFIDF", "P+ED", "P+TFIDF"):
+        one = evaluate.confusion(StationMatcher(m).fit(rows.where("train")).transform(rows.where("not train"))).select(F.lit(m).alias("method"), "prec", "rec", "f1")
+        out = one if out is None else out.unionByName(one)
+    return out
