@@ -407,7 +407,7 @@ def _without(x: str, stop: str) -> str:
     return f"array_to_string(list_filter(string_split(lower({x}), ' '), lambda t: t != {stop}), ' ')"
 
 
-@query("e_stopword_effect", f"with {o.PAIRS}, s as (select truth, a_nation, {_without('a_label', 'lower(a_nation)')} as a, {_without('b_label', 'lower(a_nation)')} as b from st_pairs where a != '' or true) ".replace(" where a != '' or true", "") + "select a_nation as nation, truth, count(*) as n, round(avg((greatest(length(a), length(b)) - levenshtein(a, b))::double / greatest(length(a), length(b))), 6) as mean_ed from s where truth is not null group by 1, 2")
+@query("e_stopword_effect", f"with {o.PAIRS}, s as (select truth, a_nation, {_without('a_label', 'lower(a_nation)')} as a, {_without('b_label', 'lower(a_nation)')} as b from st_pairs) select a_nation as nation, truth, count(*) as n, round(avg((greatest(length(a), length(b)) - levenshtein(a, b))::double / greatest(length(a), length(b))), 6) as mean_ed from s where truth is not null group by 1, 2")
 def e_stopword_effect(spark, d):
     """Edit similarity once a town's name is a stop word in its town."""
     p = pairs(spark, d, 0).where("truth is not null")
