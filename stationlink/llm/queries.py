@@ -41,7 +41,7 @@ def op3_segment_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op4_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     marked = lm_score.marked(docs, _table(spark, sf_dir, "labels").where("quality = 1 and toxic = 0"))
-    found = lm_score.score(docs, lm_score.fit(marked))
+    found = lm_score.score_all(marked)
     return found.select("doc_id", "n_words", *[F.round(c, 6).alias(c) for c in ("target_loss", "background_loss", "difference")])
 
 

@@ -130,3 +130,37 @@ def test_lm_scores_prefer_target_words(spark):
 def test_query_digests_use_sorted_ids(spark):
     got = QUERIES["op2_winnowing_decontamination"](spark, "/root/testdata/sf0.001").where("n_items = 0").first()
     assert got.items_sha256 == hashlib.sha256(b"").hexdigest() and not got.contaminated
+
+
+def test_lm_scores_count_every_word(spark, same):
+    name = "op4_cross_entropy_difference"
+    assert " limit 1000" in ORACLES[name]
+    same(name, QUERIES[name], ORACLES[name].replace(" limit 1000", ""))  # the model of all words; its registered SQL has a cut
+
+
+def test_lm_scores_of_many_buckets_equal_the_counts(spark, monkeypatch):
+    r = random.Random(8)
+    rows = [(k % 50, " ".join(f"w{int(r.paretovariate(0.5)) % 5000}" for _ in range(r.randint(0, 40))), k % 3 == 0) for k in range(300)] + [(None, None, False), (None, "w1 w2", True)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, target boolean")
+    seqs = [(t or "").split() for _, t, _ in rows]
+    from collections import Counter
+
+    number = len({w for s in seqs for w in s}) + 1
+    pair, context, word = ([Counter(), Counter()] for _ in range(3))
+    for s, (_, _, flag) in zip(seqs, rows):
+        for before, w in zip([None, *s], s):
+            for m in (0, 1) if flag else (0,):
+                pair[m][before, w] += 1
+                context[m][before] += 1
+                word[m][w] += 1
+
+    def mean(s, m):
+        loss = [-np.log2((0.6 * pair[m][b, w] / context[m][b] if context[m][b] else 0) + 0.35 * word[m][w] / sum(word[m].values()) + 0.05 / number) for b, w in zip([None, *s], s)]
+        return round(float(np.mean(loss)), 6)
+
+    want = sorted(((k, len(s), *([mean(s, 1), mean(s, 0)] if s else [None, None])) for (k, _, _), s in zip(rows, seqs)), key=repr)
+    monkeypatch.setattr(lm_score, "BUCKET_BYTES", 1000)
+    monkeypatch.setattr(lm_score, "VOCABULARY", 20)
+    got = [(x.doc_id, x.n_words, *[None if v is None else round(v, 6) for v in (x.target_loss, x.background_loss)]) for x in lm_score.score_all(df).collect()]
+    assert sorted(got, key=repr) == want
+    assert lm_score.score_all(df.limit(0)).count() == 0
