@@ -13,7 +13,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from stationlink.llm.textblocks import U, blocks, mix, ngram_counts, ngrams, words
@@ -104,6 +104,11 @@ def estimate(a: np.ndarray, b: np.ndarray, n: np.ndarray, m: np.ndarray) -> np.n
     return np.clip(((a == b).mean(axis=1) - c) / (1 - c), 0, 1)
 
 
+def _text_key(text: Column) -> Column:
+    """A key of the whole text; null text has one of its own."""
+    return F.coalesce(F.unhex(F.md5(text)), F.lit(b""))
+
+
 def _signed(texts: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -119,11 +124,12 @@ def _signed(texts: str):
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch.column("doc_id")[lo:hi],
+                        batch.column("text_key")[lo:hi],
                         pa.array(n, pa.int64()),
                         pa.array([None if e else x.tobytes() for e, x in zip(empty, key)], pa.binary()),
                         pa.array([None if e else x.tobytes() for e, x in zip(empty, registers)], pa.binary()),
                     ],
-                    ["doc_id", "n_shingles", "set_key", "registers"],
+                    ["doc_id", "text_key", "n_shingles", "set_key", "registers"],
                 )
 
     return run
@@ -213,8 +219,8 @@ class NearDuplicates:
     def __init__(self, docs: DataFrame, percent: int = 75):
         self.percent = percent
         texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-        schema = "doc_id long, n_shingles long, set_key binary, registers binary"
-        self.signed = materialize(texts.mapInArrow(_signed("text"), schema), "registers")
+        schema = "doc_id long, text_key binary, n_shingles long, set_key binary, registers binary"
+        self.signed = materialize(texts.withColumn("text_key", _text_key(F.col("text"))).mapInArrow(_signed("text"), schema), "registers")
         some = self.signed.where("set_key is not null")
         classes = some.groupBy("set_key").agg(F.min("doc_id").alias("least_id"), F.max("n_shingles").alias("n"), F.first("registers").alias("registers"))
         self.classes = materialize(classes.withColumn("node", F.monotonically_increasing_id()), "classes")
@@ -321,6 +327,19 @@ class NearDuplicates:
         component = F.coalesce("component_id", "doc_id")
         return out.select("doc_id", "n_shingles", component.alias("component_id"), component.eqNullSafe(F.col("doc_id")).alias("kept"))
 
+    def kept_texts(self) -> DataFrame:
+        """(doc_id, text_key), one of each group: that of least id (null last), then of least set and text.
+
+        Texts without shingles are in no group: each is there, with its id.
+        """
+        rooted = self.classes.join(self.links, "node", "left").select("set_key", "least_id", F.coalesce("root", "node").alias("root"))
+        first = F.min(F.struct(F.col("least_id").isNull().alias("none"), "least_id", "set_key")).alias("first")
+        chosen = rooted.groupBy("root").agg(first).select("first.set_key", F.col("first.least_id").alias("doc_id"))
+        some = self.signed.where("set_key is not null").select("doc_id", "set_key", "text_key")
+        some = some.join(chosen, (some.set_key == chosen.set_key) & some.doc_id.eqNullSafe(chosen.doc_id), "left_semi")
+        one = some.groupBy("set_key").agg(F.first("doc_id").alias("doc_id"), F.min("text_key").alias("text_key"))
+        return one.select("doc_id", "text_key").unionByName(self.signed.where("set_key is null").select("doc_id", "text_key").distinct())
+
 
 def near_duplicates(docs: DataFrame, percent: int = 75) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of (doc_id, text); see NearDuplicates."""
@@ -330,8 +349,10 @@ def near_duplicates(docs: DataFrame, percent: int = 75) -> DataFrame:
 def drop_near_duplicates(docs: DataFrame, percent: int = 75) -> DataFrame:
     """Rows of ``docs``, one of each near-duplicate group: that with the least doc_id. All columns stay.
 
-    Rows that repeat both id and text (or an id that is kept) are one document: one row of them stays.
+    Rows that repeat both id and text are one document: one row of them stays. Rows that share an id, or have none, but
+    have different texts are documents of their own.
     """
-    kept = near_duplicates(docs, percent).where("kept").select(F.col("doc_id").alias("__kept_id")).distinct()
-    same = docs.join(kept, F.col("doc_id").cast("long").eqNullSafe(F.col("__kept_id"))).drop("__kept_id")
-    return same.dropDuplicates(["doc_id"])
+    kept = NearDuplicates(docs, percent).kept_texts().select(F.col("doc_id").alias("__kept_id"), F.col("text_key").alias("__kept_text"))
+    keyed = docs.withColumn("__id", F.col("doc_id").cast("long")).withColumn("__text", _text_key(F.col("text")))
+    same = keyed.join(kept, (keyed["__text"] == kept["__kept_text"]) & keyed["__id"].eqNullSafe(kept["__kept_id"]), "left_semi")
+    return same.dropDuplicates(["__id", "__text"]).drop("__id", "__text")

@@ -67,6 +67,16 @@ def test_empty_table_null_ids_and_repeated_rows(spark):
     assert got == sorted([(None, 5, False), (5, 5, True), (5, 5, True), (6, 6, True)], key=repr)
 
 
+def test_drop_keeps_different_texts_of_null_and_repeated_ids(spark):
+    a, b, c, d = ("one two three four five six seven", "red green blue black white grey pink", "a lone text", "quite another text")
+    rows = [(None, c), (None, d), (None, d), (None, a), (3, a), (5, a), (5, b), (5, b), (7, None), (7, ""), (None, None), (8, a.upper()), (9, b)]
+    df = spark.createDataFrame([(*x, "tag") for x in rows], "doc_id long, text string, tag string")
+    kept = near_dedup.drop_near_duplicates(df)
+    got = sorted(((r.doc_id, r.text) for r in kept.collect()), key=repr)
+    assert kept.columns == df.columns
+    assert got == sorted([(None, c), (None, d), (3, a), (5, b), (7, None), (7, ""), (None, None)], key=repr)
+
+
 def test_registers_keep_zeros_and_mantissa():
     import numpy as np
 
