@@ -29,7 +29,7 @@ BIGRAM, UNIGRAM, UNIFORM = 0.6, 0.35, 0.05
 #: Most ids of target documents that are broadcast; more are joined by a shuffle of the texts.
 BROADCAST_IDS = 4_000_000
 #: Bytes of text for each bucket of counts, and the words that a task holds before it writes them to its buckets.
-BUCKET_BYTES, CHUNK_WORDS, CHUNK_TEXTS = 20_000_000, 1_000_000, 16_384
+BUCKET_BYTES, CHUNK_WORDS, CHUNK_TEXTS = 8_000_000, 400_000, 16_384
 _START = U(0x5BD1E9955BD1E995)
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -146,7 +146,7 @@ def score(docs: DataFrame, model: tuple[Ids, np.ndarray, np.ndarray]) -> DataFra
 
 
 def _bucket(hashed: np.ndarray, buckets: int) -> np.ndarray:
-    return (mix(hashed ^ U(0x2545F4914F6CDD1D)) % U(buckets)).astype(np.uint16)
+    return (mix(hashed ^ U(0x2545F4914F6CDD1D)) % U(buckets)).astype(np.uint32)
 
 
 def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
@@ -174,14 +174,15 @@ def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, np.ndarra
         yield joined()
 
 
-def _dealt(bucket: np.ndarray, buckets: int, **columns: np.ndarray) -> Iterator[pa.RecordBatch]:
+def _dealt(bucket: np.ndarray, **columns: np.ndarray) -> Iterator[pa.RecordBatch]:
     """A row for each bucket: the bytes of its entries of each column."""
     order = np.argsort(bucket, kind="stable")
-    edge = np.searchsorted(bucket[order], np.arange(buckets + 1))
-    columns = {name: x[order] for name, x in columns.items()}
-    for b in np.flatnonzero(np.diff(edge)):
-        part = slice(edge[b], edge[b + 1])
-        yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), *[pa.array([x[part].tobytes()], pa.binary()) for x in columns.values()]], ["bucket", *columns])
+    bucket, columns = bucket[order], {name: x[order] for name, x in columns.items()}
+    first = _runs(bucket)
+    for lo in range(0, len(first), 256):  # rows of 256 buckets at a time
+        edge = np.r_[first, len(bucket)][lo : lo + 257]
+        cut = [pa.array([x[a:b].tobytes() for a, b in zip(edge, edge[1:])], pa.binary()) for x in columns.values()]
+        yield pa.RecordBatch.from_arrays([pa.array(bucket[edge[:-1]].astype(np.int64), pa.int64()), *cut], ["bucket", *columns])
 
 
 def _all(table: pa.Table, name: str, kind: type) -> np.ndarray:
@@ -206,7 +207,7 @@ def _word_counts(buckets: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, _, _, word, _ in _chunks(batches):
             found, n = np.unique(word, return_counts=True)
-            yield from _dealt(_bucket(found, buckets), buckets, word=found, n=n)
+            yield from _dealt(_bucket(found, buckets), word=found, n=n)
 
     return run
 
@@ -256,7 +257,7 @@ def _asked(known):
             word, asks, flag = word[order], asks[order], flag[order].astype(np.int32)
             first = _runs(word, asks)
             n_all = np.diff(np.r_[first, len(word)]).astype(np.int32)
-            yield from _dealt(_bucket(word[first], p.buckets), p.buckets, word=word[first], asks=asks[first], n=n_all, k=_sums(flag, first).astype(np.int32))
+            yield from _dealt(_bucket(word[first], p.buckets), word=word[first], asks=asks[first], n=n_all, k=_sums(flag, first).astype(np.int32))
 
     return run
 
@@ -266,15 +267,15 @@ def _told(known):
         p = known.value
         word, at = np.unique(_all(table, "word", U), return_inverse=True)
         n, k = (np.bincount(at, _all(table, c, np.int32), len(word)).astype(np.int64) for c in "nk")
-        asked = np.unique(at * p.buckets + _all(table, "asks", np.uint16).astype(np.int64))
-        at, asks = asked // p.buckets, (asked % p.buckets).astype(np.uint16)
-        return pa.Table.from_batches(_dealt(asks, p.buckets, word=word[at], n=n[at], k=k[at]), pa.schema([("bucket", pa.int32()), *[(c, pa.binary()) for c in ("word", "n", "k")]]))
+        asked = np.unique(at * p.buckets + _all(table, "asks", np.uint32).astype(np.int64))
+        at, asks = asked // p.buckets, asked % p.buckets
+        return pa.Table.from_batches(_dealt(asks, word=word[at], n=n[at], k=k[at]), pa.schema([("bucket", pa.int64()), *[(c, pa.binary()) for c in ("word", "n", "k")]]))
 
     return run
 
 
 _ENTRY = ("before", "run", "word", "text", "n")
-_ENTRY_SCHEMA = "bucket int, chunk long, before binary, run binary, word binary, text binary, n binary, doc_ids array<long>, n_words binary, sums binary"
+_ENTRY_SCHEMA = "bucket long, chunk long, before binary, run binary, word binary, text binary, n binary, doc_ids array<long>, n_words binary, sums binary"
 
 
 def _entries(known):
@@ -286,8 +287,9 @@ def _entries(known):
         names = [c.split()[0] for c in _ENTRY_SCHEMA.split(", ")]
 
         def row(**given: pa.Array) -> pa.RecordBatch:
-            kinds = {"bucket": pa.int32(), "chunk": pa.int64(), "doc_ids": pa.list_(pa.int64())}
-            return pa.RecordBatch.from_arrays([given.get(c, pa.nulls(1, kinds.get(c, pa.binary()))) for c in names], names)
+            kinds = {"bucket": pa.int64(), "chunk": pa.int64(), "doc_ids": pa.list_(pa.int64())}
+            n = len(given["bucket"])
+            return pa.RecordBatch.from_arrays([given.get(c, pa.nulls(n, kinds.get(c, pa.binary()))) for c in names], names)
 
         for doc_ids, target, n, word, before in _chunks(batches):
             text = np.repeat(np.arange(len(n)), n)
@@ -303,15 +305,17 @@ def _entries(known):
             first = _runs(before, word, text)
             times = np.diff(np.r_[first, len(word)]).astype(np.uint32)
             bucket, before, word, text = bucket[first], before[first], word[first], text[first]
-            edge = np.searchsorted(bucket, np.arange(p.buckets + 1))
-            for b in np.flatnonzero(np.diff(edge)):
-                part = slice(edge[b], edge[b + 1])
-                own = _runs(before[part])
-                run_length = np.diff(np.r_[own, edge[b + 1] - edge[b]]).astype(np.uint32)
-                values = (before[part][own], run_length, word[part], text[part], times[part])
-                yield row(bucket=pa.array([b], pa.int32()), chunk=pa.array([chunk]), **{c: pa.array([x.tobytes()], pa.binary()) for c, x in zip(_ENTRY, values)})
+            start = _runs(bucket)
+            for lo in range(0, len(start), 256):  # rows of 256 buckets at a time
+                edge, rows = np.r_[start, len(bucket)][lo : lo + 257], []
+                for a, z in zip(edge, edge[1:]):
+                    own = _runs(before[a:z])
+                    run_length = np.diff(np.r_[own, z - a]).astype(np.uint32)
+                    rows.append([x.tobytes() for x in (before[a:z][own], run_length, word[a:z], text[a:z], times[a:z])])
+                values = {c: pa.array([r[k] for r in rows], pa.binary()) for k, c in enumerate(_ENTRY)}
+                yield row(bucket=pa.array(bucket[edge[:-1]].astype(np.int64)), chunk=pa.array([chunk] * len(rows)), **values)
             yield row(
-                bucket=pa.array([chunk % p.buckets], pa.int32()), chunk=pa.array([chunk]), doc_ids=pa.array([doc_ids], pa.list_(pa.int64())),
+                bucket=pa.array([chunk % p.buckets], pa.int64()), chunk=pa.array([chunk]), doc_ids=pa.array([doc_ids], pa.list_(pa.int64())),
                 n_words=pa.array([n.astype(np.int64).tobytes()], pa.binary()), sums=pa.array([sums.tobytes()], pa.binary()),
             )
             chunk += 1
@@ -390,15 +394,15 @@ def score_all(docs: DataFrame) -> DataFrame:
     """``score`` of each of the rows (doc_id, text, target) under models of all their words and pairs."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "target")
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    buckets = min(max(8, -(-size // BUCKET_BYTES)), 1 << 16)
-    words_of = docs.mapInArrow(_word_counts(buckets), "bucket int, word binary, n binary").groupBy("bucket")
+    buckets = max(8, -(-size // BUCKET_BYTES))
+    words_of = docs.mapInArrow(_word_counts(buckets), "bucket long, word binary, n binary").groupBy("bucket")
     # At most size / 2 / least words are that frequent.
     found = words_of.applyInArrow(_summed_words(max(1, size // 200_000)), "words long, word binary, n binary").toArrow()
     word, n = _all(found, "word", U), _all(found, "n", np.int64)
     ids = Ids(word[np.lexsort((word, -n))[:VOCABULARY]])
     pairs_known = _Pairs(buckets, ids, _counted(docs, ids), sum(found.column("words").to_pylist()) + 1)
     known = docs.sparkSession.sparkContext.broadcast(pairs_known)
-    told = docs.mapInArrow(_asked(known), "bucket int, word binary, asks binary, n binary, k binary").groupBy("bucket").applyInArrow(_told(known), "bucket int, word binary, n binary, k binary")
+    told = docs.mapInArrow(_asked(known), "bucket long, word binary, asks binary, n binary, k binary").groupBy("bucket").applyInArrow(_told(known), "bucket long, word binary, n binary, k binary")
     entries = docs.mapInArrow(_entries(known), _ENTRY_SCHEMA)
     sums = entries.groupBy("bucket").cogroup(told.groupBy("bucket")).applyInArrow(_met(known), _SUM_SCHEMA)
     return sums.groupBy("chunk").applyInArrow(_texts, "doc_id long, n_words long, target_loss double, background_loss double, difference double")
