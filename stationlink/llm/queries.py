@@ -75,10 +75,10 @@ def op8_multiset_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     near = fingerprint.with_next(_table(spark, sf_dir, "documents"))
     n, third = F.length("text"), F.floor(F.length("text") / 3).cast("int")
     near = near.withColumn("edited", F.concat(F.substr("text", F.lit(1), n - third), F.substr("next_text", F.lit(1), third)))
-    near = near.withColumn("edited_fingerprint", fingerprint.fingerprint(F.col("edited")))
+    near = near.withColumn("edited_fp", fingerprint.lanes("edited"))
     return near.select(
-        "doc_id", n.cast("long").alias("n_chars"), F.sha2("edited", 256).alias("edited_sha256"), F.col("fp").alias("fingerprint"), "edited_fingerprint",
-        fingerprint.likeness(F.col("fp"), F.col("edited_fingerprint")).alias("near_edited"), fingerprint.likeness(F.col("fp"), F.col("next_fp")).alias("near_next"),
+        "doc_id", n.cast("long").alias("n_chars"), F.sha2("edited", 256).alias("edited_sha256"), fingerprint.written(F.col("fp")).alias("fingerprint"),
+        fingerprint.written(F.col("edited_fp")).alias("edited_fingerprint"), fingerprint.likeness("fp", "edited_fp").alias("near_edited"), fingerprint.likeness("fp", "next_fp").alias("near_next"),
     )
 
 
@@ -157,10 +157,8 @@ from c join p on c.source is not distinct from p.source
 with w as (
   select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') as ws from documents),
 t as (select doc_id, unnest(ws) as word, unnest(range(len(ws))) as pos from w),
-v as (select word from (select word, count(*) as n from t group by 1) order by n desc, word limit 1000),
-z as (select (select count(*) from v) + 1 as number),
-i as (select t.doc_id, t.pos, coalesce(v.word, '<other>') as word from t left join v using (word)),
-b as (select doc_id, word, coalesce(lag(word) over (partition by doc_id order by pos), '<start>') as before from i),
+z as (select count(distinct word) + 1 as number from t),
+b as (select doc_id, word, coalesce(lag(word) over (partition by doc_id order by pos), ' ') as before from t),
 g as (select distinct doc_id from labels where quality = 1 and toxic = 0),
 m as (select b.before, b.word, count(*) as n, count(g.doc_id) as k from b left join g using (doc_id) group by 1, 2),
 u as (select word, sum(n) as n, sum(k) as k from m group by 1),

@@ -7,6 +7,9 @@ import xxhash
 from pyspark.sql import functions as F
 
 from stationlink.llm import chat, fingerprint, html_extract, mixing, sharding
+from stationlink.llm.queries import QUERIES
+
+SMALL = "/root/testdata/sf0.001"
 
 
 def test_shards_equal_a_global_sort(spark):
@@ -64,33 +67,51 @@ def test_chat_round_trip(spark):
     assert chat.read_back(chat.expand(df.limit(0))).count() == 0
 
 
+def _hash(x, seed=42):
+    return xxhash.xxh64(x, seed=seed).intdigest()
+
+
+def _packed(hashes, lanes):
+    """Lanes of 16 bits as longs of four: a byte's bit j of 64 goes to lane (2 j + byte % 2) * 4 + byte // 2."""
+    out = [0] * lanes
+    for h in hashes:
+        for k in range(lanes // 64):
+            own = h if k == 0 else _hash(k.to_bytes(4, "little"), _hash(h.to_bytes(8, "little")))
+            for bit in range(64):
+                byte, j = divmod(bit, 8)
+                at = 64 * k + (2 * j + byte % 2) * 4 + byte // 2
+                out[at] = (out[at] + (own >> bit & 1)) % (1 << 16)
+    return [sum(x << 16 * i for i, x in enumerate(out[k : k + 4])) for k in range(0, lanes, 4)]
+
+
 def _lanes(text):
+    text = text or ""
     wide = [0] * fingerprint.WIDE
-    for p in (text or "").split("\n"):
+    for p in text.split("\n"):
         if p.strip(" "):
-            h = hashlib.sha256(("0" + p).encode()).hexdigest() + hashlib.sha256(("1" + p).encode()).hexdigest()
-            wide = [(w + int(h[8 * k : 8 * k + 8], 16)) % (1 << 32) for k, w in enumerate(wide)]
-    sketch = [0] * fingerprint.LANES * fingerprint.LEVELS
-    import re
-
-    for p in re.split(r"(?<=[.!?,;|])[ \t\n\x0b\f\r]+|\n", text or ""):
-        if p.strip(" "):
-            h = int(hashlib.md5(p.strip(" ").encode()).hexdigest()[:15], 16)
-            for level in range(fingerprint.LEVELS):
-                if h % 4**level == 0:
-                    k = level * fingerprint.LANES + (h >> 4) % fingerprint.LANES
-                    sketch[k] = (sketch[k] + (h >> 9)) % (1 << 16)
-    return "".join(f"{x:08x}" for x in wide) + "".join(f"{x:04x}" for x in sketch)
+            digest = hashlib.sha256(p.encode()).hexdigest().encode()
+            wide = [(w + (_hash(digest, _hash(k.to_bytes(4, "little"))) & 0xFFFFFFFF)) % (1 << 32) for k, w in enumerate(wide)]
+    pieces = text
+    for m in fingerprint.MARKS:
+        pieces = pieces.replace(m, m + "\n")
+    pieces = [q for p in pieces.split("\n") for q in ([p] if len(p) <= fingerprint.LONG else [p[i : i + fingerprint.PART] for i in range(0, len(p), fingerprint.PART)]) if q]
+    lines = (" " + text.replace("\n", " \n ") + " ").split("\n")
+    runs = [p[i : i + 3] for p in lines for i in range(len(p) - 2)] if len(text) <= fingerprint.SHORT else None
+    out = "".join(f"{x:08x}" for x in wide)
+    for found, lanes in ((pieces, fingerprint.LANES), (runs, fingerprint.SHORT_LANES)):
+        out += f"{len(found or []):08x}" + ("" if found is None else "".join(f"{x:016x}" for x in _packed([_hash(p.encode()) for p in found], lanes)))
+    return out
 
 
 def test_fingerprints_equal_brute_force_and_next_rows(spark):
     r = random.Random(7)
     line = lambda: " ".join(r.choice(["ab.", "cd", "é!", "x|", "y"]) for _ in range(r.randint(0, 9)))
     rows = [(k * 3 % 997, "\n".join(line() for _ in range(r.randint(0, 6)))) for k in range(120)] + [(2000, None), (2001, ""), (5000, "twin"), (5000, "twin b"), (None, "z")]
-    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("range", F.lit("clash"))
+    rows += [(6000, "ab. " * 700), (6001, "".join(f"w{k} " for k in range(900)))]  # more pieces than are summed at once; one long line
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("range", F.lit("clash")).withColumn("fp", F.lit(1))
     old, fingerprint.ROWS_PER_RANGE = fingerprint.ROWS_PER_RANGE, 5
     try:
-        got = fingerprint.with_next(df).collect()
+        got = fingerprint.with_next(df).select("doc_id", "text", fingerprint.written(F.col("fp")).alias("fp"), "next_text", fingerprint.written(F.col("next_fp")).alias("next_fp")).collect()
     finally:
         fingerprint.ROWS_PER_RANGE = old
     order = sorted(((-(1 << 63) if k is None else k, t or "") for k, t in rows), reverse=True)
@@ -98,14 +119,45 @@ def test_fingerprints_equal_brute_force_and_next_rows(spark):
     assert sorted((-(1 << 63) if x.doc_id is None else x.doc_id, x.text, x.fp, x.next_text, x.next_fp) for x in got) == want
 
 
+def test_fingerprint_query_equals_its_definition(spark):
+    docs = {r.doc_id: r.text or "" for r in spark.read.parquet(f"{SMALL}/documents.parquet").collect()}
+    ids = sorted(docs, reverse=True)
+    following = {k: docs[ids[(i + 1) % len(ids)]] for i, k in enumerate(ids)}
+    got = QUERIES["op8_multiset_fingerprint"](spark, SMALL).collect()
+    assert sorted(r.doc_id for r in got) == sorted(ids)
+    better = 0
+    for r in got:
+        text = docs[r.doc_id]
+        third = len(text) // 3
+        edited = text[: len(text) - third] + following[r.doc_id][:third]
+        assert r.n_chars == len(text) and r.edited_sha256 == hashlib.sha256(edited.encode()).hexdigest()
+        assert r.fingerprint == _lanes(text) and r.edited_fingerprint == _lanes(edited)
+        better += r.near_edited > r.near_next
+    assert better / len(got) >= 0.99
+
+
+def test_fingerprint_query_on_an_empty_table(spark):
+    none = spark.createDataFrame([], "doc_id long, text string")
+    assert fingerprint.with_next(none).count() == 0
+
+
 def test_fingerprints_add_remove_and_ignore_order(spark):
-    a, b, both = F.lit("one\ntwo"), F.lit("three"), F.lit("three\n\none\ntwo")
-    w = fingerprint.wide_lanes
-    row = spark.range(1).select(
-        (fingerprint.added(w(a), w(b)) == w(both)).alias("x"), (fingerprint.removed(w(both), w(b)) == w(a)).alias("y"), (fingerprint.fingerprint(F.lit("p.\nq")) == fingerprint.fingerprint(F.lit("q\np."))).alias("z"),
-        fingerprint.likeness(fingerprint.fingerprint(both), fingerprint.fingerprint(both)).alias("same"), fingerprint.likeness(fingerprint.fingerprint(a), fingerprint.fingerprint(b)).alias("other"), fingerprint.likeness(fingerprint.fingerprint(F.lit("")), fingerprint.fingerprint(F.lit(None).cast("string"))).alias("none"),
+    texts = {"a": "one\ntwo", "b": "three", "ab": "three\n\none\ntwo", "p": "p.\nq", "q": "q\np.", "e": "", "n": None}
+    r = random.Random(5)
+    sentence = lambda: " ".join("".join(r.choice("abcdefghij") for _ in range(5)) for _ in range(6)) + ". "
+    long = [sentence() for _ in range(600)]
+    texts |= {"l": "".join(long), "half": "".join(long[:300]) + "".join(sentence() for _ in range(300)), "other": "".join(sentence() for _ in range(600)), "x12": "".join(sentence() for _ in range(12)), "y12": "".join(sentence() for _ in range(12))}
+    row = spark.createDataFrame([tuple(texts.values())], ", ".join(f"{k} string" for k in texts)).select(*[fingerprint.lanes(f"`{k}`").alias(k) for k in texts])
+    like = lambda a, b: fingerprint.likeness(a, b).alias(f"{a}_{b}")
+    same = lambda a, b: (F.col(a) == F.col(b)).alias(f"{a}_{b}_same")
+    got = row.select(
+        (fingerprint.added("a.wide", "b.wide") == F.col("ab.wide")).alias("sum"), (fingerprint.removed("ab.wide", "b.wide") == F.col("a.wide")).alias("less"), same("p", "q"),
+        like("ab", "ab"), like("a", "b"), like("e", "n"), like("e", "a"), like("l", "half"), like("l", "other"), like("x12", "y12"), like("l", "l"),
+        (fingerprint.read(fingerprint.written(F.col("l"))) == F.col("l")).alias("read_long"), (fingerprint.read(fingerprint.written(F.col("a"))) == F.col("a")).alias("read_short"),
     ).first()
-    assert row.x and row.y and row.z and row.same == 1 and row.other == 0 and row.none == 1
+    assert got.sum and got.less and got.p_q_same and got.read_long and got.read_short
+    assert got.ab_ab == got.e_n == got.l_l == 1 and got.e_a == 0 and got.a_b < 0.4
+    assert abs(got.l_half - 0.5) < 0.2 and got.l_other < 0.3 and got.x12_y12 < 0.4  # whatever the number of pieces
 
 
 def test_main_text_of_unseen_layouts():
