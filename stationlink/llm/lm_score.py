@@ -29,7 +29,7 @@ BIGRAM, UNIGRAM, UNIFORM = 0.6, 0.35, 0.05
 #: Most ids of target documents that are broadcast; more are joined by a shuffle of the texts.
 BROADCAST_IDS = 4_000_000
 #: Bytes of text for each bucket of counts, and the words that a task holds before it writes them to its buckets.
-BUCKET_BYTES, CHUNK_WORDS, CHUNK_TEXTS = 8_000_000, 400_000, 16_384
+BUCKET_BYTES, CHUNK_WORDS, CHUNK_TEXTS = 14_000_000, 600_000, 16_384
 _START = U(0x5BD1E9955BD1E995)
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -186,7 +186,14 @@ def _dealt(bucket: np.ndarray, **columns: np.ndarray) -> Iterator[pa.RecordBatch
 
 
 def _all(table: pa.Table, name: str, kind: type) -> np.ndarray:
-    return np.frombuffer(b"".join(x for x in table.column(name).to_pylist() if x is not None), kind)
+    """The bytes of a binary column, one row after the other, as numbers; without a copy."""
+    rows = table.column(name).combine_chunks()
+    rows = rows.chunk(0) if isinstance(rows, pa.ChunkedArray) and rows.num_chunks else rows
+    _, offset, data = rows.buffers() if len(rows) else (None, None, None)
+    if data is None:
+        return np.zeros(0, kind)
+    offset = np.frombuffer(offset, np.int32)[rows.offset : rows.offset + len(rows) + 1]
+    return np.frombuffer(data, np.uint8)[offset[0] : offset[-1]].view(kind)
 
 
 def _runs(*columns: np.ndarray) -> np.ndarray:
@@ -240,8 +247,8 @@ class _Pairs:
         return np.where(before == _START, self.ids.number, self.ids.of_hashes(before))
 
     def bucket(self, before: np.ndarray, before_id: np.ndarray, word: np.ndarray) -> np.ndarray:
-        """By the word before, whose pairs then are together; by the pair if the word before is frequent."""
-        return _bucket(np.where(before_id > 0, before * U(0x9E3779B97F4A7C15) + word, before), self.buckets)
+        """By the word before, whose pairs then are together; by the word, which one bucket then asks for, if that before is frequent."""
+        return _bucket(np.where(before_id > 0, word, before), self.buckets)
 
 
 def _asked(known):
@@ -274,6 +281,14 @@ def _told(known):
     return run
 
 
+def _bytes(n: np.ndarray) -> np.ndarray:
+    """Numbers as sums of bytes: 255 as often as it fits, and the rest."""
+    parts = -(-n // 255)
+    out = np.full(parts.sum(), 255, np.uint8)
+    out[np.cumsum(parts) - 1] = n - 255 * (parts - 1)
+    return out
+
+
 _ENTRY = ("before", "run", "word", "text", "n")
 _ENTRY_SCHEMA = "bucket long, chunk long, before binary, run binary, word binary, text binary, n binary, doc_ids array<long>, n_words binary, sums binary"
 
@@ -303,7 +318,8 @@ def _entries(known):
             order = order[np.argsort(bucket[order], kind="stable")]
             bucket, before, word, text = bucket[order], before[order], word[order], text[order]
             first = _runs(before, word, text)
-            times = np.diff(np.r_[first, len(word)]).astype(np.uint32)
+            times = np.diff(np.r_[first, len(word)])
+            first, times = np.repeat(first, -(-times // 255)), _bytes(times)
             bucket, before, word, text = bucket[first], before[first], word[first], text[first]
             start = _runs(bucket)
             for lo in range(0, len(start), 256):  # rows of 256 buckets at a time
@@ -333,15 +349,15 @@ def _met(known):
         p = known.value
         base = entries.filter(pc.is_valid(entries.column("n_words")))
         rows = entries.filter(pc.is_null(entries.column("n_words")))
-        length = np.array([len(x) // 2 for x in rows.column("text").to_pylist()], np.int64)
+        length = pc.binary_length(rows.column("text")).to_numpy().astype(np.int64) // 2
         before = np.repeat(_all(rows, "before", U), _all(rows, "run", np.uint32))
-        word, text, n = _all(rows, "word", U), _all(rows, "text", np.uint16), _all(rows, "n", np.uint32)
-        order = np.lexsort((word, before))
+        word, text, n = _all(rows, "word", U), _all(rows, "text", np.uint16), _all(rows, "n", np.uint8)
+        order = np.lexsort((word, before)).astype(np.int32)
         before, word = before[order], word[order]
         first = _runs(before, word)
         times = n[order].astype(np.int64)
         pair = np.stack([_sums(times, first), _sums(times * (text[order] & 1), first)])
-        of_entry = np.empty(len(order), np.int64)
+        of_entry = np.empty(len(order), np.int32)
         of_entry[order] = np.repeat(np.arange(len(first)), np.diff(np.r_[first, len(order)]))
         del times, order
         before, word = before[first], word[first]
