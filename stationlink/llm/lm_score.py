@@ -174,6 +174,18 @@ def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, np.ndarra
         yield joined()
 
 
+_CODEC = pa.Codec("zstd", 3)
+
+
+def _squeezed(*parts: np.ndarray) -> bytes:
+    raw = b"".join(x.tobytes() for x in parts)
+    return len(raw).to_bytes(4, "little") + _CODEC.compress(raw, asbytes=True)
+
+
+def _whole(row: bytes) -> bytes:
+    return _CODEC.decompress(row[4:], int.from_bytes(row[:4], "little"), asbytes=True)
+
+
 def _dealt(bucket: np.ndarray, **columns: np.ndarray) -> Iterator[pa.RecordBatch]:
     """A row for each bucket: the bytes of its entries of each column."""
     order = np.argsort(bucket, kind="stable")
@@ -181,19 +193,13 @@ def _dealt(bucket: np.ndarray, **columns: np.ndarray) -> Iterator[pa.RecordBatch
     first = _runs(bucket)
     for lo in range(0, len(first), 256):  # rows of 256 buckets at a time
         edge = np.r_[first, len(bucket)][lo : lo + 257]
-        cut = [pa.array([x[a:b].tobytes() for a, b in zip(edge, edge[1:])], pa.binary()) for x in columns.values()]
+        cut = [pa.array([_squeezed(x[a:b]) for a, b in zip(edge, edge[1:])], pa.binary()) for x in columns.values()]
         yield pa.RecordBatch.from_arrays([pa.array(bucket[edge[:-1]].astype(np.int64), pa.int64()), *cut], ["bucket", *columns])
 
 
 def _all(table: pa.Table, name: str, kind: type) -> np.ndarray:
-    """The bytes of a binary column, one row after the other, as numbers; without a copy."""
-    rows = table.column(name).combine_chunks()
-    rows = rows.chunk(0) if isinstance(rows, pa.ChunkedArray) and rows.num_chunks else rows
-    _, offset, data = rows.buffers() if len(rows) else (None, None, None)
-    if data is None:
-        return np.zeros(0, kind)
-    offset = np.frombuffer(offset, np.int32)[rows.offset : rows.offset + len(rows) + 1]
-    return np.frombuffer(data, np.uint8)[offset[0] : offset[-1]].view(kind)
+    """The numbers of all rows of a column of squeezed bytes."""
+    return np.concatenate([np.zeros(0, kind), *[np.frombuffer(_whole(x), kind) for x in table.column(name).to_pylist() if x is not None]])
 
 
 def _runs(*columns: np.ndarray) -> np.ndarray:
@@ -224,7 +230,7 @@ def _summed_words(least: int):
         word, at = np.unique(_all(table, "word", U), return_inverse=True)
         n = np.bincount(at, _all(table, "n", np.int64)).astype(np.int64)
         often = n >= least
-        return pa.table({"words": pa.array([len(word)], pa.int64()), "word": pa.array([word[often].tobytes()], pa.binary()), "n": pa.array([n[often].tobytes()], pa.binary())})
+        return pa.table({"words": pa.array([len(word)], pa.int64()), "word": pa.array([_squeezed(word[often])], pa.binary()), "n": pa.array([_squeezed(n[often])], pa.binary())})
 
     return run
 
@@ -234,6 +240,8 @@ class _Pairs:
 
     def __init__(self, buckets: int, ids: Ids, count: np.ndarray, number: int):
         self.buckets, self.ids, self.number = buckets, ids, number
+        self.hash_of = np.zeros(ids.number + 1, U)
+        self.hash_of[ids.ids], self.hash_of[ids.number] = ids.keys, _START
         self.word, self.context, self.total = count.sum(axis=1), count.sum(axis=2), count.sum(axis=(1, 2))
         c, u = self.context[:, :, None], self.word[:, None, :]
         self.known = np.stack([self.loss(k, count[k], c[k], u[k]) for k in (1, 0)])  # target, background
@@ -250,6 +258,23 @@ class _Pairs:
         """By the word before, whose pairs then are together; by the word, which one bucket then asks for, if that before is frequent."""
         return _bucket(np.where(before_id > 0, word, before), self.buckets)
 
+    def read(self, row: bytes) -> tuple[np.ndarray, ...]:
+        """(before, word, text, n) of written entries."""
+        data, at = _whole(row), 16
+        known, runs, rest, rare = np.frombuffer(data, np.uint32, 4).tolist()
+
+        def take(number: int, kind: type) -> np.ndarray:
+            nonlocal at
+            out = np.frombuffer(data, kind, number, at)
+            at += out.nbytes
+            return out
+
+        of = self.hash_of
+        before_id, word, before, size, word_id, rare_word = take(known, np.uint16), take(known, U), take(runs, U), take(runs, np.uint32), take(rest, np.uint16), take(rare, U)
+        other = of[word_id]
+        other[word_id == 0] = rare_word
+        return np.r_[of[before_id], np.repeat(before, size)], np.r_[word, other], take(known + rest, np.uint16), take(known + rest, np.uint8)
+
 
 def _asked(known):
     """Counts of words that aren't frequent, with the buckets that ask for them, to the words' buckets."""
@@ -289,8 +314,19 @@ def _bytes(n: np.ndarray) -> np.ndarray:
     return out
 
 
-_ENTRY = ("before", "run", "word", "text", "n")
-_ENTRY_SCHEMA = "bucket long, chunk long, before binary, run binary, word binary, text binary, n binary, doc_ids array<long>, n_words binary, sums binary"
+def _written(before: np.ndarray, before_id: np.ndarray, word: np.ndarray, word_id: np.ndarray, text: np.ndarray, n: np.ndarray) -> bytes:
+    """Entries of one chunk and bucket, sorted by the word before: frequent words as ids, the others as hashes."""
+    known = before_id > 0
+    rest, own = ~known, before[~known]
+    run = _runs(own)
+    size = np.diff(np.r_[run, len(own)]).astype(np.uint32)
+    rare = word_id[rest] == 0
+    numbers = np.array([known.sum(), len(run), len(own), rare.sum()], np.uint32)
+    order = np.r_[np.flatnonzero(known), np.flatnonzero(rest)]
+    return _squeezed(numbers, before_id[known].astype(np.uint16), word[known], own[run], size, word_id[rest].astype(np.uint16), word[rest][rare], text[order], n[order])
+
+
+_ENTRY_SCHEMA = "bucket long, chunk long, entries binary, doc_ids array<long>, n_words binary, sums binary"
 
 
 def _entries(known):
@@ -321,15 +357,12 @@ def _entries(known):
             times = np.diff(np.r_[first, len(word)])
             first, times = np.repeat(first, -(-times // 255)), _bytes(times)
             bucket, before, word, text = bucket[first], before[first], word[first], text[first]
+            before_id, word_id = p.ids_before(before), p.ids.of_hashes(word)
             start = _runs(bucket)
             for lo in range(0, len(start), 256):  # rows of 256 buckets at a time
-                edge, rows = np.r_[start, len(bucket)][lo : lo + 257], []
-                for a, z in zip(edge, edge[1:]):
-                    own = _runs(before[a:z])
-                    run_length = np.diff(np.r_[own, z - a]).astype(np.uint32)
-                    rows.append([x.tobytes() for x in (before[a:z][own], run_length, word[a:z], text[a:z], times[a:z])])
-                values = {c: pa.array([r[k] for r in rows], pa.binary()) for k, c in enumerate(_ENTRY)}
-                yield row(bucket=pa.array(bucket[edge[:-1]].astype(np.int64)), chunk=pa.array([chunk] * len(rows)), **values)
+                edge = np.r_[start, len(bucket)][lo : lo + 257]
+                rows = [_written(*[x[a:z] for x in (before, before_id, word, word_id, text, times)]) for a, z in zip(edge, edge[1:])]
+                yield row(bucket=pa.array(bucket[edge[:-1]].astype(np.int64)), chunk=pa.array([chunk] * len(rows)), entries=pa.array(rows, pa.binary()))
             yield row(
                 bucket=pa.array([chunk % p.buckets], pa.int64()), chunk=pa.array([chunk]), doc_ids=pa.array([doc_ids], pa.list_(pa.int64())),
                 n_words=pa.array([n.astype(np.int64).tobytes()], pa.binary()), sums=pa.array([sums.tobytes()], pa.binary()),
@@ -349,9 +382,10 @@ def _met(known):
         p = known.value
         base = entries.filter(pc.is_valid(entries.column("n_words")))
         rows = entries.filter(pc.is_null(entries.column("n_words")))
-        length = pc.binary_length(rows.column("text")).to_numpy().astype(np.int64) // 2
-        before = np.repeat(_all(rows, "before", U), _all(rows, "run", np.uint32))
-        word, text, n = _all(rows, "word", U), _all(rows, "text", np.uint16), _all(rows, "n", np.uint8)
+        got = [p.read(x) for x in rows.column("entries").to_pylist()]
+        length = np.array([len(x[3]) for x in got], np.int64)
+        before, word, text, n = (np.concatenate(x) for x in (zip(*got) if got else [np.zeros(0, k)[None] for k in (U, U, np.uint16, np.uint8)]))
+        del got
         order = np.lexsort((word, before)).astype(np.int32)
         before, word = before[order], word[order]
         first = _runs(before, word)
