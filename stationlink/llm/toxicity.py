@@ -129,19 +129,19 @@ def best_segments(score: np.ndarray, first: np.ndarray) -> np.ndarray:
 def maximal_segments(score: np.ndarray) -> list[tuple[int, int, float]]:
     """All maximal scoring segments (start, end, sum) of one text, left to right, by one scan over its positive tokens."""
     total = np.r_[0.0, np.cumsum(score)]
-    kept: list[list[float]] = []  # start, end, sum before, sum after
+    kept: list[tuple[int, int, float, float, int]] = []  # start, end, sum before, sum after, the last one before it whose sum before is smaller
     for i in np.flatnonzero(score > 0).tolist():
-        new = [i, i + 1, total[i], total[i + 1]]
+        start, low, high, j = i, total[i], total[i + 1], len(kept) - 1
         while True:
-            j = len(kept) - 1
-            while j >= 0 and kept[j][2] >= new[2]:
-                j -= 1
-            if j < 0 or kept[j][3] >= new[3]:
-                kept.append(new)
+            while j >= 0 and kept[j][2] >= low:
+                j = kept[j][4]  # what lies between has no smaller sum before
+            if j < 0 or kept[j][3] >= high:
+                kept.append((start, i + 1, low, high, j))
                 break
-            new = [kept[j][0], new[1], kept[j][2], new[3]]
-            del kept[j:]
-    return [(int(s), int(e), float(b - a)) for s, e, a, b in kept]
+            start, low, j = kept[j][0], kept[j][2], kept[j][4]
+            while len(kept) and kept[-1][0] >= start:  # each segment is taken out once
+                kept.pop()
+    return [(int(s), int(e), float(b - a)) for s, e, a, b, _ in kept]
 
 
 @dataclass
