@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 # Fixed values of HTML: elements whose text is never shown, that end a paragraph or block, and that have no end.
-HIDDEN = "script style template noscript iframe svg math object canvas".split()
+HIDDEN = "script style template noscript iframe".split()
 BLOCKS = frozenset(
     "html head body title article section nav aside main header footer div p h1 h2 h3 h4 h5 h6 ul ol li dl dt dd table caption thead tbody tfoot "
     "tr td th form fieldset legend label button select option textarea blockquote pre figure figcaption address details summary hr dialog menu center".split()
@@ -77,7 +77,7 @@ def leaf_blocks(page: str) -> list[Block]:
         if tag in _HIDDEN_END and not ends:
             if not m[3].endswith("/"):
                 hidden = _HIDDEN_END[tag].search(page, at)
-                at = hidden.end() if hidden else n
+                at = hidden.end() if hidden else at  # without an end, only the tag is left out
             continue
         if tag == "a":
             in_link = not ends
@@ -341,7 +341,7 @@ def trained(n: int = 800) -> Model:
     for page in labelled_pages(n):
         blocks = leaf_blocks(page)
         if blocks:
-            pages.append([(path_features(b.path) + text_features(b), b.label or 0) for b in blocks][:80])
+            pages.append([(path_features(b.path) + text_features(b), b.label or 0) for b in blocks])
     return fit_chain(pages)
 
 
