@@ -16,6 +16,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from stationlink.plans.workspace import materialize
+
 #: Most sampled keys in one round, and ranges for each shard.
 SAMPLE, RANGES_PER_SHARD = 20_000, 16
 #: A range of more than this many times its share of bytes is cut again; rounds of it.
@@ -94,13 +96,16 @@ def shard_by_bytes(docs: DataFrame, shards: int = 16, sample: int = SAMPLE) -> D
 
     Shards hold near equal bytes: any two differ by less than twice the largest row. slot counts the rows of a shard from
     0 in key order. A null text is empty; null ids come first among equal texts; rows that repeat a key are
-    interchangeable. With fewer rows than shards some shards are empty. Other columns are ignored.
+    interchangeable. With fewer rows than shards some shards are empty. Other columns are ignored. A very long text is one
+    row, never divided, so its shard may exceed the others by it; copies of one text are neighbours in the order, and a
+    group of them that crosses the edge of a shard is divided there, as the bytes ask.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("__doc"), F.col("text").alias("__text"))
     keys = _keyed(rows, F.col("__text")).select(
         "__h", "__id", F.col("__doc").alias("doc_id"), text_size(F.col("__text")).alias("size"),
         F.crc32(F.coalesce("__text", F.lit("")).cast("binary")).alias("text_crc32"),
     )
+    keys = materialize(keys, "shard-keys")  # texts are read and hashed once
     _, ranged = splitters(keys, shards, sample)
     sums = {r["__range"]: (r["s"], r["n"]) for r in ranged.groupBy("__range").agg(F.sum("size").alias("s"), F.count("*").alias("n")).collect()}
     return _placed(ranged, sums, shards)
