@@ -14,6 +14,8 @@ import heapq
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from stationlink.plans.workspace import materialize
+
 MAX_COPIES = 3
 #: Most (pattern, source) arcs the driver takes.
 MAX_ARCS = 200_000
@@ -25,6 +27,11 @@ def word_count(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long")
 
 
+def has_words(text: Column) -> Column:
+    """Whether ``word_count`` is above 0."""
+    return F.coalesce(F.regexp_like(text, F.lit(r"[^\x20\x09-\x0D]")), F.lit(False))
+
+
 def targets(sizes: list[tuple[str | None, int]], weights: list[float], cap: float = MAX_COPIES) -> list[float]:
     """Shares of the total by weight, none above ``cap`` times its size; what is cut off is shared again by weight."""
     total = float(sum(s for _, s in sizes))
@@ -40,25 +47,36 @@ def flow(patterns: dict[tuple[int, ...], int], quotas: list[int], max_copies: in
     """Tokens from each pattern (indices of its sources) to each source, at the least repetition cost.
 
     Successive cheapest paths over patterns and sources with convex costs: the k-th use of a pattern's tokens costs k*k.
-    Patterns that share no source with others are settled at once.
+    Patterns that are linked by sources make a network of their own; the networks are solved one after the other.
     """
-    out: dict[tuple[tuple[int, ...], int], int] = {}
-    need = list(quotas)
-    users: dict[int, int] = {}
-    for p in patterns:
-        for s in p:
-            users[s] = users.get(s, 0) + 1
-    shared = [p for p in patterns if len(p) > 1 or users[p[0]] > 1]
+    parent: dict[int, int] = {}
+
+    def top(s: int) -> int:
+        while parent.setdefault(s, s) != s:
+            parent[s] = s = parent[parent[s]]
+        return s
+
     for p in patterns:
-        if p not in shared:
-            out[p, p[0]] = min(need[p[0]], patterns[p] * max_copies)
-    own = {p: 0 for p in shared}
-    sent: dict[tuple[tuple[int, ...], int], int] = {(p, s): 0 for p in shared for s in p}
+        for s in p[1:]:
+            parent[top(s)] = top(p[0])
+    networks: dict[int, dict[tuple[int, ...], int]] = {}
+    for p, size in patterns.items():
+        networks.setdefault(top(p[0]), {})[p] = size
+    out: dict[tuple[tuple[int, ...], int], int] = {}
+    for own in networks.values():
+        out |= _network(own, quotas, max_copies)
+    return out
+
+
+def _network(patterns: dict[tuple[int, ...], int], quotas: list[int], max_copies: int) -> dict[tuple[tuple[int, ...], int], int]:
+    own = {p: 0 for p in patterns}
+    sent: dict[tuple[tuple[int, ...], int], int] = {(p, s): 0 for p in patterns for s in p}
     into: dict[int, list[tuple[int, ...]]] = {}
-    for p in shared:
+    for p in patterns:
         for s in p:
             into.setdefault(s, []).append(p)
-    short = {s: need[s] for s in into if need[s] > 0}
+    number = {p: k for k, p in enumerate(patterns)}
+    short = {s: quotas[s] for s in into if quotas[s] > 0}
 
     def next_use(p: tuple[int, ...]) -> tuple[int, int]:
         """(cost, room) of the pattern's cheapest tokens not yet used."""
@@ -67,7 +85,7 @@ def flow(patterns: dict[tuple[int, ...], int], quotas: list[int], max_copies: in
 
     while short:
         best: dict[object, tuple[int, object]] = {}
-        heap = [(next_use(p)[0], 0, k, p, None) for k, p in enumerate(shared) if next_use(p)[1] > 0]
+        heap = [(cost, 0, k, p, None) for p, k in number.items() for cost, room in [next_use(p)] if room > 0]
         heapq.heapify(heap)
         goal = None
         while heap:
@@ -85,7 +103,7 @@ def flow(patterns: dict[tuple[int, ...], int], quotas: list[int], max_copies: in
             else:  # tokens sent here may be taken back and go elsewhere
                 for p in into[node]:
                     if sent[p, node] > 0 and (0, p) not in best:
-                        heapq.heappush(heap, (cost, 0, k, p, node))
+                        heapq.heappush(heap, (cost, 0, number[p], p, node))
         if goal is None:
             break
         path, node, kind, amount = [], goal, 1, short[goal]
@@ -107,7 +125,7 @@ def flow(patterns: dict[tuple[int, ...], int], quotas: list[int], max_copies: in
         short[goal] -= amount
         if not short[goal]:
             del short[goal]
-    return out | {k: v for k, v in sent.items() if v}
+    return {k: v for k, v in sent.items() if v}
 
 
 def source_targets(docs: DataFrame, weights: tuple[float, ...] = (1.0, 2.0, 3.0)) -> list[tuple[str | None, int, float]]:
@@ -120,53 +138,98 @@ def source_targets(docs: DataFrame, weights: tuple[float, ...] = (1.0, 2.0, 3.0)
     return [(s, n, t) for (s, n), t in zip(sizes, got)]
 
 
-def mix(docs: DataFrame, quotas: list[tuple[str | None, float]], seed: int = 7, max_copies: int = MAX_COPIES) -> DataFrame:
-    """``docs`` (key, size, sources, ...) with ``copies``: how often the mix takes each document.
+def _pattern(sources: Column) -> Column:
+    return F.to_json(F.struct(F.array_sort(F.array_distinct(sources)).alias("p")), {"ignoreNullFields": "false"})
+
+
+def _order(key: Column, seed: int) -> Column:
+    """Place of a document in the seeded order, 48 bits."""
+    return F.conv(F.substr(F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(key.cast("string"), F.lit("")))), F.lit(1), F.lit(12)), 16, 10).cast("long")
+
 
-    ``sources`` is the array of sources a document belongs to (null is a source; duplicates count once; an empty array
-    belongs nowhere and isn't taken). Documents of size 0 are taken 0 times. The seeded order is a hash of ``key`` and
-    the seed, ties by key; rows with one key and pattern are taken together or not. Each quota is met to within the size
-    of one document for each of its patterns, or as far as ``max_copies`` of its documents go.
+class Mix:
+    """Which documents a mix takes, and how often: a rule by pattern and seeded order, for tables of any further columns.
+
+    ``docs`` has key, size, sources; other columns are ignored. ``sources`` is the array of sources a document belongs to
+    (null is a source; duplicates count once; an empty array belongs nowhere and isn't taken). Documents of size 0 are
+    taken 0 times. The seeded order is a hash of ``key`` and the seed, ties by key; rows with one key and pattern are
+    taken together or not. Each quota is met to within the size of one document for each of its patterns, or as far as
+    ``max_copies`` of its documents go. An empty table gives a rule that takes nothing.
+
+    The place in the order where a pattern's rest is reached is found by counting: in BINS parts of the order, then again
+    in BINS parts of the one it lies in, and so on, until few documents are left, which are looked at one by one.
     """
-    spark = docs.sparkSession
-    docs = docs.withColumn("__pattern", F.array_sort(F.array_distinct("sources"))).withColumn("__p", F.to_json(F.struct("__pattern"), {"ignoreNullFields": "false"}))
-    counted = docs.groupBy("__p").agg(F.first("__pattern").alias("pattern"), F.sum("size").alias("s")).limit(MAX_ARCS + 1).collect()
-    if sum(len(r["pattern"] or []) for r in counted) > MAX_ARCS or len(counted) > MAX_ARCS:
-        raise ValueError(f"more than {MAX_ARCS} membership patterns: group sources before mixing")
-    index = {s: k for k, (s, _) in enumerate(quotas)}
-    patterns, names = {}, {}
-    for r in counted:
-        p = tuple(sorted(index[s] for s in r["pattern"] if s in index))
-        if p and r["s"]:
-            patterns[p] = patterns.get(p, 0) + r["s"]
-            names.setdefault(p, []).append((r["__p"], r["s"]))
-    routed: dict[tuple[int, ...], int] = {}
-    for (p, _), tokens in flow(patterns, [int(q + 0.5) for _, q in quotas], max_copies).items():
-        routed[p] = routed.get(p, 0) + tokens
-    plan = []
-    for p, tokens in routed.items():
-        whole, rest = divmod(tokens, patterns[p])
-        for name, size in names[p]:
-            plan.append((name, int(min(whole, max_copies)), int(round(rest * size / patterns[p])) if whole < max_copies else 0))
-    plan_df = spark.createDataFrame(plan, "__p string, __whole int, __rest long")
-    docs = docs.withColumn("__u", F.conv(F.substr(F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("key").cast("string"), F.lit("")))), F.lit(1), F.lit(12)), 16, 10).cast("long"))
-    docs = docs.withColumn("__bin", (F.col("__u") / ((1 << 48) // BINS)).cast("int"))
-    wv = Window.partitionBy("__p").orderBy("__bin")
-    bins = docs.groupBy("__p", "__bin").agg(F.sum("size").alias("__s"))  # at most BINS rows a pattern
-    bins = bins.withColumn("__before", F.sum("__s").over(wv) - F.col("__s")).join(F.broadcast(plan_df), "__p")
-    # In each pattern one bin holds the place where the rest is reached: before it all are in, after it none.
-    edge = bins.where("__before < __rest and __before + __s >= __rest").select("__p", "__whole", "__rest", F.col("__bin").alias("__edge"), "__before")
-    edge = plan_df.join(edge.drop("__whole", "__rest"), "__p", "left").withColumn("__edge", F.coalesce("__edge", F.lit(-1)))
-    marked = docs.join(F.broadcast(edge), "__p", "left")
-    inside = F.col("__bin") < F.col("__edge")
-    at_edge = F.col("__bin") == F.col("__edge")
-    w = Window.partitionBy("__p").orderBy("__u", "key")
-    last = marked.where(at_edge).withColumn("__run", F.sum("size").over(w))
-    nearer = (F.col("__before") + F.col("__run") - F.col("__rest")) * 2 <= F.col("size")
-    last = last.where((F.col("__before") + F.col("__run") <= F.col("__rest")) | nearer)
-    last = last.groupBy("__p").agg(F.max(F.struct("__u", "key")).alias("__upto"))
-    marked = marked.join(F.broadcast(last), "__p", "left")
-    within = at_edge & (F.struct("__u", "key") <= F.col("__upto"))
-    copies = F.coalesce(F.col("__whole"), F.lit(0)) + F.when(inside | F.coalesce(within, F.lit(False)), 1).otherwise(0)
-    out = F.when(F.col("size") > 0, F.least(copies, F.lit(max_copies))).otherwise(0).cast("int")
-    return marked.withColumn("copies", out).drop("__p", "__pattern", "__u", "__bin", "__whole", "__rest", "__edge", "__before", "__upto")
+
+    #: Rows of one part that are sorted in one task.
+    FEW = 100_000
+
+    def __init__(self, docs: DataFrame, quotas: list[tuple[str | None, float]], seed: int = 7, max_copies: int = MAX_COPIES):
+        self.spark, self.seed, self.max_copies = docs.sparkSession, seed, max_copies
+        docs = docs.select("key", "size", F.array_sort(F.array_distinct("sources")).alias("pattern"), _pattern(F.col("sources")).alias("p"))
+        counted = docs.groupBy("p").agg(F.first("pattern").alias("pattern"), F.sum("size").alias("s")).limit(MAX_ARCS + 1).collect()
+        if sum(len(r["pattern"] or []) for r in counted) > MAX_ARCS or len(counted) > MAX_ARCS:
+            raise ValueError(f"more than {MAX_ARCS} membership patterns: group sources before mixing")
+        index = {s: k for k, (s, _) in enumerate(quotas)}
+        patterns: dict[tuple[int, ...], int] = {}
+        names: dict[tuple[int, ...], list[tuple[str, int]]] = {}
+        for r in counted:
+            p = tuple(sorted(index[s] for s in r["pattern"] or [] if s in index))
+            if p and r["s"]:
+                patterns[p] = patterns.get(p, 0) + r["s"]
+                names.setdefault(p, []).append((r["p"], r["s"]))
+        routed: dict[tuple[int, ...], int] = {}
+        for (p, _), tokens in flow(patterns, [int(q + 0.5) for _, q in quotas], max_copies).items():
+            routed[p] = routed.get(p, 0) + tokens
+        plan = []
+        for p, tokens in routed.items():
+            whole, rest = divmod(tokens, patterns[p])
+            for name, size in names[p]:
+                plan.append((name, int(min(whole, max_copies)), int(round(rest * size / patterns[p])) if whole < max_copies else 0))
+        self.rule = self._edges(docs.select("p", "key", "size", _order(F.col("key"), seed).alias("u")), plan)
+
+    def _edges(self, docs: DataFrame, plan: list[tuple[str, int, int]]) -> DataFrame:
+        """(p, whole, last_u, last_key, has): documents of p up to (last_u, last_key) are taken once more, if has."""
+        spark = self.spark
+        left = {p: (0, 1 << 48, 0, rest) for p, _, rest in plan if rest > 0}  # from, to, size before, rest
+        while True:
+            wide = {p: x for p, x in left.items() if x[1] - x[0] > 1}
+            if not wide:
+                break
+            table = F.broadcast(spark.createDataFrame([(p, lo, max((hi - lo) // BINS, 1), hi) for p, (lo, hi, _, _) in wide.items()], "p string, lo long, width long, hi long"))
+            inside = docs.join(table, "p").where("u >= lo and u < hi")
+            bins = inside.groupBy("p", F.expr("(u - lo) div width").alias("bin")).agg(F.sum("size").alias("s"), F.count("*").alias("n"))  # at most BINS + 1 rows a pattern
+            w = Window.partitionBy("p").orderBy("bin")
+            bins = bins.withColumn("upto", F.sum("s").over(w))
+            rests = F.broadcast(spark.createDataFrame([(p, x[2], x[3]) for p, x in wide.items()], "p string, before long, rest long"))
+            edge = bins.join(rests, "p").where("before + upto - s < rest and before + upto >= rest").collect()  # one row a pattern
+            done = True
+            for r in edge:
+                lo, hi, before, rest = left[r["p"]]
+                width = max((hi - lo) // BINS, 1)
+                left[r["p"]] = (lo + r["bin"] * width, min(lo + (r["bin"] + 1) * width, hi), before + r["upto"] - r["s"], rest)
+                done = done and r["n"] <= self.FEW
+            if done or not edge:
+                break
+        table = F.broadcast(spark.createDataFrame([(p, *x) for p, x in left.items()], "p string, lo long, hi long, before long, rest long"))
+        last = docs.join(table, "p").where("u >= lo and u < hi")
+        run = F.col("before") + F.sum("size").over(Window.partitionBy("p").orderBy("u", "key"))
+        last = last.withColumn("run", run).where("run <= rest or (run - rest) * 2 <= size")
+        last = last.groupBy("p").agg(F.max(F.struct("u", "key")).alias("last"))
+        # Without a last document in the part itself, all before the part are taken.
+        plan_rows = [(p, whole, left[p][0] if p in left else -1) for p, whole, _ in plan]
+        rule = spark.createDataFrame(plan_rows, "p string, whole int, lo long").join(last, "p", "left")
+        return materialize(rule.select("p", "whole", "lo", "last"), "mix-rule")
+
+    def copies(self, docs: DataFrame, key: Column, sources: Column, some: Column) -> DataFrame:
+        """(row struct of all columns of ``docs``, copies); ``some``: whether a document's size is above 0. No shuffle of ``docs``."""
+        rows = docs.select(F.struct("*").alias("row"), _pattern(sources).alias("p"), key.alias("key"), _order(key, self.seed).alias("u"), some.alias("some"))
+        met = rows.join(F.broadcast(self.rule), "p", "left")  # at most MAX_ARCS rows
+        more = (F.col("u") < F.col("lo")) | F.coalesce(F.struct("u", "key") <= F.col("last"), F.lit(False))
+        number = F.coalesce("whole", F.lit(0)) + F.when(F.coalesce(more, F.lit(False)), 1).otherwise(0)
+        return met.select("row", F.when(F.col("some"), F.least(number, F.lit(self.max_copies))).otherwise(0).cast("int").alias("copies"))
+
+
+def mix(docs: DataFrame, quotas: list[tuple[str | None, float]], seed: int = 7, max_copies: int = MAX_COPIES) -> DataFrame:
+    """``docs`` (key, size, sources, ...) with ``copies`` by ``Mix``, in place of a column of this name if there is one."""
+    found = Mix(docs, quotas, seed, max_copies).copies(docs.drop("copies"), F.col("key"), F.col("sources"), F.col("size") > 0)
+    return found.select("row.*", "copies")
