@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from stationlink.llm.names import unused
 from stationlink.llm.textblocks import ALNUM, U, blocks, ngram_counts, ngrams, words
 from stationlink.plans.workspace import materialize
 
@@ -26,7 +27,6 @@ WINDOW = SPAN - K + 1
 PASS_BYTES = 32 << 20
 
 
-
 def winnow(grams: np.ndarray, first: np.ndarray) -> np.ndarray:
     """Sorted places of the selected grams; first[d]..first[d+1] are the places of text d."""
     place, _ = ngram_counts(first, WINDOW)
@@ -161,11 +161,12 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, keep: tuple[str, .
     an id are rows of their own among documents, and one item with several texts in the benchmark. Other columns are
     ignored. An empty benchmark hits nothing.
     """
-    return _found(docs, benchmark, pass_bytes).select(*keep, "__f.*")
+    name = unused(docs, "__f")
+    return _found(docs, benchmark, pass_bytes, name).select(*keep, f"{name}.*")
 
 
-def _found(docs: DataFrame, benchmark: DataFrame, pass_bytes: int) -> DataFrame:
-    """``docs`` with a struct __f of the findings."""
+def _found(docs: DataFrame, benchmark: DataFrame, pass_bytes: int, name: str) -> DataFrame:
+    """``docs`` with a struct ``name`` of the findings."""
     spark = docs.sparkSession
     items = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
     size = items.agg(F.coalesce(F.sum(F.octet_length("text") + 64), F.lit(0))).first()[0]
@@ -174,12 +175,13 @@ def _found(docs: DataFrame, benchmark: DataFrame, pass_bytes: int) -> DataFrame:
     for k in range(passes):
         part = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(passes)) == k) if passes > 1 else items
         known = spark.sparkContext.broadcast(Fingerprints([(r.item_id, r.text) for r in part.collect()]))
-        out = out.withColumn("__f", _marked(known, F.col("__f") if k else None))
+        out = out.withColumn(name, _marked(known, F.col(name) if k else None))
         if k < passes - 1:
             out = materialize(out, "marked")
     return out
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """Rows of ``docs`` that hold no window of the benchmark, with all their columns."""
-    return _found(docs, benchmark, PASS_BYTES).where(F.size("__f.items") == 0).drop("__f")
+    """Rows of ``docs`` that hold no window of the benchmark, with all their columns, whatever their names."""
+    name = unused(docs, "__f")
+    return _found(docs, benchmark, PASS_BYTES, name).where(F.size(f"{name}.items") == 0).drop(name)

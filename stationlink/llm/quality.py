@@ -17,6 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from stationlink.llm.labelled import labelled_sample
+from stationlink.llm.names import unused
 from stationlink.llm.textblocks import U, Words, blocks, mix, words
 
 GRADES = 3
@@ -151,14 +152,15 @@ def fit(docs: DataFrame, labels: DataFrame, max_rows: int = FIT_ROWS) -> Model:
 def score(docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """Columns ``keep``, expected_grade (0 to GRADES - 1), tail (P of grade 1 or better), accepted, for every row.
 
-    Null and empty texts are scored by their class alone. Rows that repeat are rows of their own.
+    Null and empty texts are scored by their class alone. Rows that repeat are rows of their own. Columns that aren't in
+    ``keep`` are ignored, whatever their names.
     """
-    out = _scored(docs, model)
-    return out.select(*keep, "__s.*")
+    name = unused(docs, "__s")
+    return _scored(docs, model, name).select(*keep, f"{name}.*")
 
 
-def _scored(docs: DataFrame, model: Model) -> DataFrame:
-    """``docs`` with a struct __s of the scores; only texts go through Arrow."""
+def _scored(docs: DataFrame, model: Model, name: str) -> DataFrame:
+    """``docs`` with a struct ``name`` of the scores; only texts go through Arrow."""
     known = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(texts: pa.Array) -> pa.Array:
@@ -166,9 +168,10 @@ def _scored(docs: DataFrame, model: Model) -> DataFrame:
         tail = np.concatenate(tails) if tails else np.zeros((0, GRADES - 1))
         return pa.StructArray.from_arrays([pa.array(tail.sum(axis=1)), pa.array(tail[:, 0]), pa.array(tail[:, 0] >= ACCEPT)], ["expected_grade", "tail", "accepted"])
 
-    return docs.withColumn("__s", F.arrow_udf(run, "struct<expected_grade:double,tail:double,accepted:boolean>")("text"))
+    return docs.withColumn(name, F.arrow_udf(run, "struct<expected_grade:double,tail:double,accepted:boolean>")("text"))
 
 
 def accepted(docs: DataFrame, model: Model) -> DataFrame:
-    """Rows of ``docs`` that are accepted, with all their columns."""
-    return _scored(docs, model).where("__s.accepted").drop("__s")
+    """Rows of ``docs`` that are accepted, with all their columns, whatever their names."""
+    name = unused(docs, "__s")
+    return _scored(docs, model, name).where(f"{name}.accepted").drop(name)

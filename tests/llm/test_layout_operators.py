@@ -1,4 +1,5 @@
 import hashlib
+import itertools
 import random
 import zlib
 
@@ -29,13 +30,28 @@ def test_shards_equal_a_global_sort(spark):
     assert sharding.shard_by_bytes(df.limit(0), 16).count() == 0
 
 
-def test_flow_fills_quotas_with_least_repetition():
-    got = mixing.flow({(0,): 100, (0, 1): 50, (1,): 10}, [120, 60])
-    assert got == {((0,), 0): 100, ((0, 1), 0): 10 + 10, ((0, 1), 1): 50 - 20 + 10, ((1,), 1): 20} or sum(v for (p, s), v in got.items() if s == 0) == 120 and sum(v for (p, s), v in got.items() if s == 1) == 60
-    used = {p: sum(v for (q, _), v in got.items() if q == p) for p in ((0,), (0, 1), (1,))}
-    cost = sum(max(0, used[p] - n) for p, n in (((0,), 100), ((0, 1), 50), ((1,), 10)))
-    assert cost == 20  # 180 words wanted of 160: no more repeated than that
-    assert sum(mixing.flow({(0,): 10}, [100]).values()) == 30
+def test_flow_has_the_least_repetition_cost():
+    r = random.Random(11)
+    for _ in range(60):
+        patterns = {p: r.randint(1, 3) for p in r.sample([(0,), (1,), (2,), (0, 1), (1, 2), (0, 1, 2)], r.randint(1, 3))}
+        quotas = [r.randint(0, 4) for _ in range(3)]
+        got = mixing.flow(patterns, quotas)
+        arcs = [(p, s) for p in patterns for s in p]
+        best = None
+        for amounts in itertools.product(range(5), repeat=len(arcs)):  # every whole flow
+            into, out = [0] * 3, dict.fromkeys(patterns, 0)
+            for (p, s), n in zip(arcs, amounts):
+                into[s] += n
+                out[p] += n
+            if all(x <= q for x, q in zip(into, quotas)) and all(out[p] <= 3 * n for p, n in patterns.items()):
+                cost = sum((k // patterns[p]) ** 2 for p, n in out.items() for k in range(n))
+                best = min(best or (0, 1 << 30), (-sum(into), cost))
+        assert all(sum(n for (_, t), n in got.items() if t == s) <= quotas[s] for s in range(3))
+        used = {p: sum(n for (q, _), n in got.items() if q == p) for p in patterns}
+        assert all(used[p] <= 3 * n for p, n in patterns.items())
+        assert (-sum(used.values()), sum((k // patterns[p]) ** 2 for p, n in used.items() for k in range(n))) == best
+    many = {(k % 3000, 3000 + k): 10 for k in range(6000)} | {(k,): 5 for k in range(20_000, 60_000)}
+    assert sum(mixing.flow({p: n for p, n in many.items() if len(p) == 1}, [5] * 60_000).values()) == 200_000
 
 
 def test_targets_stop_at_three_times_a_source():
@@ -43,14 +59,23 @@ def test_targets_stop_at_three_times_a_source():
     assert got[0] == 30 and sum(got) == pytest.approx(2010) and got[2] / got[1] == pytest.approx(1.5)
 
 
-def test_mix_takes_whole_documents_near_each_quota(spark):
+def test_mix_takes_whole_documents_near_each_quota(spark, monkeypatch):
     rows = [(k, k % 17, ["a"] if k % 3 else ["a", "b"]) for k in range(600)] + [(None, 5, ["b"]), (700, 4, [None]), (701, 9, [])]
     df = spark.createDataFrame(rows, "key long, size long, sources array<string>").withColumn("copies_of", F.lit(1))
     got = mixing.mix(df, [("a", 5000.0), ("b", 1500.0), (None, 8.0)]).collect()
     assert len(got) == len(rows) and all(0 <= r.copies <= 3 for r in got)
     assert abs(sum(r.copies * r["size"] for r in got) - 6508) < 60
     assert {r.key: r.copies for r in got}[701] == 0 and {r.key: r.copies for r in got}[700] == 2
-    assert sorted((str(r.key), r.copies) for r in got) == sorted((str(r.key), r.copies) for r in mixing.mix(df.repartition(7), [("a", 5000.0), ("b", 1500.0), (None, 8.0)]).collect())
+    quotas = [("a", 5000.0), ("b", 1500.0), (None, 8.0)]
+    want = sorted((str(r.key), r.copies) for r in got)
+    assert sorted((str(r.key), r.copies) for r in mixing.mix(df.repartition(7), quotas).collect()) == want
+    clash = df.withColumns({c: F.lit(9) for c in ("p", "u", "lo", "last", "row", "some", "whole", "copies", "__p")})
+    found = mixing.mix(clash, quotas)
+    assert found.columns == [c for c in clash.columns if c != "copies"] + ["copies"] and sorted((str(r.key), r.copies) for r in found.collect()) == want
+    assert mixing.mix(df.limit(0), quotas).count() == 0
+    monkeypatch.setattr(mixing.Mix, "FEW", 0)  # parts are cut again until they can't be
+    monkeypatch.setattr(mixing, "BINS", 16)
+    assert sorted((str(r.key), r.copies) for r in mixing.mix(df, quotas).collect()) == want
 
 
 def test_chat_round_trip(spark):
@@ -172,4 +197,9 @@ def test_main_text_of_unseen_layouts():
 def test_extraction_of_edge_cases(spark):
     rows = [(1, "u", None), (2, None, ""), (3, "u", "<p"), (4, "u", "<article><h1>A &amp; B</h1><p>x\n  y<br>z</p><script>no</script><!-- no --><p>&#233;t&eacute;</article>"), (4, "u", "<body><nav><a href=x>menu</a></nav>")]
     got = sorted(html_extract.extract(spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("text", F.lit(1))).collect(), key=lambda r: (r.page_id, r.text))
-    assert [r.text for r in got] == ["", "", got[2].text, "", "A & B x y z été"]
+    texts = {(r.page_id, r.text) for r in got}
+    assert texts - {(3, "p"), (3, "<p")} == {(1, ""), (2, ""), (4, "A & B x y z été"), (4, ""), *[t for t in texts if t[0] == 3 and t[1] == ""]}
+    more = [(5, "u", "<article><h1>Title here</h1><p>The area <math><mi>x</mi></math> of it <svg><text>is drawn</text></svg> and so on.</p></article>"), (6, "u", "<article><p>Before it.<script>a</p><p>After the open script there is text.</p></article>"), (7, "u", "<article><p>" + "A long text of one page. " * 40_000 + "</p></article>")]
+    read = {r.page_id: r.text for r in html_extract.extract(spark.createDataFrame(more, "page_id long, url string, html string")).collect()}
+    assert "area x of it is drawn and so on." in read[5] and "After the open script there is text." in read[6] and len(read[7]) == 40_000 * 25 - 1
+    assert html_extract.extract(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0

@@ -44,6 +44,7 @@ def test_contamination_equals_brute_force(spark):
     for size in (1 << 20, 300):  # one pass, and several
         got = [(x.doc_id, x.n_words, sum(s.end - s.start for s in x.spans), list(x["items"])) for x in decontaminate.find_contamination(df, bench, pass_bytes=size).collect()]
         assert sorted(got) == sorted(want)
+    df = df.withColumns({c: F.lit(c) for c in ("__f", "n_words", "spans")})
     clean = decontaminate.drop_contaminated(df, bench)
     assert clean.columns == df.columns and clean.count() == sum(not w[3] for w in want)
     assert decontaminate.find_contamination(df, bench.limit(0)).where("size(items) > 0").count() == 0
@@ -70,6 +71,20 @@ def test_maximal_segments_equal_the_recursive_definition():
         assert toxicity.best_segments(score, np.array([0, 25]))[0] == pytest.approx(max([x[2] for x in want], default=0))
 
 
+def test_segments_of_a_very_long_text_are_found_in_linear_time():
+    import time
+
+    r = np.random.default_rng(5)
+    score = r.normal(-0.2, 1, 1_000_000)
+    began = time.time()
+    got = toxicity.maximal_segments(score)
+    assert time.time() - began < 60
+    total = np.r_[0.0, np.cumsum(score)]
+    assert all(a < b for a, b, _ in got) and all(x[1] <= y[0] for x, y in zip(got, got[1:]))
+    assert max(x[2] for x in got) == pytest.approx(toxicity.best_segments(score, np.array([0, len(score)]))[0])
+    assert all(s == pytest.approx(total[b] - total[a]) for a, b, s in got[:1000])
+
+
 def graded(n=400):
     r = random.Random(6)
     rows, labels = [], []
@@ -111,7 +126,8 @@ def test_quality_grades_and_edge_cases(spark):
     got = {r.doc_id: r for r in quality.score(docs, model).collect()}
     assert sum(got[k].accepted == bool(q) for k, q, _ in labels) / len(labels) > 0.97
     assert all(0 <= r.expected_grade <= 2 for r in got.values())
-    assert quality.accepted(docs, model).columns == docs.columns
+    clash = docs.withColumns({c: F.lit(c) for c in ("__s", "accepted", "expected_grade")})
+    assert quality.accepted(clash, model).columns == clash.columns and quality.accepted(clash, model).count() == sum(r.accepted for r in got.values())
     assert quality.accepted(docs, quality.fit(docs, lab.limit(0))).count() == docs.count()
 
 
