@@ -36,12 +36,11 @@ def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them: sources weigh 1, 2, 3, repeating, none above three times its size."""
     ship(spark)
-    sized = docs.withColumn("__size", mixing.word_count(F.col("text")))
-    sizes = materialize(sized.select(F.col("doc_id").alias("key"), "source", F.col("__size").alias("size"), F.array("source").alias("sources")), "mix-sizes")
-    goals = [(s, t) for s, _, t in mixing.source_targets(sizes)]
-    copies = mixing.mix(sizes, goals).where("copies > 0").groupBy("key").agg(F.max("copies").alias("copies"))
-    taken = docs.join(copies, docs.doc_id.eqNullSafe(copies.key)).drop("key")
-    return taken.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*docs.columns)
+    sized = docs.select(F.col("doc_id").alias("key"), "source", mixing.word_count(F.col("text")).alias("size"), F.array("source").alias("sources"))
+    sizes = materialize(sized, "mix-sizes")
+    rule = mixing.Mix(sizes, [(s, t) for s, _, t in mixing.source_targets(sizes)])
+    found = rule.copies(docs, F.col("doc_id"), F.array("source"), mixing.has_words(F.col("text")))
+    return found.where("copies > 0").select("row", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("row.*")
 
 
 def shard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
