@@ -28,6 +28,8 @@ MANTISSA = 10
 #: Candidates whose estimate is this far (in standard deviations of the estimate) below the threshold are not confirmed.
 SLACK = 6.0
 HUB_ROUNDS = 2
+#: Bands with more than one part in so many of all members are divided.
+HOT_BANDS = 4000
 #: About how many shingles and texts a block has that is compared with another one as a whole.
 BLOCK_SHINGLES, BLOCK_ROWS = 1 << 15, 256
 
@@ -208,6 +210,11 @@ def _compared(percent: int):
     return run
 
 
+def _of_band(members: DataFrame, bands: DataFrame) -> DataFrame:
+    """``members`` (band, salt, ...) with the columns of ``bands`` (band, salts, ...), one row a band; a band is met once for each of its salts."""
+    return members.join(bands.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))), ["band", "salt"])
+
+
 class NearDuplicates:
     """Classes, links and groups of ``docs`` (doc_id, text).
 
@@ -229,11 +236,17 @@ class NearDuplicates:
     def _links(self, texts: DataFrame) -> DataFrame:
         """Roots of all linked classes: (node, root)."""
         banded = self.classes.select("node", "registers").mapInArrow(_banded, "band long, node long")
-        shared = banded.groupBy("band").agg(F.count("*").alias("size")).where("size > 1")
-        members = materialize(banded.join(shared, "band"), "bands")
+        shared = materialize(banded.groupBy("band").agg(F.count("*").alias("size")).where("size > 1"), "band-sizes")
+        # A band with more than its share of all members is dealt to several tasks; there are at most HOT_BANDS of them.
+        share = max(32, self.classes.count() * BANDS // HOT_BANDS)
+        hot = F.broadcast(shared.where(F.col("size") > share).select("band", F.ceil(F.col("size") / share).cast("int").alias("salts")))
+        sizes = shared.join(hot, "band", "left").withColumn("salts", F.coalesce("salts", F.lit(1)))
+        banded = banded.join(hot.withColumnRenamed("salts", "s"), "band", "left")
+        banded = banded.select("band", "node", F.pmod(F.xxhash64("node"), F.coalesce("s", F.lit(1))).cast("int").alias("salt"))
+        members = materialize(_of_band(banded, sizes), "bands")
         # Texts that meet many others in their bands are the middles of groups: the first hubs.
         central = members.groupBy("node").agg(F.sum("size").alias("central"))
-        members = materialize(members.select("band", "node").join(central, "node"), "members")
+        members = materialize(members.select("band", "salt", "salts", "node").join(central, "node"), "members")
         wanted = members.select("node").distinct().join(self.classes.select("node", "set_key", "least_id"), "node")
         # One row carries the text of a class: its least id; rows that repeat this id are told apart by their set.
         carrier = self.signed.where("set_key is not null").select("doc_id", "set_key").distinct()
@@ -250,12 +263,12 @@ class NearDuplicates:
                 open_members = members.withColumn("root", F.col("node"))
             else:
                 labelled = members.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-                mixed = labelled.groupBy("band").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("band")
-                open_members = labelled.join(mixed, "band")
+                mixed = labelled.groupBy("band").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.max("salts").alias("salts")).where("lo < hi").select("band", "salts")
+                open_members = _of_band(labelled.drop("salts"), mixed)
             if turn < HUB_ROUNDS:  # each member against one hub of its band, another one in each round
                 order = F.xxhash64("node", F.lit(turn)) if turn else F.col("central")
-                hubs = open_members.groupBy("band").agg(F.max(F.struct(order.alias("o"), F.col("node").alias("hub"), F.col("root").alias("hub_root"))).alias("h"))
-                pairs = open_members.join(hubs.select("band", "h.*"), "band").where("node != hub and root != hub_root")
+                hubs = open_members.groupBy("band").agg(F.max(F.struct(order.alias("o"), F.col("node").alias("hub"), F.col("root").alias("hub_root"))).alias("h"), F.max("salts").alias("salts"))
+                pairs = _of_band(open_members.drop("salts"), hubs.select("band", "salts", "h.*")).where("node != hub and root != hub_root")
                 pairs = pairs.select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b"))
                 found = materialize(self._confirmed(pairs.distinct(), registers, sets), "links")
             else:  # what is left: members of one band that no chain of links joins yet
@@ -274,8 +287,8 @@ class NearDuplicates:
         takes about (m / BLOCK_ROWS)^2 rows and not m^2.
         """
         members = self._possible(members, sets)
-        hubs = members.groupBy("band").agg(F.max(F.struct("central", "node")).alias("h"))
-        placed = members.join(hubs, "band").groupBy("node").agg(F.first("root").alias("root"), F.max("h").alias("h"))
+        hubs = members.groupBy("band").agg(F.max(F.struct("central", "node")).alias("h"), F.max("salts").alias("salts"))
+        placed = _of_band(members.drop("salts"), hubs).groupBy("node").agg(F.first("root").alias("root"), F.max("h").alias("h"))
         placed = placed.select("node", "root", F.col("h.node").alias("cluster")).join(self.classes.select("node", "n"), "node")
         parts = placed.groupBy("cluster").agg(F.ceil(F.greatest(F.sum("n") / BLOCK_SHINGLES, F.count("*") / BLOCK_ROWS)).alias("parts"))
         block = F.xxhash64("cluster", F.pmod(F.xxhash64("node"), F.col("parts")))
@@ -297,8 +310,8 @@ class NearDuplicates:
         p = self.percent
         nodes = members.select("node", "root").distinct().join(self.classes.select("node", "n"), "node")
         sized = members.join(nodes.select("node", "n"), "node")
-        least = sized.groupBy("band").agg(F.min("n").alias("least"))
-        meets = sized.join(least, "band").groupBy("node").agg(F.min("least").alias("least"))
+        least = sized.groupBy("band").agg(F.min("n").alias("least"), F.max("salts").alias("salts"))
+        meets = _of_band(sized.drop("salts"), least).groupBy("node").agg(F.min("least").alias("least"))
         shingles = materialize(nodes.select("node", "root").join(sets, "node").select("node", "root", F.explode("shingles").alias("shingle")), "shingles")
         spread = shingles.groupBy("shingle").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("shingle")
         common = shingles.join(spread, "shingle").groupBy("node").agg(F.count("*").alias("common"))
