@@ -82,7 +82,7 @@ MEASURES = {"ED": edit, "PED": prefix_edit, "JAC": jaccard, "BTS": bts_literal,
 
 
 def score_pairs(pairs: DataFrame, measures: list[str], a: str = "label_a", b: str = "label_b") -> DataFrame:
-    """``pairs`` with a column for each measure, computed once for each distinct pair of labels."""
+    """``pairs`` with a column for each measure, computed once for each distinct pair of labels; pairs with a null label are left out."""
     distinct = pairs.select(F.col(a).alias("__a"), F.col(b).alias("__b")).distinct()
     scored = distinct.select("__a", "__b", *[MEASURES[m](F.col("__a"), F.col("__b")).alias(m) for m in measures])
     return pairs.join(scored, (pairs[a] == scored["__a"]) & (pairs[b] == scored["__b"])).drop("__a", "__b")

@@ -4,8 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from stationlink.functions import naive, voting
+from stationlink.operators.spicing import in_train
 
 #: Threshold grids of the experiments.
 STRING_GRID = tuple(k / 20 for k in range(1, 20)) + (0.99,)
@@ -52,22 +54,86 @@ def best_threshold(curve: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     return curve.withColumn("__r", F.row_number().over(w)).where("__r = 1").drop("__r")
 
 
-def sweep_2d(scored: DataFrame, sim: str, d_grid: tuple[float, ...] = DISTANCE_GRID, t_grid: tuple[float, ...] = STRING_GRID, mode: str = "soft") -> DataFrame:
-    """Curve of P combined with a string score over (d_hat, t); distances count to 1 m, scores to 0.001.
+REPEATS = 5
+
+
+def parts_tested(pair_id, repeats: int = REPEATS, share: float = 0.2) -> Column:
+    """Bits of the repeats in whose test part a pair is."""
+    out = F.lit(0)
+    for r in range(repeats):
+        out = out + F.when(in_train(pair_id, r, share), 0).otherwise(1 << r)
+    return out
+
+
+def _entries(rows: DataFrame, methods: dict[str, str], repeats: int, mask: str) -> Column:
+    """array<struct<method, mask, s>>: a score counts in its pair's test parts; an array of scores has one for each repeat."""
+    out = []
+    for m, c in methods.items():
+        if isinstance(rows.schema[c].dataType, T.ArrayType):
+            out += [F.struct(F.lit(m).alias("method"), F.col(mask).bitwiseAND(F.lit(1 << r)).alias("mask"), F.col(c)[r].alias("s")) for r in range(repeats)]
+        else:
+            out.append(F.struct(F.lit(m).alias("method"), F.col(mask).alias("mask"), F.col(c).cast("double").alias("s")))
+    return F.array(*out)
+
+
+def _by_repeat(counts: DataFrame, keys: list[str], need: DataFrame, repeats: int) -> DataFrame:
+    """Measures for each row of ``need`` (*keys, need, ...) and repeat, from counts (*keys, mask, truth, k, n): positive if k >= need."""
+    parts = F.filter(F.sequence(F.lit(0), F.lit(repeats - 1)), lambda r: F.col("mask").bitwiseAND(F.call_function("shiftleft", F.lit(1), r)) != 0)
+    small = counts.select(*keys, "truth", "k", "n", F.explode(parts).alias("repeat")).groupBy(*keys, "repeat", "k")
+    small = small.agg(F.sum(F.when(F.col("truth") == 1, F.col("n")).otherwise(0)).alias("pos"), F.sum(F.when(F.col("truth") == 0, F.col("n")).otherwise(0)).alias("neg"))
+    total = F.sum("pos").alias("all_pos"), F.sum("neg").alias("all_neg")
+    met = F.broadcast(need).join(small, keys)  # a few hundred rows
+    yes = F.col("k") >= F.col("need")
+    out = met.groupBy(*[c for c in need.columns if c != "need"], "repeat").agg(F.sum(F.when(yes, F.col("pos")).otherwise(0)).alias("tp"), F.sum(F.when(yes, F.col("neg")).otherwise(0)).alias("fp"), *total)
+    shown = [c for c in need.columns if c != "need"]
+    return out.select(*shown, "repeat", *measures(F.col("tp"), F.col("fp"), F.col("all_pos") - F.col("tp"), F.col("all_neg") - F.col("fp")))
+
+
+def curves(rows: DataFrame, strings: dict[str, str], repeats: int = REPEATS, mask: str = "test") -> DataFrame:
+    """(method, t, repeat, tp, ..., f1) of P and of string scores {method: column} at all thresholds, on each test part.
 
-    Pairs are counted by (distance, score, truth); only that table meets the parameter grid.
+    Rows (truth, dist_m, test, scores) are counted once, by the number of thresholds that each score passes.
     """
-    spark = scored.sparkSession
-    counts = scored.where("truth is not null").groupBy(F.round("dist_m", 0).alias("d"), F.round(sim, 3).alias("s")).agg(F.sum("truth").alias("pos"), F.sum(1 - F.col("truth")).alias("neg"))
-    params = F.broadcast(spark.createDataFrame([(float(d), float(t)) for d in d_grid for t in t_grid], "d_hat double, t double"))
-    near = F.exp(F.col("d") * (-0.6931471805599453 / F.col("d_hat")))
-    string = voting.rescale(F.col("s"), F.col("t"))
-    yes = (near + string) / 2 > 0.5 if mode == "soft" else (near > 0.5) & (string > 0.5)
-    out = counts.crossJoin(params).groupBy("d_hat", "t").agg(
-        F.sum(F.when(yes, F.col("pos")).otherwise(0)).alias("tp"), F.sum(F.when(yes, F.col("neg")).otherwise(0)).alias("fp"),
-        F.sum(F.when(yes, 0).otherwise(F.col("pos"))).alias("fn"), F.sum(F.when(yes, 0).otherwise(F.col("neg"))).alias("tn"),
-    )
-    return out.select("d_hat", "t", *measures(*[F.col(c) for c in ("tp", "fp", "fn", "tn")]))
+    spark = rows.sparkSession
+    below = F.size(F.filter(F.array(*[F.lit(float(t)) for t in DISTANCE_GRID]), lambda t: F.col("e.s") < t))
+    above = F.size(F.filter(F.array(*[F.lit(float(t)) for t in STRING_GRID]), lambda t: F.col("e.s") > t))
+    long = rows.where("truth is not null").select("truth", F.explode(_entries(rows, {"P": "dist_m", **strings}, repeats, mask)).alias("e")).where("e.mask != 0")
+    counts = long.groupBy("e.method", "e.mask", "truth", F.when(F.col("e.method") == "P", below).otherwise(above).alias("k")).agg(F.count("*").alias("n"))
+    need = [("P", float(t), len(DISTANCE_GRID) - i) for i, t in enumerate(sorted(DISTANCE_GRID))]
+    need += [(m, float(t), i + 1) for m in strings for i, t in enumerate(sorted(STRING_GRID))]
+    return _by_repeat(counts, ["method"], spark.createDataFrame(need, "method string, t double, need int"), repeats)
+
+
+def combination_curves(rows: DataFrame, strings: dict[str, str], repeats: int = REPEATS, mask: str = "test", mode: str = "soft", d_grid: tuple[float, ...] = DISTANCE_GRID, t_grid: tuple[float, ...] = STRING_GRID) -> DataFrame:
+    """(method, d_hat, t, repeat, tp, ..., f1) of P with each string score over both grids, on each test part.
+
+    For one pair and string threshold, those d_hat are positive that are large enough; so a pair is counted once for each
+    threshold, by how many they are. No score is rounded.
+    """
+    spark, d_grid = rows.sparkSession, sorted(float(d) for d in d_grid)
+    near = F.array(*[naive.decay(F.col("dist_m"), d) for d in d_grid])
+    long = rows.where("truth is not null").select("truth", near.alias("near"), F.explode(_entries(rows, strings, repeats, mask)).alias("e")).where("e.mask != 0")
+    long = long.select("truth", "near", "e.*", F.explode(F.array(*[F.lit(float(t)) for t in t_grid])).alias("t")).withColumn("r", voting.rescale(F.col("s"), F.col("t")))
+    k = F.lit(0)
+    for i in range(len(d_grid)):
+        one = F.col("near")[i]
+        k = k + F.when((one + F.col("r")) / 2 > 0.5 if mode == "soft" else (one > 0.5) & (F.col("r") > 0.5), 1).otherwise(0)
+    counts = long.groupBy("method", "t", "mask", "truth", k.alias("k")).agg(F.count("*").alias("n"))
+    need = spark.createDataFrame([(m, float(t), d, len(d_grid) - i) for m in strings for t in t_grid for i, d in enumerate(d_grid)], "method string, t double, d_hat double, need int")
+    return _by_repeat(counts, ["method", "t"], need, repeats)
+
+
+def mean_best(by_repeat: DataFrame) -> DataFrame:
+    """The thresholds of each method with the best F1, mean over repeats; ties go to the smallest."""
+    at = [c for c in ("d_hat", "t") if c in by_repeat.columns]
+    mean = by_repeat.groupBy("method", *at).agg(*[F.round(F.avg(c), 6).alias(c) for c in ("prec", "rec", "f1")], F.min("f1").alias("f1_min"), F.max("f1").alias("f1_max"))
+    return best_threshold(mean, ("method",))
+
+
+def sweep_2d(scored: DataFrame, sim: str, d_grid: tuple[float, ...] = DISTANCE_GRID, t_grid: tuple[float, ...] = STRING_GRID, mode: str = "soft") -> DataFrame:
+    """Curve of P combined with one string score over (d_hat, t), on all pairs."""
+    rows = scored.select("truth", "dist_m", F.col(sim).alias("s"), F.lit(1).alias("test"))
+    return combination_curves(rows, {sim: "s"}, 1, "test", mode, d_grid, t_grid).drop("method", "repeat")
 
 
 def combined(scored: DataFrame, sim: str, d_hat: float, t: float, mode: str = "soft") -> DataFrame:

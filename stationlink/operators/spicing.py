@@ -11,28 +11,32 @@ from stationlink.functions import geo
 from stationlink.functions.numbering import uniform
 
 
-def foreign_labels(idents: DataFrame, p: float = 0.5, m: int = 5, radius_m: float = 100.0, tries: int = 8) -> DataFrame:
-    """Pairs, not similar, of an identifier and up to ``m`` labels of other towns that are put within ``radius_m`` of it.
+def foreign_labels(idents: DataFrame, p: float = 0.5, m: int = 5, radius_m: float = 100.0, outside_m: float = 1000.0, tries: int = 16) -> DataFrame:
+    """Pairs, not similar, of an identifier and ``m`` identifiers from outside ``outside_m`` that are put within ``radius_m`` of it.
 
-    Foreign identifiers are looked up by number (an equal join on a computed key); uniform in the disc.
+    Identifiers are drawn by hashed numbers (an equal join; ident_id is 1 to n without gaps) and rejected by distance; of
+    ``tries`` draws the first m different ones stay, so there are fewer than m only where most identifiers lie within the
+    radius. Their place is uniform in the disc. Other columns of ``idents`` go along on both sides.
     """
     n = idents.agg(F.max("ident_id")).first()[0] or 0
     names = [c for c in ("ident_id", "node_id", "area_id", "group_id", "label", "lat", "lon", "town", "nation") if c in idents.columns]
-    chosen = idents.where(uniform("sp", F.col("ident_id")) < p).select(*[F.col(c).alias(f"a_{c}") for c in names])
-    chosen = chosen.withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(tries - 1))))
-    chosen = chosen.withColumn("wanted", 1 + (F.col("a_ident_id") * 7919 + F.col("i") * 104729 + 13) % max(n, 1))
-    other = idents.select(*[F.col(c).alias(f"b_{c}") for c in names])
-    pairs = chosen.join(other, chosen.wanted == other.b_ident_id).where("a_town != b_town")
-    # Which of the tries come first: counted over at most ``tries`` rows of one identifier.
-    seen = pairs.groupBy("a_ident_id").agg(F.array_sort(F.collect_list("i")).alias("all_i"))
-    pairs = pairs.join(seen, "a_ident_id").where(F.array_position("all_i", F.col("i")) <= m).drop("all_i")
+    drawn = idents.where(uniform("sp", F.col("ident_id")) < p).select(F.col("ident_id").alias("a"), F.col("lat").alias("a_y"), F.col("lon").alias("a_x"))
+    drawn = drawn.withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(tries - 1)))).withColumn("b", 1 + F.floor(uniform("sw", F.col("a"), F.col("i")) * n))
+    place = idents.select(F.col("ident_id").alias("b"), F.col("lat").alias("b_y"), F.col("lon").alias("b_x"))
+    far = drawn.join(place, "b").where(geo.haversine_m(F.col("a_y"), F.col("a_x"), F.col("b_y"), F.col("b_x")) > outside_m).groupBy("a", "b").agg(F.min("i").alias("i"))
+    # Which of the draws come first: counted over at most ``tries`` rows of one identifier.
+    seen = far.groupBy("a").agg(F.slice(F.array_sort(F.collect_list(F.struct("i", "b"))), 1, m).alias("first"))
+    seen = seen.select("a", F.inline("first"))
+    left = idents.select(*[F.col(c).alias(f"a_{c}") for c in names])
+    right = idents.select(*[F.col(c).alias(f"b_{c}") for c in names])
+    pairs = seen.join(left, seen.a == left.a_ident_id).join(right, seen.b == right.b_ident_id).drop("a", "b")
     key = (F.col("a_ident_id"), F.col("i"))
     away, turn = radius_m * F.sqrt(uniform("sd", *key)), 2 * math.pi * uniform("sb", *key)
     lat, lon = geo.moved(F.col("a_lat"), F.col("a_lon"), away * F.sin(turn), away * F.cos(turn))
     pairs = pairs.withColumn("b_lat", lat).withColumn("b_lon", lon)
     pairs = pairs.withColumn("dist_m", geo.haversine_m(F.col("a_lat"), F.col("a_lon"), F.col("b_lat"), F.col("b_lon")))
     pairs = pairs.withColumn("pair_id", F.concat_ws(":", F.lit("A"), "a_ident_id", "i"))
-    return pairs.withColumn("truth", F.lit(0)).withColumn("origin", F.lit("spiced_label")).drop("i", "wanted")
+    return pairs.withColumn("truth", F.lit(0)).withColumn("origin", F.lit("spiced_label")).drop("i")
 
 
 def shaken(pairs: DataFrame, p: float = 0.5, sigma_m: float = 100.0) -> DataFrame:

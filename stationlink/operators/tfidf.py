@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from stationlink.functions import text
@@ -31,7 +31,10 @@ class TfidfModel:
         return counted.join(self.df, "token", "left").select("label", "token", (F.col("tf") * self._idf(F.col("df"))).alias("w"))
 
     def similarity(self, pairs: DataFrame, a: str = "label_a", b: str = "label_b") -> DataFrame:
-        """``pairs`` with TFIDF; once for each distinct pair of labels. Without weights, 1 if the labels are equal."""
+        """``pairs`` with TFIDF; once for each distinct pair of labels. Without weights, 1 if the labels are equal.
+
+        Pairs with a null label are left out.
+        """
         distinct = pairs.select(F.col(a).alias("__a"), F.col(b).alias("__b")).distinct()
         both = distinct.select(F.col("__a").alias("label")).union(distinct.select(F.col("__b").alias("label")))
         w = self.weights(both)
@@ -44,3 +47,34 @@ class TfidfModel:
         sim = F.when(F.col("__a") == F.col("__b"), F.lit(1.0)).when(size > 0, F.least(F.lit(1.0), F.try_divide(dot, size))).otherwise(F.lit(0.0))
         scored = scored.select("__a", "__b", F.coalesce(sim, F.lit(0.0)).alias("TFIDF"))
         return pairs.join(scored, (pairs[a] == scored["__a"]) & (pairs[b] == scored["__b"])).drop("__a", "__b")
+
+
+def similarity_by_repeat(pairs: DataFrame, mask: str = "test", repeats: int = 5, a: str = "a_label", b: str = "b_label") -> DataFrame:
+    """``pairs`` with TFIDF, an array of one similarity for each repeat, fitted on the labels of that repeat's train part.
+
+    All repeats go through one pass: a token has a weight for each. Pairs with a null label are left out.
+    """
+    train = pairs.select(F.col(a).alias("a"), F.col(b).alias("b"), F.explode(F.filter(F.sequence(F.lit(0), F.lit(repeats - 1)), lambda r: F.col(mask).bitwiseAND(F.call_function("shiftleft", F.lit(1), r)) == 0)).alias("repeat"))
+    fit = train.select("repeat", F.explode(F.array("a", "b")).alias("label")).distinct()
+    sizes = {r["repeat"]: r["n"] for r in fit.groupBy("repeat").agg(F.count("*").alias("n")).collect()}  # one row a repeat
+    tokens = fit.select("repeat", F.explode(text.tokens(F.col("label"))).alias("token"))
+    df = tokens.groupBy("token").agg(*[F.sum(F.when(F.col("repeat") == r, 1)).alias(f"df{r}") for r in range(repeats)])
+    distinct = pairs.select(F.col(a).alias("__a"), F.col(b).alias("__b")).where("__a is not null and __b is not null").distinct()
+    labels = distinct.select(F.explode(F.array("__a", "__b")).alias("label")).distinct()
+    counted = labels.select("label", F.explode(text.words_in_order(F.col("label"))).alias("token")).groupBy("label", "token").agg(F.count("*").alias("tf"))
+    idf = [F.log(F.lit(float(max(sizes.get(r, 0), 1))) / F.coalesce(F.col(f"df{r}"), F.lit(1))) for r in range(repeats)]
+    w = counted.join(df, "token", "left").select("label", "token", F.array(*[F.col("tf") * x for x in idf]).alias("w"))
+    norms = w.groupBy("label").agg(F.map_from_entries(F.collect_list(F.struct("token", "w"))).alias("v"), *[F.sqrt(F.sum(F.col("w")[r] * F.col("w")[r])).alias(f"n{r}") for r in range(repeats)])
+    norms = norms.select("label", "v", F.array(*[f"n{r}" for r in range(repeats)]).alias("n"))
+    left, right = (norms.select(F.col("label").alias(x), F.col("v").alias(f"v{x}"), F.col("n").alias(f"n{x}")) for x in ("__a", "__b"))
+    both = distinct.join(left, "__a", "left").join(right, "__b", "left")
+    both = both.withColumn("shared", F.array_intersect(F.map_keys("v__a"), F.map_keys("v__b")))
+
+    def one(r: int) -> Column:
+        dot = F.aggregate("shared", F.lit(0.0), lambda s, t: s + F.element_at("v__a", t)[r] * F.element_at("v__b", t)[r])
+        size = F.col("n__a")[r] * F.col("n__b")[r]
+        sim = F.when(F.col("__a") == F.col("__b"), F.lit(1.0)).when(size > 0, F.least(F.lit(1.0), F.try_divide(dot, size))).otherwise(F.lit(0.0))
+        return F.coalesce(sim, F.lit(0.0))
+
+    scored = both.select("__a", "__b", F.array(*[one(r) for r in range(repeats)]).alias("TFIDF"))
+    return pairs.join(scored, (pairs[a] == scored["__a"]) & (pairs[b] == scored["__b"])).drop("__a", "__b")

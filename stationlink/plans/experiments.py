@@ -11,7 +11,7 @@ from stationlink.functions import geo, naive, similarity, text, voting
 from stationlink.operators import evaluate, features, groundtruth, spicing
 from stationlink.operators.tfidf import TfidfModel
 from stationlink.plans import oracles as o
-from stationlink.sources import fixtures
+from stationlink.sources import fixtures, tables
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -192,9 +192,6 @@ for _kind in ("soft", "hard"):
 
 # --- label preparation -------------------------------------------------------------------------------------------------
 
-_DL = """dl as (select doc_id, substr(array_to_string(list_slice(list_filter(regexp_split_to_array(substr(split_part(text, chr(10), 1), 1, 400), '[^\\p{L}\\p{N}_]+'), lambda t: t != ''), 1, 6), ' '), 1, 80) as label from documents)"""
-
-
 def _normal(x: str) -> str:
     out = f"lower({x})"
     for pattern, to in text.GERMAN:
@@ -202,19 +199,20 @@ def _normal(x: str) -> str:
     return out
 
 
-@query("t_normalize", f"with {_DL} select doc_id, {_normal('label')} as label from dl")
+@query("t_normalize", f"select doc_id, {_normal('text')} as label from documents")
 def t_normalize(spark, d):
-    return fixtures.document_labels(spark, d).select("doc_id", text.normalize(F.col("label")).alias("label"))
+    return tables.load(spark, d, "documents").select("doc_id", text.normalize(F.col("text")).alias("label"))
 
 
-@query("t_tokens", f"with {_DL} select doc_id, array_to_string(list_sort({o.toks('label')}), ' ') as tokens from dl")
+@query("t_tokens", f"select doc_id, array_to_string(list_sort({o.toks('text')}), ' ') as tokens from documents")
 def t_tokens(spark, d):
-    return fixtures.document_labels(spark, d).select("doc_id", F.array_join(F.array_sort(text.tokens(F.col("label"))), " ").alias("tokens"))
+    return tables.load(spark, d, "documents").select("doc_id", F.array_join(F.array_sort(text.tokens(F.col("text"))), " ").alias("tokens"))
 
 
-@query("t_trigrams", f"with {_DL} select doc_id, array_to_string(list_transform(range(1, length(label) + 1), lambda i: substr(' ' || label || ' ', i, 3)), '|') as grams from dl")
+@query("t_trigrams", "select doc_id, line, array_to_string(list_transform(range(1, length(label) + 1), lambda i: substr(' ' || label || ' ', i, 3)), '|') as grams from (select doc_id, unnest(range(len(l))) as line, unnest(l) as label from (select doc_id, string_split(text, chr(10)) as l from documents))")
 def t_trigrams(spark, d):
-    return fixtures.document_labels(spark, d).select("doc_id", F.array_join(text.trigrams("label"), "|").alias("grams"))
+    lines = tables.load(spark, d, "documents").select("doc_id", F.posexplode(F.split("text", "\n")).alias("line", "label"))
+    return lines.select("doc_id", F.col("line").cast("long").alias("line"), F.array_join(text.trigrams("label"), "|").alias("grams"))
 
 
 @query("t_stop_words", f"with {o.IDENTS}, l as (select distinct label from st_idents) select token, df, n from (select token, count(*) as df from (select unnest({o.toks('label')}) as token from l) group by 1), (select count(*) as n from l) where df > 0.02 * n")
@@ -299,68 +297,115 @@ _table("spiced", "spiced", 0.5)
 _table("plain", "plain", 0)
 
 
-def _best_rows(rows: DataFrame, names: list[str]) -> DataFrame:
-    out = evaluate.best_threshold(evaluate.sweep(rows, "dist_m", evaluate.DISTANCE_GRID, below=True)).withColumn("method", F.lit("P"))
-    for m in names:
-        out = out.unionByName(evaluate.best_threshold(evaluate.sweep(rows, m, evaluate.STRING_GRID)).withColumn("method", F.lit(m)))
-    return out.select("method", "t", "prec", "rec", "f1")
+#: String measures of the results tables, with their SQL.
+MEASURES = {"ED": "ed", "PED": "ped", "J": "j", "JW": "jw", "JAC": "jac", "BTS": "bts", "BTS6": "bts6", "TFIDF": "tfidf"}
+COMBINED = {m: MEASURES[m] for m in ("ED", "JAC", "BTS", "BTS6", "TFIDF")}
+_NORMAL_SPICED = f"{o.SPICED}, ns as (select * replace ({_normal('a_label')} as a_label, {_normal('b_label')} as b_label) from spiced)"
+
+
+def tested(spark, d, spice: float = 0.5, fixture: str = "ST", normalized: bool = False) -> DataFrame:
+    """Judged pairs with the repeats that test them and all string scores, TFIDF fitted on each repeat's train part."""
+    from stationlink.operators.tfidf import similarity_by_repeat
+    from stationlink.plans.workspace import materialize
+
+    rows = pairs(spark, d, spice, fixture).where("truth is not null")
+    for c in ("a_label", "b_label"):
+        if normalized:
+            rows = rows.withColumn(c, text.normalize(F.col(c)))
+        if fixture == "PG":
+            rows = rows.withColumn(c, F.regexp_replace(c, "[^\\x00-\\x7F]", "~"))
+    rows = rows.select("pair_id", "truth", "dist_m", "a_label", "b_label", evaluate.parts_tested(F.col("pair_id")).alias("test"))
+    rows = similarity_by_repeat(similarity.score_pairs(rows, [m for m in MEASURES if m != "TFIDF"], "a_label", "b_label"))
+    return materialize(rows, "tested")
+
+
+def single_results(rows: DataFrame) -> DataFrame:
+    return evaluate.mean_best(evaluate.curves(rows, {m: m for m in MEASURES})).select("method", "t", "prec", "rec", "f1", "f1_min", "f1_max")
+
 
+def combined_results(rows: DataFrame, names=tuple(COMBINED)) -> DataFrame:
+    best = evaluate.mean_best(evaluate.combination_curves(rows, {f"P+{m}": m for m in names}))
+    return best.select("method", "d_hat", "t", "prec", "rec", "f1", "f1_min", "f1_max")
 
-def _best_sql(sql: str, src: str, columns: dict[str, str]) -> str:
-    lp = f"{o.label_pairs(src)}, sc as (select s.truth, s.dist_m, lp.* from {src} s join lp on lp.a = a_label and lp.b = b_label)"
-    parts = [f"select 'P' as method, t, prec, rec, f1 from {o.best(o.sweep(src, 'dist_m', o.DISTANCE_GRID, below=True))}"]
-    parts += [f"select '{m}' as method, t, prec, rec, f1 from {o.best(o.sweep('sc', c, o.STRING_GRID))}" for m, c in columns.items()]
-    return f"with {sql}, {lp} " + " union all ".join(f"({p})" for p in parts)
 
+def _single_sql(sql: str, src: str) -> str:
+    return f"with recursive {sql}, {o.scored_parts(src)} select * from {o.mean_best(o.single_curves(MEASURES), 't')}"
 
-_SQL_MEASURES = {"ED": "ed", "PED": o.ped("a", "b"), "J": "jaro_similarity(a, b)", "JW": "jaro_winkler_similarity(a, b)", "JAC": "jac", "BTS": "bts"}
 
+def _combined_sql(sql: str, src: str) -> str:
+    return f"with recursive {sql}, {o.scored_parts(src)} select method, d_hat, t, prec, rec, f1, f1_min, f1_max from {o.mean_best(o.double_curves(COMBINED), 'd_hat, t')}"
 
-@query("e_best_table", _best_sql(o.SPICED, "spiced", _SQL_MEASURES))
+
+@query("e_best_table", _single_sql(o.SPICED, "spiced"))
 def e_best_table(spark, d):
-    from stationlink.plans.workspace import materialize
+    """Every standalone method on the test parts of five repeats, at the threshold of the best mean F1."""
+    return single_results(tested(spark, d))
 
-    return _best_rows(materialize(scored(spark, d, list(_SQL_MEASURES)), "scored"), list(_SQL_MEASURES))
 
+@query("e_best_table_pg", _single_sql(o.PG_FOLDED, "folded"))
+def e_best_table_pg(spark, d):
+    return single_results(tested(spark, d, fixture="PG"))
 
-@query("e_spice_effect", _best_sql(o.PAIRS, "st_pairs", {"ED": "ed", "JAC": "jac", "BTS": "bts"}))
-def e_spice_effect(spark, d):
-    from stationlink.plans.workspace import materialize
 
-    return _best_rows(materialize(scored(spark, d, ["ED", "JAC", "BTS"], 0), "scored"), ["ED", "JAC", "BTS"])
+@query("e_combo_table", _combined_sql(o.SPICED, "spiced"))
+def e_combo_table(spark, d):
+    """Position combined with each string measure, on the same test parts."""
+    return combined_results(tested(spark, d))
 
 
-_NORMAL_SPICED = f"{o.SPICED}, ns as (select * replace ({_normal('a_label')} as a_label, {_normal('b_label')} as b_label) from spiced)"
+@query("e_combo_table_pg", _combined_sql(o.PG_FOLDED, "folded"))
+def e_combo_table_pg(spark, d):
+    return combined_results(tested(spark, d, fixture="PG"))
 
 
-@query("e_norm_effect", _best_sql(_NORMAL_SPICED, "ns", {"ED": "ed", "JAC": "jac", "BTS": "bts"}))
-def e_norm_effect(spark, d):
-    from stationlink.plans.workspace import materialize
+_THREE = ("ED", "BTS", "TFIDF")
 
-    own = pairs(spark, d).withColumn("a_label", text.normalize(F.col("a_label"))).withColumn("b_label", text.normalize(F.col("b_label")))
-    rows = materialize(similarity.score_pairs(own, ["ED", "JAC", "BTS"], "a_label", "b_label"), "scored")
-    return _best_rows(rows, ["ED", "JAC", "BTS"])
 
+def _effect_sql(sql: str, src: str) -> str:
+    """Results on ``src`` beside those on spiced pairs."""
+    three = {m: MEASURES[m] for m in _THREE}
 
-def _combo_sql(names: dict[str, str]) -> str:
-    lp = f"fit as (select distinct label from st_idents), {o.tfidf('spiced', 'fit')}, {o.label_pairs('spiced')}, sc as (select s.truth, s.dist_m, lp.*, tf.sim from spiced s join lp on lp.a = a_label and lp.b = b_label join tf on tf.a = lp.a and tf.b = lp.b)"
-    parts = [f"select 'P+{m}' as method, d_hat, t, prec, rec, f1 from {o.best(o.sweep_2d('sc', c), 'd_hat, t')}" for m, c in names.items()]
-    return f"with {o.SPICED}, {lp} " + " union all ".join(f"({p})" for p in parts)
+    def table(tag: str) -> str:
+        one, two = (o.tagged(c, tag) for c in (o.single_curves(MEASURES), o.double_curves(three)))
+        return f"(select method, null as d_hat, t, prec, rec, f1 from {o.mean_best(one, 't')} union all select method, d_hat, t, prec, rec, f1 from {o.mean_best(two, 'd_hat, t')})"
 
+    return f"""with recursive {sql}, {o.scored_parts('spiced')}, {o.tagged(o.scored_parts(src), '_n')}
+select n.*, b.f1 as base_f1, round((n.f1 / nullif(b.f1, 0) - 1) * 100, 6) as improvement from {table('_n')} n join {table('')} b using (method)"""
 
-@query("e_combo_table", _combo_sql({"ED": "ed", "JAC": "jac", "BTS": "bts", "TFIDF": "sim"}))
-def e_combo_table(spark, d):
-    from stationlink.plans.workspace import materialize
 
-    model = TfidfModel.fit(idents(spark, d).select("label").distinct())
-    rows = materialize(model.similarity(scored(spark, d, ["ED", "JAC", "BTS"]), "a_label", "b_label"), "scored")
+def effect(spark, d, **changed) -> DataFrame:
+    """All methods under a change, and their relative improvement against the spiced pairs."""
+    def table(rows):
+        return single_results(rows).withColumn("d_hat", F.lit(None).cast("double")).unionByName(combined_results(rows, _THREE)).select("method", "d_hat", "t", "prec", "rec", "f1")
+
+    base = table(tested(spark, d)).select("method", F.col("f1").alias("base_f1"))
+    return table(tested(spark, d, **changed)).join(base, "method").withColumn("improvement", evaluate.improvement(F.col("f1"), F.col("base_f1")))
+
+
+query("e_spice_effect", _effect_sql(o.SPICED, "st_pairs"))(lambda spark, d: effect(spark, d, spice=0))
+query("e_norm_effect", _effect_sql(_NORMAL_SPICED, "ns"))(lambda spark, d: effect(spark, d, normalized=True))
+
+
+_SPICES = (0, 0.25, 0.5, 1)
+
+
+@query("e_spice_p", "select * from (" + ") union all select * from (".join(
+    f"with {o.PAIRS if not p else o.spiced_by(p)} select {p}::double as p, t, f1 from {o.best(o.sweep('spiced' if p else 'st_pairs', 'dist_m', o.DISTANCE_GRID, below=True))}" for p in _SPICES) + ")")
+def e_spice_p(spark, d):
+    """Best P at each probability of spicing."""
     out = None
-    for m in ("ED", "JAC", "BTS", "TFIDF"):
-        one = evaluate.best_threshold(evaluate.sweep_2d(rows, m)).select(F.lit(f"P+{m}").alias("method"), "d_hat", "t", "prec", "rec", "f1")
+    for p in _SPICES:
+        one = evaluate.best_threshold(evaluate.sweep(pairs(spark, d, p), "dist_m", evaluate.DISTANCE_GRID, below=True)).select(F.lit(float(p)).alias("p"), "t", "f1")
         out = one if out is None else out.unionByName(one)
     return out
 
 
+@query("e_train_thresholds")
+def e_train_thresholds(spark, d):
+    """F1 on the test part of one split with thresholds chosen on its train part, all kinds of classifier through one surface."""
+    return rf_methods(spark, d)
+
+
 def _dimensions_sql(sql: str, ids: str, ps: str) -> str:
     return f"""with {sql}, i as (select count(distinct node_id) as n, count(distinct area_id) as g, count(distinct case when area_id is null then node_id end) as orphans, count(*) as identifiers,
  round(sum((area_id is not null)::int)::double / count(distinct area_id), 6) as group_size from {ids}),
@@ -422,14 +467,11 @@ def e_easy_share(spark, d):
     return evaluate.easy_share(evaluate.sweep(scored(spark, d, ["ED"]), "ED", evaluate.STRING_GRID))
 
 
-@query("e_repeats_p", f"""with {o.SPICED}, r as (select *, {o.u("'split:' || repeat || ':' || pair_id")} < 0.2 as train from spiced, (select unnest(range(5))::int as repeat)),
-x as ({o.confusion('(select * from r where not train)', 'dist_m < 100', 'repeat')})
-select 'P' as method, round(avg(prec), 6) as prec, round(avg(rec), 6) as rec, round(avg(f1), 6) as f1, min(f1) as f1_min, max(f1) as f1_max from x""")
-def e_repeats_p(spark, d):
-    """Mean over five test parts of P at 100 m."""
-    p = pairs(spark, d).withColumn("predicted", naive.within(F.col("dist_m"), 100.0))
-    parts = p.select("truth", "predicted", F.explode(F.filter(F.array(*[F.struct(F.lit(r).alias("repeat"), spicing.in_train(F.col("pair_id"), r).alias("train")) for r in range(5)]), lambda x: ~x["train"])).alias("x"))
-    return evaluate.mean_over_repeats(evaluate.confusion(parts.withColumn("repeat", F.col("x.repeat")), by=("repeat",)).withColumn("method", F.lit("P")))
+@query("e_repeats", f"with recursive {o.SPICED}, {o.scored_parts('spiced')} select method, repeat, t, prec, rec, f1 from {o.single_curves(MEASURES)} where (method = 'P' and t = 100) or (method != 'P' and t > 0.84 and t < 0.86)")
+def e_repeats(spark, d):
+    """Every standalone method on each of the five test parts, at 100 m or 0.85."""
+    curves = evaluate.curves(tested(spark, d), {m: m for m in MEASURES})
+    return curves.where("(method = 'P' and t = 100) or (method != 'P' and t > 0.84 and t < 0.86)").select("method", "repeat", "t", "prec", "rec", "f1")
 
 
 @query("e_spice_sweep", f"with {o.SPICED} " + " union all ".join(f"(select '{n}' as part, t, f1 from {o.best(o.sweep(s, 'dist_m', o.DISTANCE_GRID, below=True))})" for n, s in (("plain", "st_pairs"), ("labels", "(select * from st_pairs union all by name select * from st_foreign)"), ("positions", "st_shaken"), ("both", "spiced"))))
@@ -445,20 +487,36 @@ def e_spice_sweep(spark, d):
     return out
 
 
-@query("e_worst_ed", f"""with {o.SPICED}, {o.label_pairs('spiced')}, sc as (select s.truth, s.pair_id, lp.ed as score, (lp.ed > 0.85)::int as predicted from spiced s join lp on lp.a = a_label and lp.b = b_label)
-select * from (select pair_id, 'FN' as kind, round(score, 6) as score from sc where truth = 1 and predicted = 0 order by sc.score, pair_id limit 20)
-union all select * from (select pair_id, 'FP', round(score, 6) from sc where truth = 0 and predicted = 1 order by sc.score desc, pair_id limit 20)""")
-def e_worst_ed(spark, d):
-    rows = scored(spark, d, ["ED"]).withColumn("score", F.col("ED")).withColumn("predicted", (F.col("ED") > 0.85).cast("int"))
-    return evaluate.worst(rows, 20).select("pair_id", "kind", F.round("score", 6).alias("score"))
+#: Cuts of the error lists.
+_CUTS = {"ED": ("ed", 0.85), "JAC": ("jac", 0.45), "PED": ("ped", 0.9), "TFIDF": ("tfidf", 0.7)}
 
 
-@query("e_best_table_pg")
-def e_best_table_pg(spark, d):
-    """Best thresholds on the second area."""
-    from stationlink.plans.workspace import materialize
+def _worst(m: str, column: str, cut: float) -> None:
+    sql = f"""with recursive {o.SPICED}, {o.scored_parts('spiced')}, w as (select truth, pair_id, {column} as score, ({column} > {cut})::int as predicted from sc where repeat = 0)
+select * from (select pair_id, 'FN' as kind, round(score, 6) as score from w where truth = 1 and predicted = 0 order by round(w.score, 6), pair_id limit 20)
+union all select * from (select pair_id, 'FP', round(score, 6) from w where truth = 0 and predicted = 1 order by round(w.score, 6) desc, pair_id limit 20)"""
+
+    @query(f"e_worst_{m.lower()}", sql)
+    def run(spark, d):
+        rows = tested(spark, d).where(F.col("test").bitwiseAND(1) == 1)
+        score = F.col(m)[0] if m == "TFIDF" else F.col(m)
+        rows = rows.withColumn("predicted", (score > cut).cast("int")).withColumn("score", F.round(score, 6))
+        return evaluate.worst(rows, 20).select("pair_id", "kind", "score")
+
+
+for _m, (_c, _t) in _CUTS.items():
+    _worst(_m, _c, _t)
+
+
+def _stable(area: str, sql: str, src: str) -> str:
+    return f"with recursive {sql}, {o.scored_parts(src)} select '{area}' as area, method, t, f1 from {o.mean_best(o.single_curves(MEASURES), 't')}"
+
 
-    return _best_rows(materialize(scored(spark, d, ["ED", "PED", "JAC", "BTS"], 0.5, "PG"), "scored"), ["ED", "PED", "JAC", "BTS"])
+@query("e_cut_stability_areas", "select s.method, s.t as t_st, p.t as t_pg, s.f1 as f1_st, p.f1 as f1_pg from (" + _stable("ST", o.SPICED, "spiced") + ") s join (" + _stable("PG", o.PG_FOLDED, "folded") + ") p using (method)")
+def e_cut_stability_areas(spark, d):
+    """Best cuts of every standalone method in both areas."""
+    a, b = (single_results(tested(spark, d, fixture=f)).select("method", F.col("t").alias(f"t_{f.lower()}"), F.col("f1").alias(f"f1_{f.lower()}")) for f in ("ST", "PG"))
+    return a.join(b, "method")
 
 
 # --- forest ----------------------------------------------------------------------------------------------------------------

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 PI2 = "6.283185307179586"
 
 
@@ -60,10 +62,11 @@ PAIRS = IDENTS + "," + pairs_of("st_pairs", "st_idents")
 _KEY_A, _KEY_P = "a_ident_id || ':' || i", "a_ident_id || ':' || b_ident_id"
 FOREIGN = f"""
 fo_n as (select max(ident_id) as n from st_idents),
-fo_c as (select a.*, i from st_idents a, (select unnest(range(8)) as i) where {u("'sp:' || a.ident_id")} < 0.5),
+fo_c as (select a.*, i, 1 + floor({u("'sw:' || a.ident_id || ':' || i")} * n)::bigint as wanted from st_idents a, fo_n, (select unnest(range(16)) as i) where {u("'sp:' || a.ident_id")} < 0.5),
 fo_p as (select {', '.join(f'{s}.{c} as {s}_{c}' for s in 'ab' for c in 'ident_id node_id area_id group_id town nation lat lon label'.split())}, i
-  from fo_c a join fo_n on true join st_idents b on b.ident_id = 1 + (a.ident_id * 7919 + i * 104729 + 13) % n where a.town != b.town),
-fo_k as (select *, row_number() over (partition by a_ident_id order by i) as r from fo_p),
+  from fo_c a join st_idents b on b.ident_id = wanted),
+fo_d as (select *, row_number() over (partition by a_ident_id, b_ident_id order by i) as again from fo_p where {dist()} > 1000),
+fo_k as (select * exclude (again), row_number() over (partition by a_ident_id order by i) as r from fo_d where again = 1),
 fo_m as (select * replace (
    a_lat + (100 * sqrt({u(f"'sd:' || {_KEY_A}")}) * cos({PI2} * {u(f"'sb:' || {_KEY_A}")})) / 111194.93 as b_lat,
    a_lon + (100 * sqrt({u(f"'sd:' || {_KEY_A}")}) * sin({PI2} * {u(f"'sb:' || {_KEY_A}")})) / (111194.93 * cos(radians(a_lat))) as b_lon) from fo_k where r <= 5),
@@ -81,6 +84,13 @@ st_shaken as (select * exclude (hit) replace (case when hit then {dist()} else d
 SPICED = PAIRS + "," + FOREIGN + "," + SHAKEN + """,
 spiced as (select * from st_shaken union all by name select * from st_foreign)"""
 
+
+
+def spiced_by(p: float) -> str:
+    """The pairs ``spiced`` with probability p in place of a half."""
+    return PAIRS + "," + (FOREIGN + "," + SHAKEN).replace("< 0.5", f"< {p}") + SPICED.split(SHAKEN)[1]
+
+
 PAGES = f"""
 p0 as (select page_id as k, cast(regexp_extract(url, '/[a-z][a-z]/([0-9]+)', 1) as bigint) as g, substr(replace(regexp_extract(html, '<title>([^<]*)</title>', 1), '&amp;', '&'), 1, 80) as title from pages),
 p1 as (select p0.*, count(*) over (partition by g) as pages, g // 40 as town, 52.0::double + 0.2::double * ((g // 40) % 40) as lat0, -8.0::double + 0.25::double * (((g // 40) // 40) % 40) as lon0 from p0),
@@ -92,6 +102,11 @@ pg_idents as (select *, row_number() over (order by node_id, label) as ident_id
 
 PG_PAIRS = PAGES + "," + pairs_of("pg_pairs", "pg_idents")
 
+PG_SPICED = PG_PAIRS + "," + re.sub(r"\bst_", "pg_", SPICED.split(PAIRS + ",")[1])
+#: Labels with every character beyond ASCII as a tilde: DuckDB measures bytes.
+PG_FOLDED = PG_SPICED + """,
+folded as (select * replace (regexp_replace(a_label, '[^\\x00-\\x7F]', '~', 'g') as a_label, regexp_replace(b_label, '[^\\x00-\\x7F]', '~', 'g') as b_label) from spiced)"""
+
 
 def toks(x: str) -> str:
     return f"list_distinct(list_filter(regexp_split_to_array({x}, '[^\\p{{L}}\\p{{N}}_]+'), lambda t: t != ''))"
@@ -148,15 +163,6 @@ def sweep(src: str, score: str, grid: str, below: bool = False) -> str:
 RESCALED = "(case when {s} <= t then case when t > 0 then {s} / (2 * t) else 0 end else 0.5 + ({s} - t) / (2 * (1 - t)) end)"
 
 
-def sweep_2d(src: str, score: str) -> str:
-    counts = f"(select round(dist_m, 0) as d, round({score}, 3) as s, sum(truth) as pos, sum(1 - truth) as neg from {src} where truth is not null group by 1, 2)"
-    yes = f"(exp(d * (-0.6931471805599453 / d_hat)) + {RESCALED.format(s='s')}) / 2 > 0.5"
-    return f"""(select d_hat, t, {COUNTS} from (select d_hat, t,
-  sum(case when {yes} then pos else 0 end)::bigint as tp, sum(case when {yes} then neg else 0 end)::bigint as fp,
-  sum(case when {yes} then 0 else pos end)::bigint as fn, sum(case when {yes} then 0 else neg end)::bigint as tn
- from {counts}, (select unnest({DISTANCE_GRID}) as d_hat), (select unnest({STRING_GRID}) as t) group by 1, 2))"""
-
-
 def best(curve: str, keys: str = "t") -> str:
     return f"(select * from {curve} order by f1 desc, {keys} limit 1)"
 
@@ -174,3 +180,63 @@ tf_norm as (select label, sqrt(sum(w * w)) as norm from tf_w group by 1),
 tf_dot as (select p.a, p.b, sum(x.w * y.w) as dot from tf_pairs p join tf_w x on x.label = p.a join tf_w y on y.label = p.b and y.token = x.token group by 1, 2),
 tf as (select p.a, p.b, case when p.a = p.b then 1.0 when na.norm * nb.norm > 0 then least(1.0, coalesce(dot, 0) / (na.norm * nb.norm)) else 0.0 end as sim
   from tf_pairs p left join tf_dot using (a, b) left join tf_norm na on na.label = p.a left join tf_norm nb on nb.label = p.b)"""
+
+
+def scored_parts(src: str) -> str:
+    """sc(repeat, truth, dist_m, pair_id, ed, ped, j, jw, jac, bts, bts6, tfidf): pairs of ``src`` in the test part of each repeat."""
+    return f"""
+rp as materialized (select *, {u("'split:' || repeat || ':' || pair_id")} < 0.2 as train from {src}, (select unnest(range(5))::int as repeat) where truth is not null),
+{label_pairs(src)},
+sides as (select a, b, x as own, b as whole from lp where a != b union all select a, b, y, a from lp where a != b),
+grown as (
+  select a, b, own, whole, own[i] as s, [i] as used from sides, (select unnest(range(1, 7)) as i) where i <= len(own) and len(own) <= 6
+  union all select a, b, own, whole, s || ' ' || own[i], list_append(used, i) from grown, (select unnest(range(1, 7)) as i) where i <= len(own) and not list_contains(used, i)),
+grown_best as (select a, b, max({ed('s', 'whole')}) as sim from grown group by 1, 2),
+lq as materialized (select lp.a, lp.b, ed, {ped('lp.a', 'lp.b')} as ped, jaro_similarity(lp.a, lp.b) as j, jaro_winkler_similarity(lp.a, lp.b) as jw, jac, bts,
+   case when lp.a = lp.b then 1.0 when len(x) = 0 or len(y) = 0 or greatest(len(x), len(y)) > 6 then jac else sim end as bts6
+   from lp left join grown_best g on g.a = lp.a and g.b = lp.b),
+fit_r as (select distinct repeat, label from (select repeat, a_label as label from rp where train union all select repeat, b_label from rp where train)),
+fit_n as (select repeat, count(*) as n from fit_r group by 1),
+fit_df as (select repeat, token, count(*) as df from (select repeat, unnest({toks('label')}) as token from fit_r) group by 1, 2),
+tr_l as (select a as label from lp union select b from lp),
+tr_t as (select label, token, count(*) as c from (select label, unnest(list_filter(regexp_split_to_array(label, '[^\\p{{L}}\\p{{N}}_]+'), lambda t: t != '')) as token from tr_l) group by 1, 2),
+tr_w as materialized (select n.repeat, label, t.token, c * ln(n::double / coalesce(df, 1)) as w from tr_t t cross join fit_n n left join fit_df d on d.repeat = n.repeat and d.token = t.token),
+tr_norm as (select repeat, label, sqrt(sum(w * w)) as norm from tr_w group by 1, 2),
+tr_dot as (select x.repeat, p.a, p.b, sum(x.w * y.w) as dot from lp p join tr_w x on x.label = p.a join tr_w y on y.label = p.b and y.token = x.token and y.repeat = x.repeat group by 1, 2, 3),
+sc as materialized (
+  select rp.repeat, rp.truth, rp.dist_m, rp.pair_id, lq.* exclude (a, b),
+    case when lq.a = lq.b then 1.0 when na.norm * nb.norm > 0 then least(1.0, coalesce(dot, 0) / (na.norm * nb.norm)) else 0.0 end as tfidf
+  from rp join lq on lq.a = a_label and lq.b = b_label
+  left join tr_norm na on na.repeat = rp.repeat and na.label = lq.a left join tr_norm nb on nb.repeat = rp.repeat and nb.label = lq.b
+  left join tr_dot d on d.repeat = rp.repeat and d.a = lq.a and d.b = lq.b where not train)"""
+
+
+def mean_best(curves: str, keys: str) -> str:
+    """Best row of each method by mean F1 over repeats of curves (method, repeat, keys, prec, rec, f1)."""
+    mean = f"select method, {keys}, round(avg(prec), 6) as prec, round(avg(rec), 6) as rec, round(avg(f1), 6) as f1, min(f1) as f1_min, max(f1) as f1_max from {curves} group by method, {keys}"
+    return f"(select * exclude (best) from (select *, row_number() over (partition by method order by f1 desc, {keys}) as best from ({mean})) where best = 1)"
+
+
+def single_curves(columns: dict[str, str]) -> str:
+    """(method, repeat, t, tp, ..., f1) of P and string scores over sc."""
+
+    def one(m: str, c: str, grid: str, sign: str) -> str:
+        return f"select '{m}' as method, * from ({confusion(f'(select repeat, truth, {c} as s, t from sc, (select unnest({grid}) as t))', f's {sign} t', 'repeat, t')})"
+
+    return "(" + " union all ".join([one("P", "dist_m", DISTANCE_GRID, "<"), *[one(m, c, STRING_GRID, ">") for m, c in columns.items()]]) + ")"
+
+
+def double_curves(columns: dict[str, str]) -> str:
+    """(method, repeat, d_hat, t, tp, ..., f1) of P with string scores over sc."""
+
+    def one(m: str, c: str) -> str:
+        rows = f"(select repeat, truth, dist_m, {c} as s, d_hat, t from sc, (select unnest({DISTANCE_GRID}) as d_hat), (select unnest({STRING_GRID}) as t))"
+        yes = f"(exp(dist_m * (-0.6931471805599453 / d_hat)) + {RESCALED.format(s='s')}) / 2 > 0.5"
+        return f"select 'P+{m}' as method, * from ({confusion(rows, yes, 'repeat, d_hat, t')})"
+
+    return "(" + " union all ".join(one(m, c) for m, c in columns.items()) + ")"
+
+
+def tagged(sql: str, tag: str) -> str:
+    """``scored_parts`` with other names, for two of them in one statement."""
+    return re.sub(r"\b(rp|lp[0-3]?|sides|grown|grown_best|lq|fit_r|fit_n|fit_df|tr_l|tr_t|tr_w|tr_norm|tr_dot|sc)\b", rf"\1{tag}", sql)

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from stationlink.functions import geo, similarity
 from stationlink.operators import groundtruth
 from stationlink.plans import oracles as o
-from stationlink.plans.experiments import _DL, idents, pairs, query
+from stationlink.plans.experiments import idents, pairs, query
 from stationlink.sources import fixtures
 from stationlink.sources.tables import load
 
@@ -31,9 +31,9 @@ def r_sql_surface(spark, d):
     return spark.sql("select pair_id, round(sl_soft(sl_decay(sl_distance(a_lat, a_lon, b_lat, b_lon), 60d), sl_rescale(sl_edit(a_label, b_label), 0.5d)), 6) as score from sl_pairs")
 
 
-@query("r_scan", "select p_brand, count(*) as n from part where p_size > 10 and p_partkey < 1500 group by 1")
+@query("r_scan", "select p_brand, count(*) as n from part where p_size > 10 and p_brand != 'Brand#1' group by 1")
 def r_scan(spark, d):
-    return load(spark, d, "part").where("p_size > 10 and p_partkey < 1500").groupBy("p_brand").agg(F.count("*").alias("n"))
+    return load(spark, d, "part").where("p_size > 10 and p_brand != 'Brand#1'").groupBy("p_brand").agg(F.count("*").alias("n"))
 
 
 @query("r_json", """select event_type, sum(cast(json_extract(props, '$.k') as bigint))::bigint as k_sum, count(*) as n from events group by 1""")
@@ -55,11 +55,11 @@ def r_feed_roundtrip(spark, d):
     return read_feed(spark, path).groupBy("node_id").agg(F.count("*").alias("n"), F.min("label").alias("label"), F.round(F.avg("lat"), 6).alias("lat"), F.count("broken").alias("n_broken"))
 
 
-@query("r_filter", f"with {_DL} select count(*) filter (where label is null or label = '') as dropped, count(*) filter (where length(label) between 10 and 40) as middle, count(*) filter (where regexp_matches(label, '^[A-Z]')) as capital, count(*) filter (where label like '%the%') as has_the from dl")
+@query("r_filter", "select count(*) filter (where label is null or label = '') as dropped, count(*) filter (where length(label) between 10 and 40) as middle, count(*) filter (where regexp_matches(label, '^[A-Z]')) as capital, count(*) filter (where label like '%the%') as has_the from (select text as label from documents)")
 def r_filter(spark, d):
     c = F.col("label")
     count = lambda x: F.coalesce(F.count_if(x), F.lit(0))
-    return fixtures.document_labels(spark, d).agg(count(c.isNull() | (c == "")).alias("dropped"), count(F.length(c).between(10, 40)).alias("middle"), count(c.rlike("^[A-Z]")).alias("capital"), count(c.like("%the%")).alias("has_the"))
+    return load(spark, d, "documents").select(F.col("text").alias("label")).agg(count(c.isNull() | (c == "")).alias("dropped"), count(F.length(c).between(10, 40)).alias("middle"), count(c.rlike("^[A-Z]")).alias("capital"), count(c.like("%the%")).alias("has_the"))
 
 
 _TWO = f"with {o.IDENTS}, a as (select ident_id, label from st_idents where ident_id % 2 = 0), b as (select ident_id as other_id, label from st_idents where ident_id % 2 = 1) "

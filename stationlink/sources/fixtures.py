@@ -62,13 +62,6 @@ def page_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return nodes.select("node_id", "lat", "lon", "area_id", F.lit(None).cast("long").alias("group_id"), labels.alias("labels"), "town", F.lit("").alias("nation"))
 
 
-def document_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(doc_id, label): first six tokens of the first line, at most 80 characters."""
-    first = F.substring(F.substring_index(F.col("text"), "\n", 1), 1, 400)
-    six = F.array_join(F.slice(F.filter(F.split(first, r"[^\p{L}\p{N}_]+"), lambda t: t != ""), 1, 6), " ")
-    return load(spark, sf_dir, "documents").select("doc_id", F.substring(six, 1, 80).alias("label"))
-
-
 def arrivals(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events as arriving identifiers: a station node, moved by ``value`` metres."""
     from stationlink.functions.geo import moved
