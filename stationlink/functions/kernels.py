@@ -171,3 +171,56 @@ def best_token_subsequences(a: list[str], b: list[str], max_tokens: int | None =
             part = jobs[lo : lo + batch]
             np.maximum.at(out, [k for k, _, _ in part], best_orderings_many([x for _, x, _ in part], [w for _, _, w in part]))
     return out
+
+
+def prefix_edits(a: list[str], b: list[str], batch: int = 2048) -> np.ndarray:
+    """``prefix_edit`` of many pairs, over the whole label's length."""
+    out = np.zeros(len(a))
+    for lo in range(0, len(a), batch):
+        x, y = _codes(a[lo : lo + batch]), _codes(b[lo : lo + batch])
+        n, m = x[1], y[1]
+        got = np.maximum(1 - _least_rows(x, y) / np.maximum(n, 1), 1 - _least_rows(y, x) / np.maximum(m, 1))
+        out[lo : lo + batch] = np.where((n == 0) | (m == 0), ((n == 0) & (m == 0)).astype(float), got)
+    return out
+
+
+def _least_rows(text: tuple[np.ndarray, np.ndarray], label: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """Least edit distance of each whole text to a prefix of its label, row by row over all of them at once."""
+    (codes, size), (own, length) = text, label
+    at = np.arange(own.shape[1] + 1, dtype=np.int32)
+    row = np.broadcast_to(at, (len(size), len(at)))
+    for j in range(codes.shape[1]):
+        new = np.empty_like(row)
+        new[:, 0] = row[:, 0] + 1
+        new[:, 1:] = np.minimum(row[:, 1:] + 1, row[:, :-1] + (own != codes[:, j, None]))
+        row = np.where((j < size)[:, None], np.minimum.accumulate(new - at, axis=1) + at, row)
+    return np.where(at <= length[:, None], row, 1 << 30).min(axis=1)
+
+
+def jaros(a: list[str], b: list[str], winkler: bool = False, batch: int = 2048) -> np.ndarray:
+    """``jaro`` or ``jaro_winkler`` of many pairs."""
+    out = np.zeros(len(a))
+    for lo in range(0, len(a), batch):
+        (x, n), (y, m) = _codes(a[lo : lo + batch]), _codes(b[lo : lo + batch])
+        rows, place = np.arange(len(n)), np.arange(y.shape[1])
+        reach = np.maximum(np.maximum(n, m) // 2 - 1, 0)[:, None]
+        taken, mine = np.zeros(y.shape, bool), np.zeros(x.shape, bool)
+        for i in range(x.shape[1]):
+            free = (y == x[:, i, None]) & ~taken & (np.abs(place - i) <= reach) & (place < m[:, None]) & (i < n)[:, None]
+            first = free.argmax(axis=1)
+            hit = free[rows, first]
+            taken[rows[hit], first[hit]] = mine[hit, i] = True
+        k = mine.sum(axis=1)
+        width = min(x.shape[1], y.shape[1])
+        left, right = (np.take_along_axis(c, np.argsort(~f, axis=1, kind="stable"), axis=1)[:, :width] for c, f in ((x, mine), (y, taken)))
+        swapped = ((left != right) & (np.arange(width) < k[:, None])).sum(axis=1) // 2
+        full = np.maximum(k, 1)
+        got = np.where(k > 0, (k / np.maximum(n, 1) + k / np.maximum(m, 1) + (k - swapped) / full) / 3, 0.0)
+        same = np.array([p == q for p, q in zip(a[lo : lo + batch], b[lo : lo + batch])], bool)
+        got[same] = 1.0
+        if winkler:
+            width = min(4, width)
+            alike = (x[:, :width] == y[:, :width]) & (np.arange(width) < np.minimum(n, m)[:, None])
+            got = np.where(got > 0.7, got + np.minimum.accumulate(alike, axis=1).sum(axis=1) * 0.1 * (1 - got), got)
+        out[lo : lo + batch] = got
+    return out

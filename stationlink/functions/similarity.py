@@ -20,17 +20,6 @@ def edit(a, b) -> Column:
     return F.when(longer == 0, F.lit(1.0)).otherwise(F.try_divide((longer - F.levenshtein(a, b)).cast("double"), longer))
 
 
-def prefix_edit(a, b) -> Column:
-    """Best of 1 - edit distance to a prefix of the other / length of the whole label, both ways round."""
-    a, b = (F.col(x) if isinstance(x, str) else x for x in (a, b))
-
-    def one(whole: Column, other: Column) -> Column:
-        least = F.array_min(F.transform(F.sequence(F.lit(0), F.length(other)), lambda i: F.levenshtein(whole, F.substr(other, F.lit(1), i))))
-        return F.try_divide((F.length(whole) - least).cast("double"), F.length(whole))
-
-    return F.when((F.length(a) == 0) | (F.length(b) == 0), (a == b).cast("double")).otherwise(F.greatest(one(a, b), one(b, a)))
-
-
 def jaccard(a, b) -> Column:
     """Shared tokens over all tokens; without any, 1 if the labels are equal."""
     x, y = text.tokens(a), text.tokens(b)
@@ -59,23 +48,25 @@ def bts_literal(a, b) -> Column:
     return F.when(a == b, F.lit(1.0)).when(small, bts_small(a, b)).otherwise(jaccard(a, b))
 
 
-@F.pandas_udf(DOUBLE)
-def jaro(a: pd.Series, b: pd.Series) -> pd.Series:
-    return pd.Series([None if x is None or y is None else kernels.jaro(x, y) for x, y in zip(a, b)], dtype="float64")
+def _batched(kernel):
+    """An Arrow function of two labels from a kernel over lists of them; null if either is."""
 
+    @F.pandas_udf(DOUBLE)
+    def run(a: pd.Series, b: pd.Series) -> pd.Series:
+        known = (a.notna() & b.notna()).to_numpy()
+        out = np.full(len(a), np.nan)
+        out[known] = kernel(list(a[known]), list(b[known]))
+        return pd.Series(out).where(known, None).astype("float64")
 
-@F.pandas_udf(DOUBLE)
-def jaro_winkler(a: pd.Series, b: pd.Series) -> pd.Series:
-    return pd.Series([None if x is None or y is None else kernels.jaro_winkler(x, y) for x, y in zip(a, b)], dtype="float64")
+    return run
 
 
-@F.pandas_udf(DOUBLE)
-def bts_tokens(a: pd.Series, b: pd.Series) -> pd.Series:
-    """Best token subsequence of labels of up to six tokens, Jaccard beyond."""
-    known = (a.notna() & b.notna()).to_numpy()
-    out = np.full(len(a), np.nan)
-    out[known] = kernels.best_token_subsequences(list(a[known]), list(b[known]))
-    return pd.Series(out).where(known, None).astype("float64")
+#: Best of 1 - edit distance to a prefix of the other / length of the whole label, both ways round.
+prefix_edit = _batched(kernels.prefix_edits)
+jaro = _batched(kernels.jaros)
+jaro_winkler = _batched(lambda a, b: kernels.jaros(a, b, winkler=True))
+#: Best token subsequence of labels of up to six tokens, Jaccard beyond.
+bts_tokens = _batched(kernels.best_token_subsequences)
 
 
 MEASURES = {"ED": edit, "PED": prefix_edit, "JAC": jaccard, "BTS": bts_literal, "J": jaro, "JW": jaro_winkler, "BTS6": bts_tokens}

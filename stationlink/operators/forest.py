@@ -2,17 +2,20 @@
 
 from __future__ import annotations
 
+import uuid
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.ml.classification import RandomForestClassificationModel, RandomForestClassifier
 from pyspark.ml.linalg import SparseVector, VectorUDT
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from stationlink.functions.numbering import uniform
 from stationlink.operators.features import trigram_dictionary, vectors
+from stationlink.plans.workspace import shared_folder
 
 #: Most pairs a forest is fitted on; a larger train part is thinned by a hash of the pair.
 MAX_TRAIN = 5_000_000
@@ -31,40 +34,39 @@ class FlatForest:
 
     @classmethod
     def of(cls, model: RandomForestClassificationModel) -> FlatForest:
-        rows: list[list[float]] = []
-        roots = []
-
-        def add(node) -> int:
-            at = len(rows)
-            rows.append([-1, 0, 0, 0, 0])
-            if node.subtreeDepth() == 0:
-                stats = list(node.impurityStats().stats())
-                rows[at][4] = stats[1] / sum(stats) if sum(stats) else 0
-            else:
-                split = node.split()
-                rows[at][:2] = [split.featureIndex(), split.threshold()]
-                rows[at][2], rows[at][3] = add(node.leftChild()), add(node.rightChild())
-            return at
-
-        for tree in model.trees:
-            roots.append(add(tree._call_java("rootNode")))
-        a = np.array(rows)
-        return cls(np.array(roots), a[:, 0].astype(int), a[:, 1], a[:, 2].astype(int), a[:, 3].astype(int), a[:, 4])
-
-    def probability(self, index: list[np.ndarray], value: list[np.ndarray], width: int) -> np.ndarray:
-        x = np.zeros((len(index), width))
-        for k, (i, v) in enumerate(zip(index, value)):
-            x[k, i] = v
-        total = np.zeros(len(index))
-        rows = np.arange(len(index))
+        """From the table of nodes of the saved model: one read, whatever the number of nodes."""
+        spark = SparkSession.active()
+        path = f"{shared_folder(spark)}/forest-{uuid.uuid4().hex}"
+        model.save(path)
+        return cls.load(spark, path)
+
+    @classmethod
+    def load(cls, spark: SparkSession, path: str) -> FlatForest:
+        n = "nodeData" if "nodeData" in spark.read.parquet(f"{path}/data").columns else "node"
+        nodes = spark.read.parquet(f"{path}/data").select(
+            "treeID", f"{n}.id", f"{n}.leftChild", f"{n}.rightChild", f"{n}.split.featureIndex",
+            F.get(f"{n}.split.leftCategoriesOrThreshold", F.lit(0)).alias("threshold"), F.try_divide(F.col(f"{n}.impurityStats")[1], F.aggregate(f"{n}.impurityStats", F.lit(0.0), lambda a, x: a + x)).alias("chance"),
+        ).orderBy("treeID", "id").toArrow()
+        tree, own, left, right, feature = (nodes[c].to_numpy().astype(np.int64) for c in ("treeID", "id", "leftChild", "rightChild", "featureIndex"))
+        roots = np.flatnonzero(np.r_[True, tree[1:] != tree[:-1]])
+        base = roots[np.cumsum(np.r_[False, tree[1:] != tree[:-1]])]  # nodes of a tree are numbered from 0 in order
+        inner = left >= 0
+        return cls(roots, np.where(inner, feature, -1), nodes["threshold"].to_numpy().astype(float), np.where(inner, base + left, 0), np.where(inner, base + right, 0), np.nan_to_num(nodes["chance"].to_numpy().astype(float)))
+
+    def probability(self, index: np.ndarray, value: np.ndarray, first: np.ndarray, width: int) -> np.ndarray:
+        """Mean over trees of the probability of class 1, for sparse rows index[first[k]:first[k + 1]]."""
+        n = len(first) - 1
+        x = np.zeros((n, width), np.float32)
+        x[np.repeat(np.arange(n), np.diff(first)), index] = value
+        total = np.zeros(n)
         for root in self.roots:
-            at = np.full(len(index), root)
-            while True:
-                inner = self.feature[at] >= 0
-                if not inner.any():
-                    break
-                go = x[rows[inner], self.feature[at[inner]]] <= self.threshold[at[inner]]
-                at[inner] = np.where(go, self.left[at[inner]], self.right[at[inner]])
+            at, open_rows = np.full(n, root), np.arange(n)
+            while len(open_rows):
+                node = at[open_rows]
+                inner = self.feature[node] >= 0
+                open_rows, node = open_rows[inner], node[inner]
+                go = x[open_rows, self.feature[node]] <= self.threshold[node]
+                at[open_rows] = np.where(go, self.left[node], self.right[node])
             total += self.chance[at]
         return total / len(self.roots)
 
@@ -86,19 +88,43 @@ class RandomForestMatcher:
         width = self.width
         to_vector = F.udf(lambda i, v: SparseVector(width, i, v), VectorUDT())  # on the bounded train part only
         rows = vectors(train, self.dictionary, self.grids).select(to_vector("index", "value").alias("features"), F.col("truth").cast("double").alias("label")).persist()
-        forest = RandomForestClassifier(numTrees=self.trees, maxDepth=self.max_depth, maxBins=256, seed=self.seed, featureSubsetStrategy="sqrt", cacheNodeIds=False)
+        forest = RandomForestClassifier(numTrees=self.trees, maxDepth=self.max_depth, maxBins=256, seed=self.seed, featureSubsetStrategy="sqrt", cacheNodeIds=False, maxMemoryInMB=512)
         self.model = forest.fit(rows)
         rows.unpersist()
         self.flat = FlatForest.of(self.model)
         return self
 
-    def transform(self, pairs: DataFrame) -> DataFrame:
-        flat, width = pairs.sparkSession.sparkContext.broadcast(self.flat), self.width
+    def save(self, spark: SparkSession, path: str) -> None:
+        """The model, and beside it its dictionary and number of grids."""
+        self.model.write().overwrite().save(f"{path}/model")
+        rows = [(i, g, self.grids) for i, g in enumerate(self.dictionary)] or [(-1, None, self.grids)]
+        spark.createDataFrame(rows, "i int, gram string, grids int").write.mode("overwrite").parquet(f"{path}/dictionary")
 
-        @F.pandas_udf("double")
-        def score(index: pd.Series, value: pd.Series) -> pd.Series:
-            out = [flat.value.probability(list(index[lo : lo + 2000]), list(value[lo : lo + 2000]), width) for lo in range(0, len(index), 2000)]
-            return pd.Series(np.concatenate(out) if out else [])
+    @classmethod
+    def load(cls, spark: SparkSession, path: str) -> RandomForestMatcher:
+        rows = spark.read.parquet(f"{path}/dictionary").orderBy("i").collect()  # k rows
+        out = cls(k=len(rows), grids=rows[0]["grids"])
+        out.dictionary = [r["gram"] for r in rows if r["i"] >= 0]
+        out.width = 2 + 2 * out.grids + len(out.dictionary)
+        out.model = RandomForestClassificationModel.load(f"{path}/model")
+        out.flat = FlatForest.load(spark, f"{path}/model")
+        return out
+
+    def transform(self, pairs: DataFrame, symmetric: bool = False) -> DataFrame:
+        """``pairs`` with score and predicted; ``symmetric`` takes the mean of a pair's score and that of the pair turned round."""
+        flat, width, base = pairs.sparkSession.sparkContext.broadcast(self.flat), self.width, 2 + 2 * self.grids
+
+        def score(index: pa.Array, value: pa.Array) -> pa.Array:
+            out = []
+            for lo in range(0, len(index), 2000):
+                i, v = index.slice(lo, 2000), value.slice(lo, 2000)
+                first = np.r_[0, np.cumsum(pc.list_value_length(i).to_numpy(zero_copy_only=False))]
+                i, v = (pc.list_flatten(x).to_numpy(zero_copy_only=False) for x in (i, v))
+                got = flat.value.probability(i, v, first, width)
+                if symmetric:  # trigram differences change their sign, all else stays
+                    got = (got + flat.value.probability(i, np.where(i >= base, -v, v), first, width)) / 2
+                out.append(got)
+            return pa.array(np.concatenate(out) if out else np.zeros(0))
 
         rows = vectors(pairs, self.dictionary, self.grids)
-        return rows.withColumn("score", score("index", "value")).withColumn("predicted", (F.col("score") > 0.5).cast("int")).drop("index", "value")
+        return rows.withColumn("score", F.arrow_udf(score, "double")("index", "value")).withColumn("predicted", (F.col("score") > 0.5).cast("int")).drop("index", "value")

@@ -34,7 +34,9 @@ def idents(spark: SparkSession, sf_dir: str, fixture: str = "ST") -> DataFrame:
 
 def pairs(spark: SparkSession, sf_dir: str, spice: float = 0.5, fixture: str = "ST", normalized: bool = False) -> DataFrame:
     """Judged pairs of a fixture, spiced with probability ``spice``."""
-    own = idents(spark, sf_dir, fixture)
+    from stationlink.plans.workspace import materialize
+
+    own = materialize(idents(spark, sf_dir, fixture), "idents")  # read many times below
     if normalized:
         own = own.withColumn("label", text.normalize(F.col("label")))
     return spicing.spiced_pairs(own, groundtruth.judged_pairs(own), spice)
@@ -315,6 +317,7 @@ def tested(spark, d, spice: float = 0.5, fixture: str = "ST", normalized: bool =
         if fixture == "PG":
             rows = rows.withColumn(c, F.regexp_replace(c, "[^\\x00-\\x7F]", "~"))
     rows = rows.select("pair_id", "truth", "dist_m", "a_label", "b_label", evaluate.parts_tested(F.col("pair_id")).alias("test"))
+    rows = materialize(rows, "tested-pairs")
     rows = similarity_by_repeat(similarity.score_pairs(rows, [m for m in MEASURES if m != "TFIDF"], "a_label", "b_label"))
     return materialize(rows, "tested")
 
@@ -521,26 +524,54 @@ def e_cut_stability_areas(spark, d):
 
 # --- forest ----------------------------------------------------------------------------------------------------------------
 
-def forest_rows(spark, d, settings: list[tuple[str, dict]], share: float = 0.2, spice: float = 0.5, normalized: bool = False) -> DataFrame:
-    from stationlink.operators.forest import RandomForestMatcher
+def forest_pairs(spark, d, share: float = 0.2, spice: float = 0.5, normalized: bool = False, fixture: str = "ST", repeats=(0,)) -> DataFrame:
+    """Judged pairs with train0, train1, ...: whether a repeat trains on them."""
     from stationlink.plans.workspace import materialize
 
-    rows = pairs(spark, d, spice, normalized=normalized).where("truth is not null")
-    rows = materialize(rows.withColumn("train", spicing.in_train(F.col("pair_id"), 0, share)), "forest-pairs")
+    rows = pairs(spark, d, spice, fixture, normalized).where("truth is not null")
+    return materialize(rows.withColumns({f"train{r}": spicing.in_train(F.col("pair_id"), r, share) for r in repeats}), "forest-pairs")
+
+
+def forest_rows(spark, d, settings: list[tuple[str, dict]], repeats=(0,), symmetric: bool = False, **of) -> DataFrame:
+    """Test results of forests, at the published settings (100 trees, 2 500 trigrams, 2 grids) but for what a setting changes."""
+    from stationlink.operators.forest import RandomForestMatcher
+
+    rows = forest_pairs(spark, d, repeats=repeats, **of)
     out = None
-    for name, kw in settings:
-        matcher = RandomForestMatcher(**({"trees": 20, "k": 200, "max_depth": 15} | kw)).fit(rows.where("train"))
-        one = evaluate.confusion(matcher.transform(rows.where("not train"))).withColumn("setting", F.lit(name))
-        out = one if out is None else out.unionByName(one)
-    return out.select("setting", "tp", "fp", "fn", "tn", "prec", "rec", "f1")
+    for name, changed in settings:
+        for r in repeats:
+            found = RandomForestMatcher(**changed).fit(rows.where(f"train{r}")).transform(rows.where(f"not train{r}"), symmetric)
+            one = evaluate.confusion(found).withColumns({"setting": F.lit(name), "repeat": F.lit(r)})
+            out = one if out is None else out.unionByName(one)
+    return out.select("setting", "repeat", "tp", "fp", "fn", "tn", "prec", "rec", "f1")
+
+
+def forest_mean(spark, d, fixture: str) -> DataFrame:
+    rows = forest_rows(spark, d, [("RF", {})], range(evaluate.REPEATS), fixture=fixture)
+    return evaluate.mean_over_repeats(rows.withColumnRenamed("setting", "method"))
 
 
 query("rf_train_eval")(lambda spark, d: forest_rows(spark, d, [("default", {})]))
-query("rf_k_sweep")(lambda spark, d: forest_rows(spark, d, [(f"k={k}", {"k": k, "trees": 10}) for k in (0, 50, 200)]))
-query("rf_grid_sweep")(lambda spark, d: forest_rows(spark, d, [(f"grids={n}", {"grids": n, "trees": 10, "k": 100}) for n in (0, 1, 2, 3)]))
-query("rf_train_share")(lambda spark, d: forest_rows(spark, d, [("80 %", {"trees": 10, "k": 100})], 0.8))
-query("rf_no_spice")(lambda spark, d: forest_rows(spark, d, [("no spice", {"trees": 10, "k": 100})], spice=0))
-query("rf_normalized")(lambda spark, d: forest_rows(spark, d, [("normalized", {"trees": 10, "k": 100})], normalized=True))
+query("rf_repeats")(lambda spark, d: forest_mean(spark, d, "ST"))
+query("rf_repeats_pg")(lambda spark, d: forest_mean(spark, d, "PG"))
+query("rf_k_sweep")(lambda spark, d: forest_rows(spark, d, [(f"k={k}", {"k": k}) for k in (0, 10, 100, 500, 1000, 2500)]))
+query("rf_grid_sweep")(lambda spark, d: forest_rows(spark, d, [(f"grids={n}", {"grids": n}) for n in range(6)]))
+query("rf_train_share")(lambda spark, d: forest_rows(spark, d, [("80 %", {})], share=0.8))
+query("rf_no_spice")(lambda spark, d: forest_rows(spark, d, [("no spice", {})], spice=0))
+query("rf_normalized")(lambda spark, d: forest_rows(spark, d, [("normalized", {})], normalized=True))
+query("rf_symmetric")(lambda spark, d: forest_rows(spark, d, [("symmetric", {})], symmetric=True))
+#: Settings are chosen on a split that no result is taken from.
+query("rf_tuning")(lambda spark, d: forest_rows(spark, d, [(f"trees={t} k={k}", {"trees": t, "k": k}) for t in (20, 100) for k in (500, 2500)], repeats=(100,)))
+
+
+@query("e_worst_rf")
+def e_worst_rf(spark, d):
+    """The forest's most confident mistakes on one test part."""
+    from stationlink.operators.forest import RandomForestMatcher
+
+    rows = forest_pairs(spark, d)
+    found = RandomForestMatcher().fit(rows.where("train0")).transform(rows.where("not train0"))
+    return evaluate.worst(found, 20).select("pair_id", "kind", F.round("score", 6).alias("score"))
 
 
 # --- uses of the matches ---------------------------------------------------------------------------------------------------

@@ -108,3 +108,14 @@ def test_measures_are_symmetric_in_range_and_agree_with_kernels(spark):
                 assert row[m] == 1
         assert row.PED == pytest.approx(kernels.prefix_edit(row.a, row.b)) and row.PED >= row.ED - 1e-9 and row.JW >= row.J - 1e-9
         assert row.JAC == pytest.approx(kernels.token_jaccard(row.a, row.b))
+
+
+def test_batched_measures_equal_the_single_ones():
+    import random
+
+    r = random.Random(9)
+    make = lambda: "".join(r.choice("abcé ") for _ in range(r.choice([0, 1, 2, 5, 9, 17])))
+    pairs = [(make(), make()) for _ in range(3000)] + [("abc", "abc"), ("", ""), ("martha", "marhta"), ("dixon", "dicksonx")]
+    a, b = [list(x) for x in zip(*pairs)]
+    for many, one in ((kernels.prefix_edits, kernels.prefix_edit), (kernels.jaros, kernels.jaro), (lambda p, q: kernels.jaros(p, q, winkler=True), kernels.jaro_winkler)):
+        assert max(abs(x - one(p, q)) for x, p, q in zip(many(a, b), a, b)) < 1e-12
