@@ -6,6 +6,7 @@ has; one longer text is a block of its own. All hashes are fixed functions of th
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
@@ -42,7 +43,7 @@ ALNUM = np.ones(256, bool)
 ALNUM[:128] = [chr(c).isdigit() or chr(c).isalpha() for c in range(128)]
 
 
-@lru_cache(maxsize=2)
+@lru_cache(maxsize=1)
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     def of(base: int) -> np.ndarray:
         out = np.full(n, base, U)
@@ -85,8 +86,19 @@ def raw(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offset
 
 
-def blocks(texts: pa.Array, max_bytes: int = 1 << 20) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+@lru_cache(maxsize=1)
+def _lean() -> None:
+    """Let this process give freed memory back: large arrays are mapped by themselves, Arrow takes its memory from the system."""
+    pa.set_memory_pool(pa.system_memory_pool())
+    try:
+        ctypes.CDLL(None).mallopt(-3, 1 << 20)  # M_MMAP_THRESHOLD of glibc
+    except (OSError, AttributeError):
+        pass  # another C library: it keeps its own ways
+
+
+def blocks(texts: pa.Array, max_bytes: int = 1 << 18) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """(from row, to row, bytes, offsets within them)."""
+    _lean()
     if not len(texts):
         return
     data, offset = raw(texts)
@@ -109,7 +121,7 @@ def words(data: np.ndarray, offset: np.ndarray, kind: np.ndarray = SPACED, lower
     at = inside[1:] & (~inside[:-1] | edge)
     to = inside[:-1] & (~inside[1:] | edge)
     start, end = np.flatnonzero(at), np.flatnonzero(to)
-    size = 1 << max(20, (n + 1).bit_length())
+    size = 1 << max(18, (n + 1).bit_length())
     power, inverse = _powers(size)
     total = np.zeros(n + 1, U)
     np.cumsum(_BYTE[small] * power[:n], out=total[1:])
