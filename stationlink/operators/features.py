@@ -14,6 +14,12 @@ def trigram_xor(a, b) -> Column:
     return F.size(F.array_union(x, y)) - F.size(F.array_intersect(x, y))
 
 
+def order_differs(a, b) -> Column:
+    """1 if the tokens that both labels have come in another order (the first place of a token counts), else 0."""
+    x, y = text.tokens(a), text.tokens(b)
+    return (F.array_intersect(x, y) != F.array_intersect(y, x)).cast("int")
+
+
 def trigram_counts(label) -> Column:
     """map of trigram to its count in a label."""
     grams = text.trigrams(label)
@@ -34,14 +40,15 @@ def trigram_delta(a, b, dictionary: list[str]) -> Column:
     return F.transform(bound, lambda m: F.transform(grams, lambda g: F.coalesce(F.try_element_at(m["y"], g), F.lit(0)) - F.coalesce(F.try_element_at(m["x"], g), F.lit(0))))[0]
 
 
-def vectors(pairs: DataFrame, dictionary: list[str], grids: int = 2) -> DataFrame:
+def vectors(pairs: DataFrame, dictionary: list[str], grids: int = 2, order: bool = False) -> DataFrame:
     """``pairs`` with sparse ``index`` and ``value`` arrays: distance, xor, 2 * grids cell numbers, trigram differences.
 
-    Only trigrams of the two labels that are in the dictionary and differ take room.
+    Only trigrams of the two labels that are in the dictionary and differ take room. ``order`` puts ``order_differs``
+    after the cell numbers.
     """
     lat, lon = geo.centroid(F.col("a_lat"), F.col("a_lon"), F.col("b_lat"), F.col("b_lon"))
     cells = geo.grid_cells(lat, lon, grids)
-    base = 2 + 2 * grids
+    base = 2 + 2 * grids + order
     place = F.map_from_arrays(F.array(*[F.lit(g) for g in dictionary]), F.array(*[F.lit(base + i) for i in range(len(dictionary))])) if dictionary else F.create_map().cast("map<string,int>")
     rows = pairs.withColumn("__x", trigram_counts("a_label")).withColumn("__y", trigram_counts("b_label"))
     grams = F.array_union(F.map_keys("__x"), F.map_keys("__y"))
@@ -50,6 +57,8 @@ def vectors(pairs: DataFrame, dictionary: list[str], grids: int = 2) -> DataFram
     dense = [F.col("dist_m"), trigram_xor("a_label", "b_label").cast("double")]
     for i in range(grids):
         dense += [cells[i]["x"].cast("double"), cells[i]["y"].cast("double")]
+    if order:
+        dense.append(order_differs("a_label", "b_label").cast("double"))
     rows = rows.withColumn("__kept", kept)
     index = F.concat(F.array(*[F.lit(i) for i in range(base)]), F.transform("__kept", lambda d: d["i"]))
     value = F.concat(F.array(*dense), F.transform("__kept", lambda d: d["v"]))

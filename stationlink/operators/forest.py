@@ -74,8 +74,13 @@ class FlatForest:
 class RandomForestMatcher:
     """fit(pairs with truth) then transform(pairs): adds score and predicted."""
 
-    def __init__(self, trees: int = 100, k: int = 2500, grids: int = 2, seed: int = 1, max_depth: int = 30, max_train: int = MAX_TRAIN):
-        self.trees, self.k, self.grids, self.seed, self.max_depth, self.max_train = trees, k, grids, seed, max_depth, max_train
+    def __init__(self, trees: int = 100, k: int = 2500, grids: int = 2, seed: int = 1, max_depth: int = 30, max_train: int = MAX_TRAIN, order: bool = False):
+        self.trees, self.k, self.grids, self.seed, self.max_depth, self.max_train, self.order = trees, k, grids, seed, max_depth, max_train, order
+
+    @property
+    def base(self) -> int:
+        """Number of features before the trigrams."""
+        return 2 + 2 * self.grids + self.order
 
     def fit(self, train: DataFrame) -> RandomForestMatcher:
         train = train.where("truth is not null")
@@ -84,10 +89,10 @@ class RandomForestMatcher:
             train = train.where(uniform("thin", F.col("pair_id")) < self.max_train / n)
         labels = train.select(F.col("a_label").alias("label")).union(train.select(F.col("b_label").alias("label"))).distinct()
         self.dictionary = trigram_dictionary(labels, self.k) if self.k else []
-        self.width = 2 + 2 * self.grids + len(self.dictionary)
+        self.width = self.base + len(self.dictionary)
         width = self.width
         to_vector = F.udf(lambda i, v: SparseVector(width, i, v), VectorUDT())  # on the bounded train part only
-        rows = vectors(train, self.dictionary, self.grids).select(to_vector("index", "value").alias("features"), F.col("truth").cast("double").alias("label")).persist()
+        rows = vectors(train, self.dictionary, self.grids, self.order).select(to_vector("index", "value").alias("features"), F.col("truth").cast("double").alias("label")).persist()
         forest = RandomForestClassifier(numTrees=self.trees, maxDepth=self.max_depth, maxBins=256, seed=self.seed, featureSubsetStrategy="sqrt", cacheNodeIds=False, maxMemoryInMB=512)
         self.model = forest.fit(rows)
         rows.unpersist()
@@ -97,22 +102,22 @@ class RandomForestMatcher:
     def save(self, spark: SparkSession, path: str) -> None:
         """The model, and beside it its dictionary and number of grids."""
         self.model.write().overwrite().save(f"{path}/model")
-        rows = [(i, g, self.grids) for i, g in enumerate(self.dictionary)] or [(-1, None, self.grids)]
-        spark.createDataFrame(rows, "i int, gram string, grids int").write.mode("overwrite").parquet(f"{path}/dictionary")
+        rows = [(i, g, self.grids, self.order) for i, g in enumerate(self.dictionary)] or [(-1, None, self.grids, self.order)]
+        spark.createDataFrame(rows, "i int, gram string, grids int, with_order boolean").write.mode("overwrite").parquet(f"{path}/dictionary")
 
     @classmethod
     def load(cls, spark: SparkSession, path: str) -> RandomForestMatcher:
         rows = spark.read.parquet(f"{path}/dictionary").orderBy("i").collect()  # k rows
-        out = cls(k=len(rows), grids=rows[0]["grids"])
+        out = cls(k=len(rows), grids=rows[0]["grids"], order=rows[0]["with_order"])
         out.dictionary = [r["gram"] for r in rows if r["i"] >= 0]
-        out.width = 2 + 2 * out.grids + len(out.dictionary)
+        out.width = out.base + len(out.dictionary)
         out.model = RandomForestClassificationModel.load(f"{path}/model")
         out.flat = FlatForest.load(spark, f"{path}/model")
         return out
 
     def transform(self, pairs: DataFrame, symmetric: bool = False) -> DataFrame:
         """``pairs`` with score and predicted; ``symmetric`` takes the mean of a pair's score and that of the pair turned round."""
-        flat, width, base = pairs.sparkSession.sparkContext.broadcast(self.flat), self.width, 2 + 2 * self.grids
+        flat, width, base = pairs.sparkSession.sparkContext.broadcast(self.flat), self.width, self.base
 
         def score(index: pa.Array, value: pa.Array) -> pa.Array:
             out = []
@@ -126,5 +131,5 @@ class RandomForestMatcher:
                 out.append(got)
             return pa.array(np.concatenate(out) if out else np.zeros(0))
 
-        rows = vectors(pairs, self.dictionary, self.grids)
+        rows = vectors(pairs, self.dictionary, self.grids, self.order)
         return rows.withColumn("score", F.arrow_udf(score, "double")("index", "value")).withColumn("predicted", (F.col("score") > 0.5).cast("int")).drop("index", "value")

@@ -29,13 +29,21 @@ def radius_pairs(idents: DataFrame, radius_m: float = RADIUS_M, carry: tuple[str
     One side is dealt to its grid cell, the other to all cells within the radius; cells are equal-join keys, so no pair
     of far cells is looked at. Distances equal to the radius stay.
     """
-    names = [c for c in ("ident_id", *carry) if c in idents.columns]
-    left = idents.select(*[F.col(c).alias(f"a_{c}") for c in names])
+    return _near(idents, idents, radius_m, carry, "a_ident_id < b_ident_id")
+
+
+def feed_pairs(left: DataFrame, right: DataFrame, radius_m: float = RADIUS_M, carry: tuple[str, ...] = ("node_id", "area_id", "group_id", "label", "lat", "lon", "town", "nation")) -> DataFrame:
+    """Pairs of an identifier of one feed (a_*) and one of another feed (b_*) within the radius; the feeds have ids of their own."""
+    return _near(left, right, radius_m, carry, "true")
+
+
+def _near(one: DataFrame, other: DataFrame, radius_m: float, carry: tuple[str, ...], kept: str) -> DataFrame:
+    left = one.select(*[F.col(c).alias(f"a_{c}") for c in ("ident_id", *carry) if c in one.columns])
     left = left.withColumn("band", geo.band(F.col("a_lat"), radius_m))
     left = left.withColumn("cell", geo.cell(F.col("a_lon"), geo.band_cells(F.col("band"), radius_m)))
-    right = idents.select(*[F.col(c).alias(f"b_{c}") for c in names])
+    right = other.select(*[F.col(c).alias(f"b_{c}") for c in ("ident_id", *carry) if c in other.columns])
     right = right.select("*", F.inline(geo.covering_cells(F.col("b_lat"), F.col("b_lon"), radius_m)))
-    pairs = left.join(right, ["band", "cell"]).where("a_ident_id < b_ident_id").drop("band", "cell")
+    pairs = left.join(right, ["band", "cell"]).where(kept).drop("band", "cell")
     dist = geo.haversine_m(F.col("a_lat"), F.col("a_lon"), F.col("b_lat"), F.col("b_lon"))
     pairs = pairs.withColumn("dist_m", dist).where(F.col("dist_m") <= radius_m)
     return pairs.withColumn("pair_id", F.concat_ws(":", "a_ident_id", "b_ident_id"))

@@ -60,6 +60,20 @@ def spiced_pairs(idents: DataFrame, pairs: DataFrame, p: float = 0.5) -> DataFra
     return shaken(pairs, p).unionByName(extra.select(*pairs.columns))
 
 
+def misspelled(pairs: DataFrame, p: float = 0.5, column: str = "b_label") -> DataFrame:
+    """``pairs`` where a label has, with probability p, one random edit: a character lost, a letter put in or put in its place.
+
+    Empty and null labels stay as they are.
+    """
+    key, label = F.col("pair_id"), F.col(column)
+    at = F.floor(uniform("wp", key) * F.length(label)).cast("int")
+    letter = F.substr(F.lit("abcdefghijklmnopqrstuvwxyz"), 1 + F.floor(uniform("wc", key) * 26).cast("int"), F.lit(1))
+    kind = F.floor(uniform("wk", key) * 3)
+    head, tail = F.substr(label, F.lit(1), at), F.substr(label, at + 1)
+    edited = F.concat(head, F.when(kind > 0, letter).otherwise(F.lit("")), F.when(kind == 1, tail).otherwise(F.substr(label, at + 2)))
+    return pairs.withColumn(column, F.when((F.length(label) > 0) & (uniform("ws", key) < p), edited).otherwise(label))
+
+
 def in_train(pair_id, repeat: int = 0, share: float = 0.2) -> Column:
     """Whether a pair is in the train part of a repeat; the same for all methods and partitionings."""
     return uniform(f"split:{repeat}", pair_id) < share

@@ -237,6 +237,16 @@ def _grams(x: str) -> str:
     return f"list_transform(range(1, length({x}) + 1), lambda i: substr(' ' || {x} || ' ', i, 3))"
 
 
+_IN_ORDER = "list_filter({w}, lambda t, i: list_position({w}, t) = i and list_contains({v}, t))"
+_WORDS = "list_filter(regexp_split_to_array({x}, '[^\\p{{L}}\\p{{N}}_]+'), lambda t: t != '')"
+
+
+@query("f_order", f"{_LP}, w as (select a, b, {_WORDS.format(x='a')} as x, {_WORDS.format(x='b')} as y from lp) select a, b, ({_IN_ORDER.format(w='x', v='y')} is distinct from {_IN_ORDER.format(w='y', v='x')})::int as differs from w")
+def f_order(spark, d):
+    """Whether the shared tokens of two labels come in another order."""
+    return label_pairs(spark, d).select("a", "b", features.order_differs("a", "b").alias("differs"))
+
+
 @query("f_xor", f"{_LP} select a, b, (len(list_distinct(list_concat({_grams('a')}, {_grams('b')}))) - len(list_intersect(list_distinct({_grams('a')}), list_distinct({_grams('b')}))))::int as d_3g from lp")
 def f_xor(spark, d):
     return label_pairs(spark, d).select("a", "b", features.trigram_xor("a", "b").alias("d_3g"))
@@ -305,12 +315,14 @@ COMBINED = {m: MEASURES[m] for m in ("ED", "JAC", "BTS", "BTS6", "TFIDF")}
 _NORMAL_SPICED = f"{o.SPICED}, ns as (select * replace ({_normal('a_label')} as a_label, {_normal('b_label')} as b_label) from spiced)"
 
 
-def tested(spark, d, spice: float = 0.5, fixture: str = "ST", normalized: bool = False) -> DataFrame:
+def tested(spark, d, spice: float = 0.5, fixture: str = "ST", normalized: bool = False, misspelled: float = 0) -> DataFrame:
     """Judged pairs with the repeats that test them and all string scores, TFIDF fitted on each repeat's train part."""
     from stationlink.operators.tfidf import similarity_by_repeat
     from stationlink.plans.workspace import materialize
 
     rows = pairs(spark, d, spice, fixture).where("truth is not null")
+    if misspelled:
+        rows = spicing.misspelled(rows, misspelled)
     for c in ("a_label", "b_label"):
         if normalized:
             rows = rows.withColumn(c, text.normalize(F.col(c)))
@@ -515,6 +527,21 @@ def _stable(area: str, sql: str, src: str) -> str:
     return f"with recursive {sql}, {o.scored_parts(src)} select '{area}' as area, method, t, f1 from {o.mean_best(o.single_curves(MEASURES), 't')}"
 
 
+_EDITED = f"""case when length(b_label) > 0 and {o.u("'ws:' || pair_id")} < 0.5 then substr(b_label, 1, wp) || case when wk > 0 then substr('abcdefghijklmnopqrstuvwxyz', wc, 1) else '' end || substr(b_label, case when wk = 1 then wp + 1 else wp + 2 end) else b_label end"""
+_SPELLED = f"""spelled as (select * exclude (wp, wk, wc) replace ({_EDITED} as b_label) from (select *, floor({o.u("'wp:' || pair_id")} * length(b_label))::int as wp, floor({o.u("'wk:' || pair_id")} * 3)::int as wk, 1 + floor({o.u("'wc:' || pair_id")} * 26)::int as wc from spiced))"""
+
+
+@query("x_spelling", f"with {o.SPICED}, {_SPELLED} select pair_id, b_label from spelled")
+def x_spelling(spark, d):
+    return spicing.misspelled(pairs(spark, d)).select("pair_id", "b_label")
+
+
+@query("e_spelling", f"with recursive {o.SPICED}, {_SPELLED}, {o.scored_parts('spelled')} select * from {o.mean_best(o.single_curves(MEASURES), 't')}")
+def e_spelling(spark, d):
+    """Standalone methods where half of the right labels have one random edit."""
+    return single_results(tested(spark, d, misspelled=0.5))
+
+
 @query("e_cut_stability_areas", "select s.method, s.t as t_st, p.t as t_pg, s.f1 as f1_st, p.f1 as f1_pg from (" + _stable("ST", o.SPICED, "spiced") + ") s join (" + _stable("PG", o.PG_FOLDED, "folded") + ") p using (method)")
 def e_cut_stability_areas(spark, d):
     """Best cuts of every standalone method in both areas."""
@@ -560,6 +587,7 @@ query("rf_train_share")(lambda spark, d: forest_rows(spark, d, [("80 %", {})], s
 query("rf_no_spice")(lambda spark, d: forest_rows(spark, d, [("no spice", {})], spice=0))
 query("rf_normalized")(lambda spark, d: forest_rows(spark, d, [("normalized", {})], normalized=True))
 query("rf_symmetric")(lambda spark, d: forest_rows(spark, d, [("symmetric", {})], symmetric=True))
+query("rf_order")(lambda spark, d: forest_rows(spark, d, [("order", {"order": True})]))
 #: Settings are chosen on a split that no result is taken from.
 query("rf_tuning")(lambda spark, d: forest_rows(spark, d, [(f"trees={t} k={k}", {"trees": t, "k": k}) for t in (20, 100) for k in (500, 2500)], repeats=(100,)))
 

@@ -136,6 +136,13 @@ def r_distinct(spark, d):
     return idents(spark, d).groupBy("nation").agg(F.count_distinct("label").alias("labels"), F.count_distinct("node_id").alias("nodes"))
 
 
+@query("r_distinct_approx", f"with {o.IDENTS} select nation, count(distinct label) as labels, true as near from st_idents group by 1")
+def r_distinct_approx(spark, d):
+    """Distinct labels, and whether a sketch of 1 % standard error is within a twentieth of them."""
+    exact, about = F.count_distinct("label"), F.approx_count_distinct("label", 0.01)
+    return idents(spark, d).groupBy("nation").agg(exact.alias("labels"), (F.abs(about - exact) <= F.greatest(F.lit(1.0), exact / 20)).alias("near"))
+
+
 @query("r_quantile", f"with {o.PAIRS} select truth, round(quantile_cont(dist_m, 0.5), 3) as median, round(quantile_cont(dist_m, 0.9), 3) as p90 from st_pairs where truth is not null group by 1")
 def r_quantile(spark, d):
     return pairs(spark, d, 0).where("truth is not null").groupBy("truth").agg(F.round(F.percentile("dist_m", 0.5), 3).alias("median"), F.round(F.percentile("dist_m", 0.9), 3).alias("p90"))
@@ -204,9 +211,8 @@ select a_id, b_id, round({o.dist()}, 3) as dist_m from c where {o.dist()} <= 100
 def r_match_feeds(spark, d):
     """Pairs across two feeds within the radius."""
     own = idents(spark, d, "PG")
-    near = groundtruth.radius_pairs(own).where("a_node_id % 2 != b_node_id % 2")
-    even = F.col("a_node_id") % 2 == 0
-    return near.select(F.when(even, F.col("a_ident_id")).otherwise(F.col("b_ident_id")).alias("a_id"), F.when(even, F.col("b_ident_id")).otherwise(F.col("a_ident_id")).alias("b_id"), F.round("dist_m", 3).alias("dist_m"))
+    near = groundtruth.feed_pairs(own.where("node_id % 2 = 0"), own.where("node_id % 2 = 1"))
+    return near.select(F.col("a_ident_id").alias("a_id"), F.col("b_ident_id").alias("b_id"), F.round("dist_m", 3).alias("dist_m"))
 
 
 @query("u_median")
@@ -215,16 +221,18 @@ def u_median(spark, d):
     import numpy as np
     import pandas as pd
 
-    def median(part: pd.DataFrame) -> pd.DataFrame:
-        x = part[["lat", "lon"]].to_numpy()
+    def median(lat: pd.Series, lon: pd.Series) -> list:
+        x = np.column_stack([lat, lon])
         at = x.mean(axis=0)
         for _ in range(60):
             far = np.maximum(np.linalg.norm((x - at) * [1, np.cos(np.radians(at[0]))], axis=1), 1e-9)
             at = (x / far[:, None]).sum(axis=0) / (1 / far).sum()
-        return pd.DataFrame({"area_id": [part["area_id"].iloc[0]], "n": [len(part)], "lat": [round(at[0], 5)], "lon": [round(at[1], 5)]})
+        return [round(float(v), 5) for v in at]
 
-    nodes = fixtures.station_nodes(spark, d).where("area_id is not null").select("area_id", "lat", "lon")
-    return nodes.groupBy("area_id").applyInPandas(median, "area_id long, n long, lat double, lon double")
+    middle = F.pandas_udf(median, "array<double>", F.PandasUDFType.GROUPED_AGG)
+    nodes = fixtures.station_nodes(spark, d).where("area_id is not null")
+    found = nodes.groupBy("area_id").agg(middle("lat", "lon").alias("at"))
+    return found.join(nodes.groupBy("area_id").agg(F.count("*").alias("n")), "area_id").select("area_id", "n", F.col("at")[0].alias("lat"), F.col("at")[1].alias("lon"))
 
 
 @query("u_orderings", f"with {o.IDENTS}, l as (select distinct label, {o.toks('label')} as x from st_idents) select label, 2 * len(x)::int as n from l where len(x) in (1, 2) and false union all select label, case len(x) when 1 then 1 else 4 end::int as n from l where len(x) in (1, 2)")

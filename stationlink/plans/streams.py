@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from stationlink.functions.numbering import uniform
 from stationlink.plans import oracles as o
 from stationlink.plans.experiments import idents, query
 from stationlink.sources import fixtures
@@ -35,6 +36,20 @@ def s_window_session(spark, d):
     return arrivals.drain(arrivals.sessions(_stream(spark, d))).select("node_id", F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
 
 
+_LATE = o.u("'late:' || event_id") + " < 0.02"
+
+
+@query("s_late", f"""with {_EV}, kept as (select * from ev where not ({_LATE}) or date_trunc('hour', ts) + interval 1 hour > (select max(ts) - interval 1 hour from ev where not ({_LATE}))),
+w as (select date_trunc('hour', ts) as start, event_type, count(*) as n from kept group by 1, 2)
+select strftime(start, '%Y-%m-%d %H') as start, event_type, n from w where start + interval 1 hour <= (select max(ts) - interval 1 hour from ev)""")
+def s_late(spark, d):
+    """Hourly counts with a watermark of one hour, where one row in fifty comes after all others: those of closed hours are left out."""
+    rows = fixtures.arrivals(spark, d)
+    late = uniform("late", F.col("event_id")) < 0.02
+    got = arrivals.drain_parts([rows.where(~late), rows.where(late)], lambda s: arrivals.tumbling(s, late="1 hour"))
+    return got.select(F.date_format("start", "yyyy-MM-dd HH").alias("start"), "event_type", "n")
+
+
 @query("s_dedup", f"with {_EV} select node_id, event_type, count(distinct node_id) as n from ev group by 1, 2")
 def s_dedup(spark, d):
     return arrivals.drain(arrivals.deduplicated(_stream(spark, d))).groupBy("node_id", "event_type").agg(F.count("*").alias("n"))

@@ -31,6 +31,21 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(path)
 
 
+def drain_parts(parts: list[DataFrame], step: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """``step`` over a stream whose files come part by part, each part run to its end before the next one is there.
+
+    The watermark is kept between the parts, so rows of a part that are older than it allows are left out.
+    """
+    spark = parts[0].sparkSession
+    path = f"{shared_folder(spark)}/parts-{uuid.uuid4().hex}"
+    for rows in parts:
+        rows.write.mode("append").parquet(path)
+        out = step(spark.readStream.schema(parts[0].schema).parquet(path))
+        run = out.writeStream.format("parquet").outputMode("append").option("path", f"{path}-sink").option("checkpointLocation", f"{path}-log").trigger(availableNow=True).start()
+        run.awaitTermination()
+    return spark.read.schema(out.schema).parquet(f"{path}-sink")
+
+
 def tumbling(stream: DataFrame, length: str = "1 hour", late: str = "0 seconds") -> DataFrame:
     out = stream.withWatermark("ts", late).groupBy(F.window("ts", length), "event_type").agg(F.count("*").alias("n"))
     return out.select(F.col("window.start").alias("start"), "event_type", "n")
