@@ -157,3 +157,53 @@ def test_foreign_labels_need_no_town_and_lie_outside_the_radius(spark):
     for r in rows:
         each.setdefault(r.a_ident_id, []).append(r.b_ident_id)
     assert all(len(x) == len(set(x)) == 5 for x in each.values())
+
+
+def test_late_rows_of_closed_hours_are_left_out(spark):
+    from stationlink.streaming import arrivals
+
+    row = "event_id long, event_type string, ts timestamp"
+    at = lambda k, hour, minute: (k, "x", __import__("datetime").datetime(2024, 1, 1, hour, minute))
+    first = spark.createDataFrame([at(1, 8, 10), at(2, 10, 20), at(3, 12, 30)], row)
+    second = spark.createDataFrame([at(4, 8, 40), at(5, 11, 50), at(6, 20, 0)], row)  # 8:40 is late, 11:50 is not
+    got = arrivals.drain_parts([first, second], lambda s: arrivals.tumbling(s, late="1 hour")).collect()
+    assert sorted((r.start.hour, r.n) for r in got) == [(8, 1), (10, 1), (11, 1), (12, 1)]
+
+
+def test_median_has_the_least_sum_of_distances(spark):
+    import numpy as np
+
+    from stationlink.sources import fixtures
+
+    found = {r.area_id: r for r in experiments.QUERIES["u_median"](spark, SMALL).collect()}
+    nodes = fixtures.station_nodes(spark, SMALL).where("area_id is not null").toPandas()
+    for area, part in nodes.groupby("area_id"):
+        x, r = part[["lat", "lon"]].to_numpy(), found[area]
+        stretch = np.array([1, np.cos(np.radians(x[0, 0]))])
+        cost = lambda p: np.linalg.norm((x - p) * stretch, axis=1).sum()
+        around = [cost((r.lat + i * 1e-4, r.lon + j * 1e-4)) for i in (-1, 0, 1) for j in (-1, 0, 1)]
+        assert r.n == len(part) and cost((r.lat, r.lon)) <= min(around) + 1e-5 * len(part)
+
+
+def test_order_of_shared_tokens(spark):
+    from stationlink.operators import features
+
+    rows = spark.createDataFrame([("Main Street 5", "Street Main"), ("Main Street", "Old Main Street"), ("", "x"), (None, "x")], "a string, b string")
+    assert [r[0] for r in rows.select(features.order_differs("a", "b")).collect()] == [1, 0, 0, None]
+
+
+def test_spelling_errors_are_one_edit(spark, judged):
+    got = spicing.misspelled(judged, 0.5).select("pair_id", F.col("b_label").alias("c")).join(judged, "pair_id").select(F.levenshtein("b_label", "c").alias("e")).groupBy("e").count().collect()
+    n = {r.e: r["count"] for r in got}
+    assert set(n) == {0, 1} and 0.4 < n[1] / (n[0] + n[1]) < 0.55
+
+
+def test_forest_with_the_order_feature_is_saved_and_read(spark, judged, tmp_path):
+    from stationlink.operators.forest import RandomForestMatcher
+
+    rows = judged.where("truth is not null")
+    forest = RandomForestMatcher(trees=5, k=20, max_depth=6, order=True).fit(rows)
+    forest.save(spark, str(tmp_path / "f"))
+    again = RandomForestMatcher.load(spark, str(tmp_path / "f"))
+    score = lambda m: {r.pair_id: r.score for r in m.transform(rows).select("pair_id", "score").collect()}
+    assert forest.width == again.width == 7 + 20 and score(forest) == score(again)
