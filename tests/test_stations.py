@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from stationlink.functions import geo
 from stationlink.operators import evaluate, groundtruth, spicing
 from stationlink.operators.components import components
-from stationlink.plans import experiments
+from stationlink.plans import experiments, relational
 
 
 @pytest.fixture(scope="module")
@@ -175,7 +175,7 @@ def test_median_has_the_least_sum_of_distances(spark):
 
     from stationlink.sources import fixtures
 
-    found = {r.area_id: r for r in experiments.QUERIES["u_median"](spark, SMALL).collect()}
+    found = {r.area_id: r for r in relational.u_median(spark, SMALL).collect()}
     nodes = fixtures.station_nodes(spark, SMALL).where("area_id is not null").toPandas()
     for area, part in nodes.groupby("area_id"):
         x, r = part[["lat", "lon"]].to_numpy(), found[area]
