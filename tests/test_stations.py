@@ -221,3 +221,8 @@ def test_pairs_are_of_one_town_where_towns_lie_at_one_place(spark, tmp_path):
     for name in ("e_dimensions", "e_by_nation_cube"):
         got, want = experiments.QUERIES[name](spark, str(tmp_path)), c.sql(experiments.ORACLES[name])
         assert sorted(map(tuple, got.select(*want.columns).collect())) == sorted(want.fetchall())
+
+
+def test_worst_mistakes_of_a_forest(spark):
+    rows = experiments.forest_worst(spark, SMALL, trees=3, k=20, max_depth=4).collect()
+    assert rows and {r.kind for r in rows} <= {"FN", "FP"} and all((r.score > 0.5) == (r.kind == "FP") for r in rows)
