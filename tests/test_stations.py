@@ -238,3 +238,9 @@ def test_levels_of_spice_are_those_of_single_runs(spark):
         assert {(name, r.truth): (r.n, round(r.s, 3)) for r in rows} == {k: v for k, v in found.items() if k[0] == name}
     curve = {(r.level, r.t): (r.tp, r.fp, r.fn, r.tn) for r in evaluate.sweep(got, "dist_m", (10, 50, 400), below=True, by=("level",)).collect()}
     assert len(curve) == 9 and curve["none", 50] != curve["all", 50]
+
+
+def test_results_of_forests_are_written_one_by_one(spark):
+    got = experiments.forest_rows(spark, SMALL, [(f"k={k}", {"k": k, "trees": 2, "max_depth": 3}) for k in (0, 5)])
+    assert "ArrowEvalPython" not in got._jdf.queryExecution().executedPlan().toString()  # no plan holds two forests
+    assert sorted(r.setting for r in got.collect()) == ["k=0", "k=5"]
