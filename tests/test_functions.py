@@ -119,3 +119,10 @@ def test_batched_measures_equal_the_single_ones():
     a, b = [list(x) for x in zip(*pairs)]
     for many, one in ((kernels.prefix_edits, kernels.prefix_edit), (kernels.jaros, kernels.jaro), (lambda p, q: kernels.jaros(p, q, winkler=True), kernels.jaro_winkler)):
         assert max(abs(x - one(p, q)) for x, p, q in zip(many(a, b), a, b)) < 1e-12
+
+
+def test_scores_at_a_threshold_are_not_above_it():
+    """3 of 20 characters are kept: 1 - 17 / 20 is above 0.15, (20 - 17) / 20 is not."""
+    a, b = "abc" + "d" * 17, "abc"
+    assert kernels.prefix_edits(["abc" + "d" * 17], ["abc" + "e" * 17])[0] == kernels.prefix_edit("abc" + "d" * 17, "abc" + "e" * 17) == 3 / 20
+    assert kernels.best_orderings_many([(a,)], [b])[0] == kernels.best_orderings((a,), b) == 3 / 20

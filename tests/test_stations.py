@@ -244,3 +244,24 @@ def test_results_of_forests_are_written_one_by_one(spark):
     got = experiments.forest_rows(spark, SMALL, [(f"k={k}", {"k": k, "trees": 2, "max_depth": 3}) for k in (0, 5)])
     assert "ArrowEvalPython" not in got._jdf.queryExecution().executedPlan().toString()  # no plan holds two forests
     assert sorted(r.setting for r in got.collect()) == ["k=0", "k=5"]
+
+
+def test_error_lists_score_only_their_measure(spark):
+    got = experiments.tested(spark, SMALL, measures=("JAC",), repeats=1)
+    assert got.scores.columns == ["a_label", "b_label", "JAC"]
+
+
+def test_counts_by_label_equal_counts_by_pair(spark):
+    got = experiments.tested(spark, SMALL, measures=("ED", "TFIDF"))
+    strings = {"ED": "ED", "TFIDF": "TFIDF"}
+    plain = evaluate.curves(got.scored_pairs(), strings).collect()
+    by_label = evaluate.curves(got.pairs, strings, by_label=got.counted.join(got.scores, ["a_label", "b_label"])).collect()
+    assert sorted(plain) == sorted(by_label) and got.counted.count() < got.pairs.count()
+
+
+def test_no_table_of_nodes_is_sent_through_the_driver(spark):
+    """Only the 25 nations may be broadcast; the anchors of all parts may not."""
+    from stationlink.sources import fixtures
+
+    plan = fixtures.station_nodes(spark, SMALL)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("BroadcastHashJoin") == 1 and "SortMergeJoin" in plan
