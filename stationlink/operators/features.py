@@ -44,22 +44,25 @@ def vectors(pairs: DataFrame, dictionary: list[str], grids: int = 2, order: bool
     """``pairs`` with sparse ``index`` and ``value`` arrays: distance, xor, 2 * grids cell numbers, trigram differences.
 
     Only trigrams of the two labels that are in the dictionary and differ take room. ``order`` puts ``order_differs``
-    after the cell numbers.
+    after the cell numbers. What depends on the labels alone is computed once for each distinct pair of them; rows come
+    in no certain order.
     """
     lat, lon = geo.centroid(F.col("a_lat"), F.col("a_lon"), F.col("b_lat"), F.col("b_lon"))
     cells = geo.grid_cells(lat, lon, grids)
     base = 2 + 2 * grids + order
     place = F.map_from_arrays(F.array(*[F.lit(g) for g in dictionary]), F.array(*[F.lit(base + i) for i in range(len(dictionary))])) if dictionary else F.create_map().cast("map<string,int>")
-    rows = pairs.withColumn("__x", trigram_counts("a_label")).withColumn("__y", trigram_counts("b_label"))
+    labels = pairs.select(F.col("a_label").alias("__a"), F.col("b_label").alias("__b")).distinct()
+    labels = labels.withColumn("__x", trigram_counts("__a")).withColumn("__y", trigram_counts("__b"))
     grams = F.array_union(F.map_keys("__x"), F.map_keys("__y"))
     differ = F.transform(grams, lambda g: F.struct(F.coalesce(F.try_element_at(place, g), F.lit(-1)).alias("i"), (F.coalesce(F.try_element_at("__y", g), F.lit(0)) - F.coalesce(F.try_element_at("__x", g), F.lit(0))).cast("double").alias("v")))
     kept = F.array_sort(F.filter(differ, lambda d: (d["i"] >= 0) & (d["v"] != 0)))
-    dense = [F.col("dist_m"), trigram_xor("a_label", "b_label").cast("double")]
+    labels = labels.select("__a", "__b", kept.alias("__kept"), trigram_xor("__a", "__b").cast("double").alias("__xor"), *([order_differs("__a", "__b").cast("double").alias("__order")] if order else []))
+    dense = [F.col("dist_m"), F.col("__xor")]
     for i in range(grids):
         dense += [cells[i]["x"].cast("double"), cells[i]["y"].cast("double")]
     if order:
-        dense.append(order_differs("a_label", "b_label").cast("double"))
-    rows = rows.withColumn("__kept", kept)
+        dense.append(F.col("__order"))
+    rows = pairs.join(labels, pairs["a_label"].eqNullSafe(labels["__a"]) & pairs["b_label"].eqNullSafe(labels["__b"]))
     index = F.concat(F.array(*[F.lit(i) for i in range(base)]), F.transform("__kept", lambda d: d["i"]))
     value = F.concat(F.array(*dense), F.transform("__kept", lambda d: d["v"]))
-    return rows.withColumn("index", index).withColumn("value", value).drop("__x", "__y", "__kept")
+    return rows.withColumn("index", index).withColumn("value", value).drop("__a", "__b", "__kept", "__xor", "__order")

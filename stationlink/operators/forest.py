@@ -93,8 +93,9 @@ class RandomForestMatcher:
         width = self.width
         to_vector = F.udf(lambda i, v: SparseVector(width, i, v), VectorUDT())  # on the bounded train part only
         # Few small files would be few tasks; an order of rows, as bags of rows are drawn by partition.
-        train = train.repartition(max(train.sparkSession.sparkContext.defaultParallelism, 1), "pair_id").sortWithinPartitions("pair_id")
-        rows = vectors(train, self.dictionary, self.grids, self.order).select(to_vector("index", "value").alias("features"), F.col("truth").cast("double").alias("label")).persist()
+        rows = vectors(train, self.dictionary, self.grids, self.order).select("pair_id", "index", "value", "truth")
+        rows = rows.repartition(max(train.sparkSession.sparkContext.defaultParallelism, 1), "pair_id").sortWithinPartitions("pair_id")
+        rows = rows.select(to_vector("index", "value").alias("features"), F.col("truth").cast("double").alias("label")).persist()
         forest = RandomForestClassifier(numTrees=self.trees, maxDepth=self.max_depth, maxBins=256, seed=self.seed, featureSubsetStrategy="sqrt", cacheNodeIds=True, maxMemoryInMB=512)
         self.model = forest.fit(rows)
         rows.unpersist()

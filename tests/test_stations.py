@@ -276,3 +276,13 @@ def test_exact_quantiles_hold_no_group_in_one_task(spark):
     assert got.keys() == want.keys() == values.keys()
     assert all(got[g][k] == pytest.approx(want[g][k], abs=1e-9) for g in want for k in ("lo", "mid", "hi"))
     assert "percentile" not in relational.r_quantile(spark, SMALL)._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_vectors_look_at_a_pair_of_labels_once(spark):
+    from stationlink.operators import features
+
+    rows = spark.createDataFrame([("1", "ab c", "ab", 5.0), ("2", "ab c", "ab", 6.0), ("3", None, "ab", 7.0)], "pair_id string, a_label string, b_label string, dist_m double")
+    rows = rows.withColumns({c: F.lit(1.0) for c in ("a_lat", "a_lon", "b_lat", "b_lon")})
+    got = features.vectors(rows, [" ab", "ab "], 1)
+    assert got.count() == 3 and "Aggregate [__a" in got._jdf.queryExecution().optimizedPlan().toString()
+    assert {x.pair_id: x.value[:2] for x in got.collect()}["2"] == [6.0, 2.0]
