@@ -286,3 +286,20 @@ def test_vectors_look_at_a_pair_of_labels_once(spark):
     got = features.vectors(rows, [" ab", "ab "], 1)
     assert got.count() == 3 and "Aggregate [__a" in got._jdf.queryExecution().optimizedPlan().toString()
     assert {x.pair_id: x.value[:2] for x in got.collect()}["2"] == [6.0, 2.0]
+
+
+def test_vectors_look_up_trigrams_by_label_on_all_cores(spark):
+    from stationlink.operators import features
+
+    labels = ["ab ab", "ab", "", "b ab", None]
+    rows = spark.createDataFrame([(f"{i}:{j}", a, b, 5.0) for i, a in enumerate(labels) for j, b in enumerate(labels)], "pair_id string, a_label string, b_label string, dist_m double")
+    rows = rows.withColumns({c: F.lit(1.0) for c in ("a_lat", "a_lon", "b_lat", "b_lon")})
+    dictionary = [" ab", "ab ", "b a"]
+    got = features.vectors(rows, dictionary, 0)
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert "RepartitionByExpression [label" in plan and "RepartitionByExpression [__a" in plan  # few bytes, so few partitions by size
+    cut = lambda x: [f" {x} "[k : k + 3] for k in range(len(x or ""))]
+    for r in got.collect():
+        x, y = cut(r.a_label), cut(r.b_label)
+        want = {2 + k: float(y.count(g) - x.count(g)) for k, g in enumerate(dictionary) if y.count(g) != x.count(g)}
+        assert dict(zip(r["index"], r["value"])) == {0: 5.0, 1: float(len(set(x) ^ set(y)))} | want
