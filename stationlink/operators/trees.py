@@ -62,12 +62,12 @@ def _best(weight: np.ndarray, hits: np.ndarray) -> tuple[np.ndarray, np.ndarray,
     return at // w.shape[2], at % w.shape[2], np.where(most > 1e-12, most, 0.0)
 
 
-def _splits(part: TrainPart, node, dense, row, feature, code, w, h, nodes: int, tries: int, rng) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(feature, cut, gain) of each of ``nodes`` open nodes over its own ``tries`` features drawn without replacement."""
+def _splits(part: TrainPart, node, dense, row, feature, code, w, h, nodes: int, tries: int, rng) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(feature, cut, gain) of each of ``nodes`` open nodes over its own ``tries`` features drawn without replacement, and the entries of drawn features."""
     best_f, best_c, best_g = np.zeros(nodes, int), np.zeros(nodes, int), np.zeros(nodes)
     zero, codes = int(np.searchsorted(part.cuts, 0.0)), len(part.cuts) + 1
     step = max(1, CELLS // max(part.width, tries * codes, *(len(c) + 1 for c in part.dense_cuts)))
-    of_entry = node[row]
+    of_entry, looked = node.take(row), []
     for lo in range(0, nodes, step):
         m = min(step, nodes - lo)
         drawn = rng.random((m, part.width)).argpartition(tries - 1, axis=1)[:, :tries] if tries < part.width else np.tile(np.arange(part.width), (m, 1))
@@ -77,11 +77,13 @@ def _splits(part: TrainPart, node, dense, row, feature, code, w, h, nodes: int,
         e = slice(None) if m == nodes else np.flatnonzero((of_entry >= lo) & (of_entry < lo + m))
         f, c, g = best_f[lo : lo + m], best_c[lo : lo + m], best_g[lo : lo + m]
         if codes > 1:
-            at = of_entry[e] - lo
-            place = slot[at, feature[e]]
+            place = slot.ravel().take((of_entry[e] - lo) * part.width + feature[e])
             hit = np.flatnonzero(place >= 0)
-            key = (at[hit] * tries + place[hit]) * codes + code[e][hit]
-            own = row[e][hit]
+            place = place.take(hit)
+            hit = hit if m == nodes else e.take(hit)
+            looked.append(hit)
+            key = ((of_entry.take(hit) - lo) * tries + place) * codes + code.take(hit)
+            own = row.take(hit)
             hw, hh = (np.bincount(key, x[own], m * tries * codes).astype(float).reshape(m, tries, codes) for x in (w, h))  # counts of nothing are whole numbers
             for a, x in ((hw, w), (hh, h)):  # what has no entry is a zero
                 a[:, :, zero] += np.bincount(node[r] - lo, x[r], m)[:, None] - a.sum(2)
@@ -100,7 +102,7 @@ def _splits(part: TrainPart, node, dense, row, feature, code, w, h, nodes: int,
             _, cut, gain = _best(hw, hh)
             better = gain > g[has]
             f[has[better]], c[has[better]], g[has[better]] = j, cut[better], gain[better]
-    return best_f, best_c, best_g
+    return best_f, best_c, best_g, np.concatenate(looked) if looked else np.zeros(0, int)
 
 
 def grow(part: TrainPart, tries: int, depth: int, rng: np.random.Generator) -> dict[str, np.ndarray]:
@@ -110,8 +112,8 @@ def grow(part: TrainPart, tries: int, depth: int, rng: np.random.Generator) -> d
         bag[:] = 1
     kept = np.flatnonzero(bag)
     new = np.cumsum(bag > 0) - 1
-    inside = bag[part.row] > 0
-    row, feature, code = new[part.row[inside]], part.feature[inside], part.code[inside]
+    inside = np.flatnonzero((bag > 0).take(part.row))
+    row, feature, code = new.take(part.row.take(inside)), part.feature.take(inside), part.code.take(inside)
     dense, w = part.dense[kept], bag[kept].astype(float)
     h = w * part.truth[kept]
     node, zero = np.zeros(len(kept), int), int(np.searchsorted(part.cuts, 0.0))
@@ -123,14 +125,15 @@ def grow(part: TrainPart, tries: int, depth: int, rng: np.random.Generator) -> d
     for _ in range(depth):
         if not len(node):
             break
-        f, c, g = _splits(part, node, dense, row, feature, code, w, h, len(opened), tries, rng)
+        f, c, g, looked = _splits(part, node, dense, row, feature, code, w, h, len(opened), tries, rng)
         split = g > 0
         right = np.where(f[node] >= part.base, zero > c[node], False)
         own = np.flatnonzero(f[node] < part.base)
         right[own] = dense[own, f[node[own]]] > c[node[own]]
-        at = node[row]
-        hit = np.flatnonzero(feature == f[at])
-        right[row[hit]] = code[hit] > c[at[hit]]
+        own = row.take(looked)
+        at = node.take(own)
+        hit = feature.take(looked) == f[at]
+        right[own[hit]] = code.take(looked[hit]) > c[at[hit]]
         child = np.cumsum(split) * 2 - 2  # number of the left child in the next level
         side = child[node] + right
         going = split[node]
@@ -146,9 +149,9 @@ def grow(part: TrainPart, tries: int, depth: int, rng: np.random.Generator) -> d
         goes_on = np.zeros(len(node), bool)
         goes_on[going] = stays[side[going]]
         new = np.cumsum(goes_on) - 1
-        inside = goes_on[row]
+        inside = np.flatnonzero(goes_on.take(row))
         node = short[side[goes_on]]
-        row, feature, code = new[row[inside]], feature[inside], code[inside]
+        row, feature, code = new.take(row.take(inside)), feature.take(inside), code.take(inside)
         dense, w, h = dense[goes_on], w[goes_on], h[goes_on]
     tw, th = np.concatenate(total), np.concatenate(ones)
     says = th > tw - th
